@@ -6,8 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ordjoin.llm import quality_rules
+from ordjoin.llm.host_reputation import op9_host_reputation
+from ordjoin.llm.quality_rules import op1_quality_rules
+from ordjoin.llm.sharding import op7_consistent_hash_shards
 from ordjoin.llm.substring_dedup import op2_substring_dedup
 from ordjoin.llm.suffix_dedup import op3_suffix_array_dedup
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_substring_dedup, op3_suffix_array_dedup)}
-ORACLES: dict[str, str] = {}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    f.__name__: f for f in (op1_quality_rules, op2_substring_dedup, op3_suffix_array_dedup, op7_consistent_hash_shards, op9_host_reputation)
+}
+ORACLES: dict[str, str] = {"op1_quality_rules": quality_rules.ORACLE}
