@@ -28,10 +28,14 @@ def shared_folder(spark: SparkSession) -> str:
 
 
 def settle(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
-    """Write a frame to the shared folder and read it back: a lineage cut that survives lost executors."""
+    """Write a frame to the shared folder and read it back: a lineage cut that survives lost executors.
+
+    Shuffle files of finished jobs are released after it.
+    """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", codec).parquet(path)
+    release(spark)
     return spark.read.schema(df.schema).parquet(path)
 
 

@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ordjoin.llm.common import release, settle, shared_folder, table
+from ordjoin.llm.common import settle, shared_folder, table
 from ordjoin.llm.windows import LAST, Unit, bodies_of, contested, contexts_of, find_runs, kept, removed_spans
 
 WINDOW, GRAM = 50, 12
@@ -77,7 +77,6 @@ def remove_known(batch: DataFrame, seen: DataFrame | None, index: FingerprintInd
     runs = settle(find_runs(bodies, unit), "runs")
     fresh = index.write(contexts_of(runs))
     marked = settle(contested(index.merged(fresh), F.col("fresh")), "marked")
-    release(index.spark)
     known = bodies.unionByName(bodies_of(seen)) if seen is not None else bodies
     spans = removed_spans(runs, marked, known, unit, first_stays=True)
     index.add(fresh)

@@ -5,7 +5,9 @@ twenty words, one in eighty bytes), and only runs are shuffled. A run's whole co
 
 * runs with equal contexts hold equal windows, so one row per context says where it stands first and how often;
 * a trigger that has one context needs nothing more;
-* where several contexts share a trigger, one copy of each is cut into its windows, which are matched by hash.
+* where several contexts share a trigger, one copy of each is cut into blocks of up to 16 windows. Blocks are matched
+  in the same way (all that a block covers, and what its windows have in common), and only where several blocks have
+  the same common part are single windows matched by hash.
 
 All grouping is by hash with map-side partial aggregates, so a passage that stands in a third of all documents costs a
 row per task. Work and rows grow with the input, never with the pairs in a group.
@@ -37,6 +39,10 @@ class Unit:
     gram: int
     slice_bytes: int = 1 << 20
 
+    @property
+    def block(self) -> int:
+        return max(1, min(16, self.window // 4))
+
     def symbols(self, raw: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         if not self.words:
             return K.BYTE_CODES[raw], ends
@@ -78,51 +84,131 @@ def contested(contexts: DataFrame, fresh: Column) -> DataFrame:
     return contexts.join(keys, "key", "left").withColumn("shared", F.coalesce("shared", F.lit(False))).where(F.col("shared") | (F.col("times") > 1) | ~fresh)
 
 
-def cut(contexts: DataFrame, bodies: DataFrame, unit: Unit) -> DataFrame:
-    """Windows of one copy of each context: (key, ctx, off, win, ord, times)."""
+def pieces_of(contexts: DataFrame, bodies: DataFrame, unit: Unit) -> DataFrame:
+    """One copy of each context: (key, ctx, lead, n, ord, times, piece); ``lead``: where its trigger stands."""
     wanted = contexts.groupBy(F.col("rep.ord").alias("ord"), F.col("rep.rid").alias("rid")).agg(F.collect_list(F.struct("rep.start", "rep.n", "key", "ctx", "times")).alias("cuts"))
     one = bodies.select("ord", "rid", "body").join(wanted, ["ord", "rid"])
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        reach = unit.window - unit.gram + 1
         for batch in batches:
-            ords = batch.column(0).to_numpy()
-            cuts = batch.column(2)
+            ords, cuts = batch.column(0).to_numpy(), batch.column(2)
             places = np.asarray(cuts.offsets)
             fields = [np.asarray(cuts.values.field(i)) for i in range(5)]
             for a, b, raw, ends in slices(batch.column(1), unit.slice_bytes):
                 symbols, first = unit.symbols(raw, ends)
-                wins = K.rolling(K.prefix_sums(symbols), unit.window)
+                grams = K.rolling(K.prefix_sums(symbols), unit.gram)
                 lo, hi = places[a], places[b]
                 start, n, key, ctx, times = (f[lo:hi] for f in fields)
                 doc = np.repeat(np.arange(a, b), np.diff(places[a : b + 1]))
+                at = first[doc - a] + start
+                wanted = key.view(np.uint64)
+                lead = [int(np.flatnonzero(grams[x : x + reach] == k)[-1]) for x, k in zip(at.tolist(), wanted, strict=True)]
+                if unit.words:
+                    starts, stops, _ = K.word_spans(raw, ends)
+                    bounds = zip(starts[at].tolist(), stops[at + n + unit.window - 2].tolist(), strict=True)
+                else:
+                    bounds = zip(at.tolist(), (at + n + unit.window - 1).tolist(), strict=True)
+                whole = raw.tobytes()
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(key), pa.array(ctx), pa.array(lead, pa.int32()), pa.array(n), pa.array(ords[doc]), pa.array(times), pa.array([whole[x:y] for x, y in bounds], pa.binary())],
+                    names=["key", "ctx", "lead", "n", "ord", "times", "piece"],
+                )
+
+    # a row that stands twice in the input is cut twice; its contexts repeat as a whole in any case
+    return map_arrow(one.select("ord", "body", "cuts"), each, "key long, ctx long, lead int, n int, ord long, times long, piece binary")
+
+
+def blocks_of(pieces: DataFrame, unit: Unit) -> DataFrame:
+    """Cut each context's windows into blocks of ``unit.block`` places before the trigger.
+
+    Per block: a hash of what all its windows have in common (``key2``), a hash of all that they cover (``ctx2``), its
+    first window in the run and how many it has. Blocks with equal ctx2 hold equal windows; blocks with different key2
+    hold none.
+    """
+    size = unit.block
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for x, y, raw, ends in slices(batch.column(6), unit.slice_bytes):
+                key, ctx, lead, n, ords, times = (batch.column(i).to_numpy()[x:y] for i in range(6))
+                symbols, first = unit.symbols(raw, ends)
+                prefix = K.prefix_sums(symbols)
+                least, most = (lead - n + 1) // size, lead // size
+                count = (most - least + 1).astype(np.int64)
+                row = np.repeat(np.arange(y - x), count)
+                m = np.arange(len(row)) - np.repeat(np.cumsum(count) - count, count) + least[row]
+                high = np.minimum(m * size + size - 1, lead[row])
+                low = np.maximum(m * size, (lead - n + 1)[row])
+                base = first[:-1][row] + lead[row]
+                core = K.spans_hash(prefix, base - m * size, base - m * size - size + 1 + unit.window)
+                full = K.spans_hash(prefix, base - high, base - low + unit.window)
+                key2 = K.mixed(core ^ K.mixed(key[row].view(np.uint64) + m.astype(np.uint64)))
+                ctx2 = K.mixed(full ^ (high * 1024 + low).astype(np.uint64))
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(key[row]), pa.array(ctx[row]), pa.array(ords[row]), pa.array(times[row]), pa.array(K.signed(key2)), pa.array(K.signed(ctx2)), pa.array((lead[row] - high).astype(np.int32)), pa.array((high - low + 1).astype(np.int32))],
+                    names=["key", "ctx", "ord", "times", "key2", "ctx2", "first", "width"],
+                )
+
+    return map_arrow(pieces, each, "key long, ctx long, ord long, times long, key2 long, ctx2 long, first int, width int")
+
+
+def windows_of(blocks: DataFrame, pieces: DataFrame, unit: Unit) -> DataFrame:
+    """Windows of one copy of each block: (key2, ctx2, off, win, ord, times)."""
+    wanted = blocks.groupBy(F.col("rep.key").alias("key"), F.col("rep.ctx").alias("ctx")).agg(F.collect_list(F.struct("rep.first", "rep.width", "key2", "ctx2", "times")).alias("cuts"))
+    one = pieces.select("key", "ctx", "ord", "piece").join(wanted, ["key", "ctx"]).select("ord", "piece", "cuts")
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ords, cuts = batch.column(0).to_numpy(), batch.column(2)
+            places = np.asarray(cuts.offsets)
+            fields = [np.asarray(cuts.values.field(i)) for i in range(5)]
+            for a, b, raw, ends in slices(batch.column(1), unit.slice_bytes):
+                symbols, first = unit.symbols(raw, ends)
+                wins = K.rolling(K.prefix_sums(symbols), unit.window)
+                start, n, key2, ctx2, times = (f[places[a] : places[b]] for f in fields)
+                doc = np.repeat(np.arange(a, b), np.diff(places[a : b + 1]))
                 off = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
                 at = np.repeat(first[doc - a] + start, n) + off
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.repeat(key, n)), pa.array(np.repeat(ctx, n)), pa.array(off.astype(np.int32)), pa.array(K.signed(wins[at])), pa.array(np.repeat(ords[doc], n)), pa.array(np.repeat(times, n))],
-                    names=["key", "ctx", "off", "win", "ord", "times"],
+                    [pa.array(np.repeat(key2, n)), pa.array(np.repeat(ctx2, n)), pa.array(off.astype(np.int32)), pa.array(K.signed(wins[at])), pa.array(np.repeat(ords[doc], n)), pa.array(np.repeat(times, n))],
+                    names=["key2", "ctx2", "off", "win", "ord", "times"],
                 )
 
-    # a row that stands twice in the input is cut twice; its contexts repeat as a whole in any case
-    return map_arrow(one.select("ord", "body", "cuts"), each, "key long, ctx long, off int, win long, ord long, times long")
+    return map_arrow(one, each, "key2 long, ctx2 long, off int, win long, ord long, times long")
 
 
 def removed_spans(runs: DataFrame, marked: DataFrame, bodies: DataFrame, unit: Unit, first_stays: bool) -> DataFrame:
-    """(ord, rid, spans): the removed [a, b) of each document.
+    """(ord, rid, spans): the removed [a, b) of each document, settled.
 
     ``first_stays``: a window goes if it also starts in a document before this one; otherwise if it starts anywhere else.
     """
-    windows = settle(cut(marked.where("shared"), bodies, unit), "windows")
-    where = windows.groupBy("key", "win").agg(F.min("ord").alias("least"), F.sum("times").alias("total")).where("total > 1")
+
+    def whole(before: str, own: str, times: str) -> Column:
+        return F.col(before) < F.col(own) if first_stays else F.col(times) > 1
+
+    pieces = settle(pieces_of(marked.where("shared"), bodies, unit), "pieces")
+    blocks = settle(blocks_of(pieces, unit), "blocks")
+    same = blocks.groupBy("key2", "ctx2").agg(F.min(F.struct("ord", "key", "ctx", "first", "width")).alias("rep"), F.sum("times").alias("times"))
+    marked2 = settle(contested(same.withColumnRenamed("key2", "key").withColumnRenamed("ctx2", "ctx"), F.lit(True)), "shared-blocks").withColumnsRenamed({"key": "key2", "ctx": "ctx2"})
+    windows = settle(windows_of(marked2.where("shared"), pieces, unit), "windows")
+    where = windows.groupBy("key2", "win").agg(F.min("ord").alias("least"), F.sum("times").alias("total")).where("total > 1")
     gone = F.col("least") < F.col("ord") if first_stays else F.col("times") == 1
-    offs = windows.join(where, ["key", "win"]).where(gone).groupBy("key", "ctx").agg(F.collect_list("off").alias("offs"))
-    known = marked.select("key", "ctx", F.col("rep.ord").alias("before"), "times").join(offs, ["key", "ctx"], "left")
-    whole = F.col("before") < F.col("ord") if first_stays else F.col("times") > 1
-    width = F.lit(unit.window)
-    spans = F.when(whole, F.array(F.struct(F.col("start").alias("a"), (F.col("start") + F.col("n") - 1 + width).alias("b")))).otherwise(
-        F.transform("offs", lambda o: F.struct((F.col("start") + o).alias("a"), (F.col("start") + o + width).alias("b")))
+    offs = windows.join(where, ["key2", "win"]).where(gone).groupBy("key2", "ctx2").agg(F.collect_list("off").alias("offs"))
+    known2 = marked2.select("key2", "ctx2", F.col("rep.ord").alias("before"), F.col("times").alias("total")).join(offs, ["key2", "ctx2"], "left")
+    ranges = F.when(whole("before", "ord", "total"), F.array(F.struct(F.col("first").alias("x"), (F.col("first") + F.col("width")).alias("y")))).otherwise(
+        F.transform("offs", lambda o: F.struct((F.col("first") + o).alias("x"), (F.col("first") + o + 1).alias("y")))
+    )
+    parts = blocks.join(known2, ["key2", "ctx2"]).where(whole("before", "ord", "total") | F.col("offs").isNotNull())
+    parts = parts.groupBy("key", "ctx").agg(F.flatten(F.collect_list(ranges)).alias("ranges"))
+    known = marked.select("key", "ctx", F.col("rep.ord").alias("before"), "times").join(parts, ["key", "ctx"], "left")
+    known = settle(known.where((F.col("times") > 1) | F.col("ranges").isNotNull()), "verdicts")
+    width = F.lit(unit.window - 1)
+    spans = F.when(whole("before", "ord", "times"), F.array(F.struct(F.col("start").alias("a"), (F.col("start") + F.col("n") + width).alias("b")))).otherwise(
+        F.transform("ranges", lambda r: F.struct((F.col("start") + r["x"]).alias("a"), (F.col("start") + r["y"] + width).alias("b")))
     )
-    hits = runs.join(known, ["key", "ctx"]).where(whole | F.col("offs").isNotNull())
-    return hits.groupBy("ord", "rid").agg(F.flatten(F.collect_list(spans)).alias("spans"))
+    hits = runs.join(known, ["key", "ctx"]).where(whole("before", "ord", "times") | F.col("ranges").isNotNull())
+    return settle(hits.groupBy("ord", "rid").agg(F.flatten(F.collect_list(spans)).alias("spans")), "spans")
 
 
 def kept(bodies: DataFrame, spans: DataFrame, unit: Unit, text: bool = False) -> DataFrame:
