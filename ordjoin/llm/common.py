@@ -36,7 +36,18 @@ def settle(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
     path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", codec).parquet(path)
     release(spark)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._settled_at = path
+    return out
+
+
+def discard(*frames: DataFrame) -> None:
+    """Delete settled tables that no unfinished plan reads any more."""
+    for df in frames:
+        at = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df._settled_at)
+        at.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(at, True)
+    if frames:
+        release(frames[0].sparkSession)
 
 
 def release(spark: SparkSession) -> None:

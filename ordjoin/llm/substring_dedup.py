@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ordjoin.llm.common import settle, shared_folder, table
-from ordjoin.llm.windows import LAST, Unit, bodies_of, contested, contexts_of, find_runs, kept, removed_spans
+from ordjoin.llm.windows import LAST, PLACE, Unit, bodies_of, contested, contexts_of, find_runs, kept, removed_spans
 
 WINDOW, GRAM = 50, 12
 CONTEXT = ["key", "ctx"]
@@ -39,10 +39,11 @@ class FingerprintIndex:
         """All fingerprints, with a mark on those of the new batch: a merge join with each run."""
         out = fresh.withColumn("fresh", F.lit(True))
         for run in self.runs:
-            old = run.select(*CONTEXT, F.col("rep").alias("old_rep"), F.col("times").alias("old_times"))
+            old = run.select(*CONTEXT, *[F.col(c).alias(f"old_{c}") for c in (*PLACE, "least", "times")])
             out = out.hint("merge").join(old, CONTEXT, "full").select(
                 *CONTEXT,
-                F.least("rep", "old_rep").alias("rep"),
+                *[F.when(F.col("old_times").isNotNull(), F.col(f"old_{c}")).otherwise(F.col(c)).alias(c) for c in PLACE],
+                F.least("least", "old_least").alias("least"),
                 (F.coalesce("times", F.lit(0)) + F.coalesce("old_times", F.lit(0))).alias("times"),
                 F.coalesce("fresh", F.lit(False)).alias("fresh"),
             )
@@ -60,15 +61,24 @@ class FingerprintIndex:
         self.runs = rest
         whole = self.write(self.merged(first).drop("fresh"))
         self.runs = [whole]
-        for name in old:
+        self._drop(old)
+
+    def _drop(self, names: list[str]) -> None:
+        for name in names:
             self.spark.sql(f"drop table if exists {name}")
+            at = self.spark._jvm.org.apache.hadoop.fs.Path(f"{shared_folder(self.spark)}/{name}")
+            at.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(at, True)
+
+    def drop(self) -> None:
+        self._drop(self.names)
+        self.runs, self.names = [], []
 
 
 def remove_known(batch: DataFrame, seen: DataFrame | None, index: FingerprintIndex, window: int = WINDOW, gram: int = GRAM, text: bool = False) -> DataFrame:
     """Remove from each document of ``batch`` the words that a window of a document with a smaller id covers.
 
     ``seen``: the documents that ``index`` holds (read only to verify shared triggers); the batch is then added to it.
-    Rows: doc_id, n, n_removed, n_spans, kept_sha256 (and kept_text, null where nothing goes). Null or empty texts and
+    Rows: doc_id, n, n_removed, n_spans, kept_sha256 (and with ``text`` row, kept_text). Null or empty texts and
     texts under one window stay whole; a null id stands behind all others; rows with one id don't remove each other's
     words; other columns are ignored.
     """
@@ -94,9 +104,17 @@ def deduplicate(docs: DataFrame, batches: int = 2, window: int = WINDOW, gram: i
         now = now.where(place <= high) if high is not None else now
         part = remove_known(now, docs.where(place <= low) if low is not None else None, index, window, gram, text)
         out, low = part if out is None else out.unionByName(part), high
+    index.drop()
     return out
 
 
+def cleaned(docs: DataFrame, batches: int = 2) -> DataFrame:
+    """``docs`` with what ``deduplicate`` leaves of each text; n_chars, where there is one, is counted anew."""
+    out = deduplicate(docs, batches, text=True)
+    made = {"doc_id": F.col("doc_id").cast(dict(docs.dtypes)["doc_id"]), "text": F.col("kept_text"), "n_chars": F.length("kept_text").cast(dict(docs.dtypes).get("n_chars", "long"))}
+    return out.select(*[(made[c] if c in made else F.col(f"row.`{c}`")).alias(c) for c in docs.columns])
+
+
 def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = deduplicate(table(spark, sf_dir, "documents"))
     return out.select("doc_id", F.col("n").alias("n_words"), "n_removed", "kept_sha256")

@@ -25,9 +25,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ordjoin.llm import kernels as K
-from ordjoin.llm.common import column_bytes, map_arrow, settle, slices
+from ordjoin.llm.common import column_bytes, discard, map_arrow, settle, slices
 
 LAST = 2**63 - 1  # where a null id stands in the order
+PLACE = ["ord", "rid", "start", "n"]
 
 
 @dataclass(frozen=True)
@@ -51,11 +52,12 @@ class Unit:
 
 
 def bodies_of(docs: DataFrame) -> DataFrame:
-    """(doc_id, ord, rid, body): the id's place in the order, a hash of id and text to join by, and the text's bytes."""
+    """(doc_id, ord, rid, body, row): the id's place in the order, a hash of the text that tells rows of one id apart,
+    the text's bytes, and the row's other columns."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    return docs.select(
-        "doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)).alias("ord"), F.xxhash64("doc_id", text).alias("rid"), text.cast("binary").alias("body")
-    )
+    rest = [F.col(c) for c in docs.columns if c not in ("doc_id", "text")] or [F.lit(0).alias("none")]
+    place = F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST))
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), place.alias("ord"), F.hash(text, place).alias("rid"), text.cast("binary").alias("body"), F.struct(*rest).alias("row"))
 
 
 def find_runs(bodies: DataFrame, unit: Unit) -> DataFrame:
@@ -70,36 +72,41 @@ def find_runs(bodies: DataFrame, unit: Unit) -> DataFrame:
                     names=["ord", "rid", "start", "n", "key", "ctx"],
                 )
 
-    return map_arrow(bodies.select("ord", "rid", "body"), each, "ord long, rid long, start int, n int, key long, ctx long")
+    return map_arrow(bodies.select("ord", "rid", "body"), each, "ord long, rid int, start int, n int, key long, ctx long")
+
 
+def contexts_of(runs: DataFrame, *more: Column) -> DataFrame:
+    """One row per distinct context: a place of it, the least document that has it, and how often it stands.
 
-def contexts_of(runs: DataFrame) -> DataFrame:
-    """One row per distinct context: its first place and how often it stands."""
-    return runs.groupBy("key", "ctx").agg(F.min(F.struct("ord", "rid", "start", "n")).alias("rep"), F.count(F.lit(1)).alias("times"))
+    The four columns of the place come from one row, as all of them take the first; only fixed-width buffers are used,
+    so the aggregate hashes.
+    """
+    place = [F.first(c).alias(c) for c in PLACE]
+    return runs.groupBy("key", "ctx").agg(*place, F.min("ord").alias("least"), F.count(F.lit(1)).alias("times"), *more)
 
 
-def contested(contexts: DataFrame, fresh: Column) -> DataFrame:
+def contested(contexts: DataFrame, fresh: Column, key: str = "key") -> DataFrame:
     """Contexts that repeat, and those that share their trigger with another one where a fresh one takes part."""
-    keys = contexts.groupBy("key").agg(F.count(F.lit(1)).alias("n_ctx"), F.max(fresh).alias("any_fresh")).where("n_ctx > 1 and any_fresh").select("key", F.lit(True).alias("shared"))
-    return contexts.join(keys, "key", "left").withColumn("shared", F.coalesce("shared", F.lit(False))).where(F.col("shared") | (F.col("times") > 1) | ~fresh)
+    keys = contexts.groupBy(key).agg(F.count(F.lit(1)).alias("n_ctx"), F.max(fresh).alias("any_fresh")).where("n_ctx > 1 and any_fresh").select(key, F.lit(True).alias("shared"))
+    return contexts.join(keys, key, "left").withColumn("shared", F.coalesce("shared", F.lit(False))).where(F.col("shared") | (F.col("times") > 1) | ~fresh)
 
 
 def pieces_of(contexts: DataFrame, bodies: DataFrame, unit: Unit) -> DataFrame:
-    """One copy of each context: (key, ctx, lead, n, ord, times, piece); ``lead``: where its trigger stands."""
-    wanted = contexts.groupBy(F.col("rep.ord").alias("ord"), F.col("rep.rid").alias("rid")).agg(F.collect_list(F.struct("rep.start", "rep.n", "key", "ctx", "times")).alias("cuts"))
+    """One copy of each context: (key, ctx, lead, n, least, times, piece); ``lead``: where its trigger stands."""
+    wanted = contexts.groupBy("ord", "rid").agg(F.collect_list(F.struct("start", "n", "key", "ctx", "times", "least")).alias("cuts"))
     one = bodies.select("ord", "rid", "body").join(wanted, ["ord", "rid"])
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         reach = unit.window - unit.gram + 1
         for batch in batches:
-            ords, cuts = batch.column(0).to_numpy(), batch.column(2)
+            cuts = batch.column(1)
             places = np.asarray(cuts.offsets)
-            fields = [np.asarray(cuts.values.field(i)) for i in range(5)]
-            for a, b, raw, ends in slices(batch.column(1), unit.slice_bytes):
+            fields = [np.asarray(cuts.values.field(i)) for i in range(6)]
+            for a, b, raw, ends in slices(batch.column(0), unit.slice_bytes):
                 symbols, first = unit.symbols(raw, ends)
                 grams = K.rolling(K.prefix_sums(symbols), unit.gram)
                 lo, hi = places[a], places[b]
-                start, n, key, ctx, times = (f[lo:hi] for f in fields)
+                start, n, key, ctx, times, least = (f[lo:hi] for f in fields)
                 doc = np.repeat(np.arange(a, b), np.diff(places[a : b + 1]))
                 at = first[doc - a] + start
                 wanted = key.view(np.uint64)
@@ -111,12 +118,12 @@ def pieces_of(contexts: DataFrame, bodies: DataFrame, unit: Unit) -> DataFrame:
                     bounds = zip(at.tolist(), (at + n + unit.window - 1).tolist(), strict=True)
                 whole = raw.tobytes()
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(key), pa.array(ctx), pa.array(lead, pa.int32()), pa.array(n), pa.array(ords[doc]), pa.array(times), pa.array([whole[x:y] for x, y in bounds], pa.binary())],
-                    names=["key", "ctx", "lead", "n", "ord", "times", "piece"],
+                    [pa.array(key), pa.array(ctx), pa.array(lead, pa.int32()), pa.array(n), pa.array(least), pa.array(times), pa.array([whole[x:y] for x, y in bounds], pa.binary())],
+                    names=["key", "ctx", "lead", "n", "least", "times", "piece"],
                 )
 
     # a row that stands twice in the input is cut twice; its contexts repeat as a whole in any case
-    return map_arrow(one.select("ord", "body", "cuts"), each, "key long, ctx long, lead int, n int, ord long, times long, piece binary")
+    return map_arrow(one.select("body", "cuts"), each, "key long, ctx long, lead int, n int, least long, times long, piece binary")
 
 
 def blocks_of(pieces: DataFrame, unit: Unit) -> DataFrame:
@@ -147,35 +154,35 @@ def blocks_of(pieces: DataFrame, unit: Unit) -> DataFrame:
                 ctx2 = K.mixed(full ^ (high * 1024 + low).astype(np.uint64))
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(key[row]), pa.array(ctx[row]), pa.array(ords[row]), pa.array(times[row]), pa.array(K.signed(key2)), pa.array(K.signed(ctx2)), pa.array((lead[row] - high).astype(np.int32)), pa.array((high - low + 1).astype(np.int32))],
-                    names=["key", "ctx", "ord", "times", "key2", "ctx2", "first", "width"],
+                    names=["key", "ctx", "least", "times", "key2", "ctx2", "first", "width"],
                 )
 
-    return map_arrow(pieces, each, "key long, ctx long, ord long, times long, key2 long, ctx2 long, first int, width int")
+    return map_arrow(pieces, each, "key long, ctx long, least long, times long, key2 long, ctx2 long, first int, width int")
 
 
 def windows_of(blocks: DataFrame, pieces: DataFrame, unit: Unit) -> DataFrame:
-    """Windows of one copy of each block: (key2, ctx2, off, win, ord, times)."""
-    wanted = blocks.groupBy(F.col("rep.key").alias("key"), F.col("rep.ctx").alias("ctx")).agg(F.collect_list(F.struct("rep.first", "rep.width", "key2", "ctx2", "times")).alias("cuts"))
-    one = pieces.select("key", "ctx", "ord", "piece").join(wanted, ["key", "ctx"]).select("ord", "piece", "cuts")
+    """Windows of one copy of each block: (key2, ctx2, off, win, least, times)."""
+    wanted = blocks.groupBy("key", "ctx").agg(F.collect_list(F.struct("first", "width", "key2", "ctx2", "times", "least")).alias("cuts"))
+    one = pieces.select("key", "ctx", "piece").join(wanted, ["key", "ctx"]).select("piece", "cuts")
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ords, cuts = batch.column(0).to_numpy(), batch.column(2)
+            cuts = batch.column(1)
             places = np.asarray(cuts.offsets)
-            fields = [np.asarray(cuts.values.field(i)) for i in range(5)]
-            for a, b, raw, ends in slices(batch.column(1), unit.slice_bytes):
+            fields = [np.asarray(cuts.values.field(i)) for i in range(6)]
+            for a, b, raw, ends in slices(batch.column(0), unit.slice_bytes):
                 symbols, first = unit.symbols(raw, ends)
                 wins = K.rolling(K.prefix_sums(symbols), unit.window)
-                start, n, key2, ctx2, times = (f[places[a] : places[b]] for f in fields)
+                start, n, key2, ctx2, times, least = (f[places[a] : places[b]] for f in fields)
                 doc = np.repeat(np.arange(a, b), np.diff(places[a : b + 1]))
                 off = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
                 at = np.repeat(first[doc - a] + start, n) + off
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.repeat(key2, n)), pa.array(np.repeat(ctx2, n)), pa.array(off.astype(np.int32)), pa.array(K.signed(wins[at])), pa.array(np.repeat(ords[doc], n)), pa.array(np.repeat(times, n))],
-                    names=["key2", "ctx2", "off", "win", "ord", "times"],
+                    [pa.array(np.repeat(key2, n)), pa.array(np.repeat(ctx2, n)), pa.array(off.astype(np.int32)), pa.array(K.signed(wins[at])), pa.array(np.repeat(least, n)), pa.array(np.repeat(times, n))],
+                    names=["key2", "ctx2", "off", "win", "least", "times"],
                 )
 
-    return map_arrow(one, each, "key2 long, ctx2 long, off int, win long, ord long, times long")
+    return map_arrow(one, each, "key2 long, ctx2 long, off int, win long, least long, times long")
 
 
 def removed_spans(runs: DataFrame, marked: DataFrame, bodies: DataFrame, unit: Unit, first_stays: bool) -> DataFrame:
@@ -189,40 +196,43 @@ def removed_spans(runs: DataFrame, marked: DataFrame, bodies: DataFrame, unit: U
 
     pieces = settle(pieces_of(marked.where("shared"), bodies, unit), "pieces")
     blocks = settle(blocks_of(pieces, unit), "blocks")
-    same = blocks.groupBy("key2", "ctx2").agg(F.min(F.struct("ord", "key", "ctx", "first", "width")).alias("rep"), F.sum("times").alias("times"))
-    marked2 = settle(contested(same.withColumnRenamed("key2", "key").withColumnRenamed("ctx2", "ctx"), F.lit(True)), "shared-blocks").withColumnsRenamed({"key": "key2", "ctx": "ctx2"})
+    same = blocks.groupBy("key2", "ctx2").agg(*[F.first(c).alias(c) for c in ("key", "ctx", "first", "width")], F.min("least").alias("least"), F.sum("times").alias("times"))
+    marked2 = settle(contested(same, F.lit(True), "key2"), "shared-blocks")
     windows = settle(windows_of(marked2.where("shared"), pieces, unit), "windows")
-    where = windows.groupBy("key2", "win").agg(F.min("ord").alias("least"), F.sum("times").alias("total")).where("total > 1")
-    gone = F.col("least") < F.col("ord") if first_stays else F.col("times") == 1
+    where = windows.groupBy("key2", "win").agg(F.min("least").alias("before"), F.sum("times").alias("total")).where("total > 1")
+    gone = F.col("before") < F.col("least") if first_stays else F.col("times") == 1
     offs = windows.join(where, ["key2", "win"]).where(gone).groupBy("key2", "ctx2").agg(F.collect_list("off").alias("offs"))
-    known2 = marked2.select("key2", "ctx2", F.col("rep.ord").alias("before"), F.col("times").alias("total")).join(offs, ["key2", "ctx2"], "left")
-    ranges = F.when(whole("before", "ord", "total"), F.array(F.struct(F.col("first").alias("x"), (F.col("first") + F.col("width")).alias("y")))).otherwise(
+    known2 = marked2.select("key2", "ctx2", F.col("least").alias("before"), F.col("times").alias("total")).join(offs, ["key2", "ctx2"], "left")
+    known2 = settle(known2.where((F.col("total") > 1) | F.col("offs").isNotNull()), "block-verdicts")
+    ranges = F.when(whole("before", "least", "total"), F.array(F.struct(F.col("first").alias("x"), (F.col("first") + F.col("width")).alias("y")))).otherwise(
         F.transform("offs", lambda o: F.struct((F.col("first") + o).alias("x"), (F.col("first") + o + 1).alias("y")))
     )
-    parts = blocks.join(known2, ["key2", "ctx2"]).where(whole("before", "ord", "total") | F.col("offs").isNotNull())
+    parts = blocks.join(known2, ["key2", "ctx2"]).where(whole("before", "least", "total") | F.col("offs").isNotNull())
     parts = parts.groupBy("key", "ctx").agg(F.flatten(F.collect_list(ranges)).alias("ranges"))
-    known = marked.select("key", "ctx", F.col("rep.ord").alias("before"), "times").join(parts, ["key", "ctx"], "left")
+    known = marked.select("key", "ctx", F.col("least").alias("before"), "times").join(parts, ["key", "ctx"], "left")
     known = settle(known.where((F.col("times") > 1) | F.col("ranges").isNotNull()), "verdicts")
+    discard(pieces, blocks, marked2, windows, known2, marked)
     width = F.lit(unit.window - 1)
     spans = F.when(whole("before", "ord", "times"), F.array(F.struct(F.col("start").alias("a"), (F.col("start") + F.col("n") + width).alias("b")))).otherwise(
         F.transform("ranges", lambda r: F.struct((F.col("start") + r["x"]).alias("a"), (F.col("start") + r["y"] + width).alias("b")))
     )
-    hits = runs.join(known, ["key", "ctx"]).where(whole("before", "ord", "times") | F.col("ranges").isNotNull())
-    return settle(hits.groupBy("ord", "rid").agg(F.flatten(F.collect_list(spans)).alias("spans")), "spans")
+    hits = runs.select("ord", "rid", "start", "n", "key", "ctx").join(known, ["key", "ctx"]).where(whole("before", "ord", "times") | F.col("ranges").isNotNull())
+    out = settle(hits.groupBy("ord", "rid").agg(F.flatten(F.collect_list(spans)).alias("spans")), "spans")
+    discard(runs, known)
+    return out
 
 
 def kept(bodies: DataFrame, spans: DataFrame, unit: Unit, text: bool = False) -> DataFrame:
-    """What is left of each body: (doc_id, n, n_removed, n_spans, kept_sha256) and, if wanted, the text itself."""
+    """What is left of each body: (doc_id, n, n_removed, n_spans, kept_sha256), or with ``text`` the row's other columns
+    (``row``) and ``kept_text``, which is the text as it was where nothing goes."""
+    names = ["doc_id", "n", "n_removed", "n_spans", "kept_sha256", *["row", "kept_text"] * text]
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             column, lists = batch.column(1), batch.column(2)
-            if lists.null_count:
-                places = np.concatenate([[0], np.cumsum([len(x) if x.is_valid else 0 for x in lists])])
-                flat = lists.drop_null().flatten() if len(lists) > lists.null_count else None
-            else:
-                places, flat = np.asarray(lists.offsets), lists.values
-            begin, stop = (np.asarray(flat.field(i)).astype(np.int64) for i in (0, 1)) if flat is not None else (np.empty(0, np.int64),) * 2
+            places = np.concatenate([[0], np.cumsum(np.asarray(lists.value_lengths().fill_null(0)))])
+            flat = lists.flatten()
+            begin, stop = (np.asarray(flat.field(i)).astype(np.int64) for i in (0, 1))
             raw, ends = column_bytes(column)
             ns, removed, n_spans, shas, texts = [], [], [], [], []
             for i in range(len(column)):
@@ -236,18 +246,16 @@ def kept(bodies: DataFrame, spans: DataFrame, unit: Unit, text: bool = False) ->
                     steps = np.bincount(begin[lo:hi], minlength=n + 1) - np.bincount(stop[lo:hi], minlength=n + 1)
                     stay = np.cumsum(steps)[:n] == 0
                     gone = n - int(stay.sum())
-                    edge = np.diff(np.concatenate([[True], stay]).astype(np.int8))
-                    count = int((edge == -1).sum())
-                    left = b" ".join(w for w, s in zip(parts, stay, strict=True) if s) if unit.words else np.frombuffer(body, np.uint8)[stay].tobytes()
+                    count = int((np.diff(stay.astype(np.int8), prepend=1) == -1).sum())
+                    left = b" ".join(w for w, s in zip(parts, stay.tolist(), strict=True) if s) if unit.words else np.frombuffer(body, np.uint8)[stay].tobytes()
                 ns.append(n), removed.append(gone), n_spans.append(count), shas.append(hashlib.sha256(left).hexdigest())
                 if text:
-                    texts.append(None if gone == 0 else left.decode("utf-8", "ignore"))
+                    texts.append((left if gone else body).decode("utf-8", "ignore"))
             arrays = [batch.column(0), pa.array(ns, pa.int64()), pa.array(removed, pa.int64()), pa.array(n_spans, pa.int64()), pa.array(shas, pa.string())]
-            names = ["doc_id", "n", "n_removed", "n_spans", "kept_sha256"]
-            if text:
-                arrays.append(pa.array(texts, pa.string())), names.append("kept_text")
-            yield pa.RecordBatch.from_arrays(arrays, names=names)
-
-    joined = bodies.join(spans, ["ord", "rid"], "left").select(F.col("doc_id").cast("long").alias("doc_id"), "body", "spans")
-    return map_arrow(joined, each, "doc_id long, n long, n_removed long, n_spans long, kept_sha256 string" + ", kept_text string" * text)
+            yield pa.RecordBatch.from_arrays([*arrays, *([batch.column(3), pa.array(texts, pa.string())] if text else [])], names=names)
 
+    joined = bodies.join(spans, ["ord", "rid"], "left").select("doc_id", "body", "spans", *["row"] * text)
+    schema = "doc_id long, n long, n_removed long, n_spans long, kept_sha256 string"
+    if text:
+        schema += f", row {dict(bodies.dtypes)['row']}, kept_text string"
+    return map_arrow(joined, each, schema)
