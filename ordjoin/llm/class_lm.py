@@ -249,7 +249,7 @@ def scored(docs: DataFrame, model: Model, words: DataFrame) -> DataFrame:
                 )
 
     # one row a text (form -1: its sums) and one for each of its rare words
-    rows = map_arrow(docs.select("ord", "rid", "body"), each, "ord long, rid long, word long, form int, times long, score double, base_score double, n_known long")
+    rows = map_arrow(docs.select("ord", "rid", "body"), each, "ord long, rid int, word long, form int, times long, score double, base_score double, n_known long")
     joined = rows.join(words.select("word", "c"), "word", "left")
     text, c = F.col("form") < 0, F.coalesce("c", F.lit(0))
     form_total, form_once = (F.array(*[F.lit(float(x)) for x in xs]) for xs in (model.form_total, model.form_once))

@@ -214,7 +214,7 @@ def _search(bodies: DataFrame, weight: np.ndarray, v: np.ndarray, ids: np.ndarra
                         continue
                     said = common_length(answers[i], around) / len(answers[i])
                     if said >= answer:
-                        best[d, i] = max(best.get((d, i), (0.0, 0.0, 0.0)), (share, said, float(near[p, i])))
+                        best[d, i] = max(best.get((d, i), (0.0, 0.0, 0.0)), (share, said, min(1.0, float(near[p, i]))))
                 hits += [(doc_ids[a + d], rids[a + d], int(ids[i]), c, share, said) for (d, i), (share, said, c) in sorted(best.items())]
             columns = list(zip(*hits, strict=True)) if hits else [()] * 6
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.float64()), strict=True)], names=[x.split()[0] for x in schema.split(", ")])

@@ -22,13 +22,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from ordjoin.llm import kernels as K
-from ordjoin.llm.common import map_arrow, settle, slices, table
+from ordjoin.llm.common import discard, map_arrow, settle, slices, table
 from ordjoin.llm.components import components
-from ordjoin.llm.windows import bodies_of
+from ordjoin.llm.windows import LAST, bodies_of
 
 WIDTH, PERCENT, GROUPS = 4, 85, 128
 SAMPLE_ROWS, COMMON_IN, MAX_COMMON = 4096, 3, 500_000
@@ -80,7 +81,7 @@ def _sets(bodies: DataFrame, width: int, percent: int, common: np.ndarray) -> Da
                     names=["ord", "rid", "n", "sid", "check", "point", "keys"],
                 )
 
-    return map_arrow(bodies.select("ord", "rid", "body"), each, "ord long, rid long, n long, sid long, check long, point binary, keys array<long>")
+    return map_arrow(bodies.select("ord", "rid", "body"), each, "ord long, rid int, n long, sid long, check long, point binary, keys array<long>")
 
 
 def _common(bodies: DataFrame, width: int) -> np.ndarray:
@@ -201,15 +202,8 @@ def _verified(pairs: DataFrame, places: DataFrame, bodies: DataFrame, width: int
     return settle(map_arrow(rows, each, "a long, b long").distinct(), "links")
 
 
-def classes(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
-    """(doc_id, n_shingles, component_id, n_links) per row of ``docs``.
-
-    component_id is the least doc_id that links reach; n_links counts the different sets that this row's set was linked
-    with on the way there (at least one where there is any). Null and empty texts have no shingles and stand alone;
-    rows of equal sets are one class; a null doc_id counts as larger than others, and a class of nulls alone has a null
-    component. Other columns are ignored.
-    """
-    bodies = bodies_of(docs)
+def linked_sets(bodies: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFrame]:
+    """(ord, rid, n, sid) of each text, and (sid, ord, rid, root, n_links) of each non-empty set; both settled."""
     sets = settle(_sets(bodies, width, percent, _common(bodies, width)), "sets")
     filled = sets.where("n > 0")
     twice = filled.groupBy("sid").agg(F.min("check").alias("x"), F.max("check").alias("y")).where("x <> y").limit(1).count()
@@ -239,12 +233,45 @@ def classes(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> Data
 
     degree = links.select(F.col("a").alias("sid")).unionByName(links.select(F.col("b").alias("sid"))).groupBy("sid").agg(F.count(F.lit(1)).alias("n_links"))
     nodes = places.join(root.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
+    nodes = settle(nodes.join(degree, "sid", "left").select("sid", "ord", "rid", "root", F.coalesce("n_links", F.lit(0)).alias("n_links")), "nodes")
+    texts = settle(sets.select("ord", "rid", "n", "sid"), "texts")
+    discard(sets, members, star, more, root)
+    return texts, nodes
+
+
+def classes(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
+    """(doc_id, n_shingles, component_id, n_links) per row of ``docs``.
+
+    component_id is the least doc_id that links reach; n_links counts the different sets that this row's set was linked
+    with on the way there (at least one where there is any). Null and empty texts have no shingles and stand alone;
+    rows of equal sets are one class; a null doc_id counts as larger than others, and a class of nulls alone has a null
+    component. Other columns are ignored.
+    """
+    texts, nodes = linked_sets(bodies_of(docs), width, percent)
     least = nodes.groupBy("root").agg(F.min("ord").alias("least"))
-    verdict = settle(nodes.join(least, "root").join(degree, "sid", "left").select("sid", "least", F.coalesce("n_links", F.lit(0)).alias("n_links")), "verdicts")
-    rows = sets.select("ord", "rid", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("sid")).otherwise(F.col("rid")).alias("sid"), "n").join(verdict, "sid", "left")
-    own = F.when((F.col("n") > 0) & F.col("least").isNotNull(), F.col("least")).otherwise(F.col("ord"))
-    known = F.when(own < F.lit(2**63 - 1), own)
-    return rows.select(F.when(F.col("ord") < F.lit(2**63 - 1), F.col("ord")).alias("doc_id"), "n_shingles", known.alias("component_id"), F.when(F.col("n") > 0, F.coalesce("n_links", F.lit(0))).otherwise(0).cast("long").alias("n_links"))
+    verdict = nodes.select("sid", "root", "n_links").join(least, "root").select("sid", "least", "n_links")
+    empty = F.col("n") == 0
+    # a set without shingles meets no verdict; its own hash spreads such rows over the tasks
+    rows = texts.withColumn("sid", F.when(empty, F.xxhash64("ord", "rid")).otherwise(F.col("sid"))).join(verdict, "sid", "left")
+    own = F.when(empty | F.col("least").isNull(), F.col("ord")).otherwise(F.col("least"))
+
+    def known(x: Column) -> Column:
+        return F.when(x < F.lit(LAST), x)
+
+    links = F.when(empty, 0).otherwise(F.coalesce("n_links", F.lit(0))).cast("long")
+    return rows.select(known(F.col("ord")).alias("doc_id"), F.col("n").alias("n_shingles"), known(own).alias("component_id"), links.alias("n_links"))
+
+
+def one_of_each(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
+    """``docs`` with one row of each class (the least id; of repeated rows one); texts without words all stay."""
+    bodies = bodies_of(docs)
+    _, nodes = linked_sets(bodies, width, percent)
+    stays = settle(nodes.groupBy("root").agg(F.min(F.struct("ord", "rid")).alias("p")).select("p.ord", "p.rid"), "stays")
+    wordless = ~F.coalesce(F.col("body").cast("string").rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
+    chosen = bodies.join(stays, ["ord", "rid"], "left_semi").withColumn("copy", F.row_number().over(Window.partitionBy("ord", "rid").orderBy("ord", "rid"))).where("copy = 1").drop("copy")
+    kept = bodies.where(wordless).unionByName(chosen.where(~wordless))
+    made = {"doc_id": F.col("doc_id").cast(dict(docs.dtypes)["doc_id"]), "text": F.col("body").cast("string")}
+    return kept.select(*[(made[c] if c in made else F.col(f"row.`{c}`")).alias(c) for c in docs.columns])
 
 
 def op10_count_vector_join(spark: SparkSession, sf_dir: str) -> DataFrame:
