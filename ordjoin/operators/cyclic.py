@@ -24,11 +24,14 @@ class Decomposition:
 
 
 def decompose(q: ConjunctiveQuery) -> Decomposition:
-    """Bags of least fractional width among all elimination orders of the variables that stand in two atoms or more."""
-    edges = q.edges
-    if is_acyclic(edges):
-        return Decomposition(tuple(dict.fromkeys(edges)), 1.0)
-    joins = [v for v in q.variables if sum(v in e for e in edges) > 1]
+    """Bags of least fractional width among all elimination orders of the variables that stand in two atoms or more.
+
+    Other variables (weights, mostly) come along with their atom when bags are built.
+    """
+    if is_acyclic(q.edges):
+        return Decomposition(tuple(dict.fromkeys(q.edges)), 1.0)
+    joins = [v for v in q.variables if sum(v in e for e in q.edges) > 1]
+    edges = [e & set(joins) for e in q.edges]
     best: Decomposition | None = None
     for order in permutations(joins):
         left, bags = [set(e) for e in edges], []
@@ -50,20 +53,22 @@ def materialize_bags(q: ConjunctiveQuery, d: Decomposition) -> ConjunctiveQuery:
     Every atom goes to one bag, so repeated rows keep their number; variables that a bag's own atoms don't bring come
     from distinct projections of others.
     """
+    private = {v for v in q.variables if sum(v in e for e in q.edges) == 1}
     given: dict[int, list[int]] = {n: [] for n in range(len(d.bags))}
     for i, e in enumerate(q.edges):
-        given[next(n for n, b in enumerate(d.bags) if e <= b)].append(i)
+        given[next(n for n, b in enumerate(d.bags) if e - private <= b)].append(i)
     atoms = []
-    for n, bag in enumerate(d.bags):
+    for n, shared in enumerate(d.bags):
+        bag = shared | {v for i in given[n] for v in q.edges[i]}
         df: DataFrame | None = None
         todo = list(given[n])
         while todo:
             i = next((x for x in todo if df is not None and set(q.atoms[x].variables) & set(df.columns)), todo[0])
             todo.remove(i)
             df = q.atoms[i].frame if df is None else _joined(df, q.atoms[i].frame)
-        others = sorted((i for i, e in enumerate(q.edges) if i not in given[n] and e & bag), key=lambda i: -len(q.edges[i] & bag))
+        others = sorted((i for i, e in enumerate(q.edges) if i not in given[n] and e & shared), key=lambda i: -len(q.edges[i] & shared))
         for i in others:
-            part = q.atoms[i].frame.select(*sorted(q.edges[i] & bag)).distinct()
+            part = q.atoms[i].frame.select(*sorted(q.edges[i] & shared)).distinct()
             have = set() if df is None else set(df.columns)
             if set(part.columns) <= have:
                 df = df.join(part, part.columns, "left_semi")
