@@ -14,6 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 _OWN: dict[str, str] = {}
 _SENT: dict[str, str] = {}
+BATCH_ROWS = 512
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -98,5 +99,7 @@ def ship(spark: SparkSession) -> None:
 
 
 def map_arrow(df: DataFrame, each: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
+    """``mapInArrow`` with small batches, so that a worker holds few texts at once, however long they are."""
     ship(df.sparkSession)
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
     return df.mapInArrow(each, schema)

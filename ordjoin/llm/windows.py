@@ -38,7 +38,7 @@ class Unit:
     words: bool
     window: int
     gram: int
-    slice_bytes: int = 1 << 20
+    slice_bytes: int = 1 << 18
 
     @property
     def block(self) -> int:
