@@ -56,6 +56,7 @@ def release(spark: SparkSession) -> None:
     import gc
 
     gc.collect()
+    pa.default_memory_pool().release_unused()
     spark.sparkContext._jvm.System.gc()
 
 

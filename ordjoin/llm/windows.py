@@ -29,6 +29,7 @@ from ordjoin.llm.common import column_bytes, discard, map_arrow, settle, slices
 
 LAST = 2**63 - 1  # where a null id stands in the order
 PLACE = ["ord", "rid", "start", "n"]
+SMALL_BYTES = 16 << 20  # what may be broadcast; more is shuffled with the texts
 
 
 @dataclass(frozen=True)
@@ -52,12 +53,12 @@ class Unit:
 
 
 def bodies_of(docs: DataFrame) -> DataFrame:
-    """(doc_id, ord, rid, body, row): the id's place in the order, a hash of the text that tells rows of one id apart,
-    the text's bytes, and the row's other columns."""
+    """(doc_id, ord, rid, body, had, row): the id's place in the order, a hash of the text that tells rows of one id
+    apart, the text's bytes, whether there is a text, and the row's other columns."""
     text = F.coalesce(F.col("text"), F.lit(""))
     rest = [F.col(c) for c in docs.columns if c not in ("doc_id", "text")] or [F.lit(0).alias("none")]
     place = F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST))
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), place.alias("ord"), F.hash(text, place).alias("rid"), text.cast("binary").alias("body"), F.struct(*rest).alias("row"))
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), place.alias("ord"), F.hash(text, place).alias("rid"), text.cast("binary").alias("body"), F.col("text").isNotNull().alias("had"), F.struct(*rest).alias("row"))
 
 
 def find_runs(bodies: DataFrame, unit: Unit) -> DataFrame:
@@ -94,7 +95,8 @@ def contested(contexts: DataFrame, fresh: Column, key: str = "key") -> DataFrame
 def pieces_of(contexts: DataFrame, bodies: DataFrame, unit: Unit) -> DataFrame:
     """One copy of each context: (key, ctx, lead, n, least, times, piece); ``lead``: where its trigger stands."""
     wanted = contexts.groupBy("ord", "rid").agg(F.collect_list(F.struct("start", "n", "key", "ctx", "times", "least")).alias("cuts"))
-    one = bodies.select("ord", "rid", "body").join(wanted, ["ord", "rid"])
+    small = contexts.count() * 96 <= SMALL_BYTES
+    one = bodies.select("ord", "rid", "body").join(F.broadcast(wanted) if small else wanted, ["ord", "rid"])
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         reach = unit.window - unit.gram + 1
@@ -234,6 +236,7 @@ def kept(bodies: DataFrame, spans: DataFrame, unit: Unit, text: bool = False) ->
             flat = lists.flatten()
             begin, stop = (np.asarray(flat.field(i)).astype(np.int64) for i in (0, 1))
             raw, ends = column_bytes(column)
+            had = batch.column(4) if text else ()
             ns, removed, n_spans, shas, texts = [], [], [], [], []
             for i in range(len(column)):
                 body = raw[ends[i] : ends[i + 1]].tobytes()
@@ -250,11 +253,13 @@ def kept(bodies: DataFrame, spans: DataFrame, unit: Unit, text: bool = False) ->
                     left = b" ".join(w for w, s in zip(parts, stay.tolist(), strict=True) if s) if unit.words else np.frombuffer(body, np.uint8)[stay].tobytes()
                 ns.append(n), removed.append(gone), n_spans.append(count), shas.append(hashlib.sha256(left).hexdigest())
                 if text:
-                    texts.append((left if gone else body).decode("utf-8", "ignore"))
+                    texts.append((left if gone else body).decode("utf-8", "ignore") if had[i].as_py() else None)
             arrays = [batch.column(0), pa.array(ns, pa.int64()), pa.array(removed, pa.int64()), pa.array(n_spans, pa.int64()), pa.array(shas, pa.string())]
             yield pa.RecordBatch.from_arrays([*arrays, *([batch.column(3), pa.array(texts, pa.string())] if text else [])], names=names)
 
-    joined = bodies.join(spans, ["ord", "rid"], "left").select("doc_id", "body", "spans", *["row"] * text)
+    held = spans.agg(F.count(F.lit(1)).alias("rows"), F.coalesce(F.sum(F.size("spans")), F.lit(0)).alias("spans")).first()
+    small = held["rows"] * 64 + held["spans"] * 24 <= SMALL_BYTES
+    joined = bodies.join(F.broadcast(spans) if small else spans, ["ord", "rid"], "left").select("doc_id", "body", "spans", *["row", "had"] * text)
     schema = "doc_id long, n long, n_removed long, n_spans long, kept_sha256 string"
     if text:
         schema += f", row {dict(bodies.dtypes)['row']}, kept_text string"
