@@ -10,14 +10,16 @@ one of their first n - ceil(t n) + 1 shingles, and each of these is a block. The
 sample shows to be common last; it changes the work, not the result. Then:
 
 * equal sets are one node;
-* each block links its members to its least one, and these candidates are verified first: a group of copies is joined
-  by as many pairs as it has members;
+* in each block, members of about one size are paired with the least and the greatest of them (by hash), and these
+  candidates are verified first, in a few rounds with drawn heads: a group of copies is joined by a few pairs for each
+  of its members;
 * blocks that still hold several components are cut into chunks, and R-trees of chunks are joined, for pairs of
   different components only.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -33,7 +35,7 @@ from ordjoin.llm.windows import LAST, bodies_of
 
 WIDTH, PERCENT, GROUPS = 4, 85, 128
 SAMPLE_ROWS, COMMON_IN, MAX_COMMON = 4096, 3, 500_000
-CHUNK, LEAF, PAIRS_A_TASK = 128, 8, 64
+CHUNK, LEAF, PAIRS_A_TASK, SEEN, ROUNDS, FIRSTS = 512, 8, 64, 200_000, 2, 8
 
 
 def shingle_sets(raw: np.ndarray, ends: np.ndarray, width: int) -> list[np.ndarray]:
@@ -53,12 +55,35 @@ def shingle_sets(raw: np.ndarray, ends: np.ndarray, width: int) -> list[np.ndarr
     return out
 
 
+def count_vector(s: np.ndarray) -> bytes:
+    """Counts of shingles by the leading bits of their hash: 128 groups, or more for large sets, so that a group holds
+    few shingles and the bound stays sharp. Neighbouring groups add up to coarser ones."""
+    bits = min(max(7, (len(s) // 4).bit_length()), 14)
+    return np.bincount((s >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits).astype("<u2").tobytes()
+
+
+def coarse(points: list[bytes]) -> np.ndarray:
+    """Vectors of 128 groups, a row each (sums over four bytes, as a group may hold many)."""
+    out = np.empty((len(points), GROUPS), np.int32)
+    for i, p in enumerate(points):
+        out[i] = np.frombuffer(p, "<u2").reshape(GROUPS, -1).sum(axis=1)
+    return out
+
+
+def bound(p: bytes, q: bytes) -> int:
+    """Largest overlap that two vectors admit, on the finer groups that both have."""
+    a, b = np.frombuffer(p, "<u2"), np.frombuffer(q, "<u2")
+    if len(a) > len(b):
+        a, b = b, a
+    return int(np.minimum(a, b.reshape(len(a), -1).sum(axis=1)).sum())
+
+
 def _sets(bodies: DataFrame, width: int, percent: int, common: np.ndarray) -> DataFrame:
     """(ord, rid, n, sid, check, point, keys): keys are the set's first shingles under the order."""
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for a, b, raw, ends in slices(batch.column(2), 1 << 20):
+            for a, b, raw, ends in slices(batch.column(2), 1 << 18):
                 ns, sids, checks, points, keys = [], [], [], [], []
                 done: set[int] = set()
                 for s in shingle_sets(raw, ends, width):
@@ -66,7 +91,7 @@ def _sets(bodies: DataFrame, width: int, percent: int, common: np.ndarray) -> Da
                     total = s.sum(dtype=np.uint64)
                     sid, check = K.mixed(np.array([total ^ np.uint64(n), K.mixed(s ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64)], np.uint64)).view(np.int64).tolist()
                     ns.append(n), sids.append(sid), checks.append(check)
-                    points.append(np.minimum(np.bincount((s >> np.uint64(40)).astype(np.int64) % GROUPS, minlength=GROUPS), 65535).astype("<u2").tobytes() if n else None)
+                    points.append(count_vector(s) if n else None)
                     if n and sid not in done:
                         done.add(sid)
                         if len(common):
@@ -89,12 +114,12 @@ def _common(bodies: DataFrame, width: int) -> np.ndarray:
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for _, _, raw, ends in slices(batch.column(0), 1 << 20):
+            for _, _, raw, ends in slices(batch.column(0), 1 << 18):
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.empty(0, np.uint64), *shingle_sets(raw, ends, width)]).view(np.int64))], names=["h"])
 
     sample = bodies.where("pmod(rid, 8) = 0").limit(SAMPLE_ROWS).select("body")
-    found = map_arrow(sample, each, "h long").groupBy("h").count().where(F.col("count") >= COMMON_IN).orderBy(F.desc("count")).limit(MAX_COMMON).select("h").toPandas()["h"]
-    return np.sort(found.to_numpy(np.int64).view(np.uint64))
+    found = map_arrow(sample, each, "h long").groupBy("h").count().where(F.col("count") >= COMMON_IN).orderBy(F.desc("count")).limit(MAX_COMMON).select("h").toArrow().column("h").to_numpy()
+    return np.sort(found.astype(np.int64).view(np.uint64))
 
 
 def needed(n: np.ndarray, m: np.ndarray, percent: int) -> np.ndarray:
@@ -127,10 +152,32 @@ class CountTree:
                     yield self.order[mine][x], other.order[theirs][y]
 
 
+def _admitted(pairs: DataFrame, points: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) whose sizes and summed coordinate minima admit enough overlap."""
+    left = points.select(F.col("sid").alias("a"), F.col("n").alias("na"), F.col("point").alias("pa"))
+    right = points.select(F.col("sid").alias("b"), F.col("n").alias("nb"), F.col("point").alias("pb"))
+    near = 100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")
+    rows = pairs.join(left, "a").join(right, "b").where(near).select("a", "b", "na", "nb", "pa", "pb")
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            a, b, na, nb = (batch.column(i).to_numpy() for i in range(4))
+            roof = [bound(p, q) for p, q in zip(batch.column(4).to_pylist(), batch.column(5).to_pylist(), strict=True)]
+            keep = np.array(roof, np.int64) >= needed(na, nb, percent)
+            yield pa.RecordBatch.from_arrays([pa.array(a[keep]), pa.array(b[keep])], names=["a", "b"])
+
+    return map_arrow(rows, each, "a long, b long")
+
+
 def _tree_pairs(rows: DataFrame, percent: int) -> DataFrame:
-    """Candidate pairs (a, b) of different components, from rows (block, i, j, side, sid, root, n, point) sorted by chunk pair."""
+    """Candidate pairs (a, b) of different components, from rows (block, i, j, side, sid, root, n, point, firsts) sorted by
+    chunk pair.
+
+    ``firsts``: the few least blocks of a set. Where those of a pair meet, the least common one is the pair's least
+    common block, and only that block gives the pair; other pairs may come from several blocks.
+    """
 
-    def pairs(sid: np.ndarray, root: np.ndarray, n: np.ndarray, points: np.ndarray, side: np.ndarray) -> np.ndarray:
+    def pairs(sid: np.ndarray, root: np.ndarray, n: np.ndarray, points: np.ndarray, side: np.ndarray, exact: list[bytes], block: int, firsts: list[list[int]]) -> np.ndarray:
         left, right = np.flatnonzero(side != 1), np.flatnonzero(side != 0)
         if not len(left) or not len(right):
             return np.empty((0, 2), np.int64)
@@ -139,17 +186,26 @@ def _tree_pairs(rows: DataFrame, percent: int) -> DataFrame:
             return np.empty((0, 2), np.int64)
         at = np.concatenate(found)
         at = at[root[at[:, 0]] != root[at[:, 1]]]
+        least = needed(n[at[:, 0]], n[at[:, 1]], percent)
+        at = at[[len(exact[x]) == 2 * GROUPS or bound(exact[x], exact[y]) >= m for (x, y), m in zip(at.tolist(), least.tolist(), strict=True)]] if len(at) else at
+        at = at[[block == min(set(firsts[x]).intersection(firsts[y]), default=block) for x, y in at.tolist()]] if len(at) else at
         return np.unique(np.sort(sid[at], axis=1), axis=0)
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rest: pa.Table | None = None
+        seen: set[tuple[int, int]] = set()  # pairs that this task has given; only to give fewer of them twice
 
         def solve(t: pa.Table) -> Iterator[pa.RecordBatch]:
             block, i, j, side, sid, root, n = (t.column(k).to_numpy() for k in range(7))
-            points = np.frombuffer(b"".join(t.column(7).to_pylist()), "<u2").reshape(-1, GROUPS)
+            exact, firsts = t.column(7).to_pylist(), t.column(8).to_pylist()
+            points = coarse(exact)
             edge = np.flatnonzero((np.diff(block) != 0) | (np.diff(i) != 0) | (np.diff(j) != 0)) + 1
             for x, y in zip([0, *edge.tolist()], [*edge.tolist(), len(block)], strict=True):
-                p = pairs(sid[x:y], root[x:y], n[x:y], points[x:y], side[x:y])
+                p = pairs(sid[x:y], root[x:y], n[x:y], points[x:y], side[x:y], exact[x:y], int(block[x]), firsts[x:y])
+                p = p[[q not in seen for q in map(tuple, p.tolist())]] if len(p) else p
+                if len(seen) > SEEN:
+                    seen.clear()
+                seen.update(map(tuple, p.tolist()))
                 if len(p):
                     yield pa.RecordBatch.from_arrays([pa.array(p[:, 0]), pa.array(p[:, 1])], names=["a", "b"])
 
@@ -189,7 +245,7 @@ def _verified(pairs: DataFrame, places: DataFrame, bodies: DataFrame, width: int
         for batch in batches:
             a, role, sid = (batch.column(k).to_numpy() for k in (0, 2, 3))
             out: list[tuple[int, int]] = []
-            for x, y, raw, ends in slices(batch.column(4), 1 << 20):
+            for x, y, raw, ends in slices(batch.column(4), 1 << 18):
                 for k, s in zip(range(x, y), shingle_sets(raw, ends, width), strict=True):
                     if role[k] == 0:
                         now, own = a[k], s
@@ -202,6 +258,33 @@ def _verified(pairs: DataFrame, places: DataFrame, bodies: DataFrame, width: int
     return settle(map_arrow(rows, each, "a long, b long").distinct(), "links")
 
 
+def _stars(members: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of each block's members with the first and the last of their size class in it: linear in the members.
+
+    Two grids of classes lie half a step apart, with a step of twice the largest admissible ratio of sizes: any two
+    members that could be linked share a class, so blocks of two are settled here. A finer grid serves larger blocks.
+    """
+    ratio = 1.001 * math.log(100 / percent) or 1.0  # a little more, for rounding
+    size = F.log("n")
+    wide = [3 * F.floor(size / F.lit(2 * ratio) + F.lit(shift)) + F.lit(odd) for odd, shift in ((0, 0.0), (1, 0.5))]
+    fine = 3 * F.floor(size / F.lit(ratio / 4)) + F.lit(2)
+    rows = members.withColumn("class", F.explode(F.when(F.col("many") > 2, F.array(*wide, fine)).otherwise(F.array(*wide))))
+    heads = rows.groupBy("block", "class").agg(F.min("sid").alias("x"), F.max("sid").alias("y")).where("x <> y")
+    pairs = rows.join(heads, ["block", "class"]).select("sid", F.explode(F.array("x", "y")).alias("head")).where("sid <> head")
+    return pairs.select(F.least("sid", "head").alias("a"), F.greatest("sid", "head").alias("b")).distinct()
+
+
+def _more_stars(rooted: DataFrame, percent: int, turn: int) -> DataFrame:
+    """Pairs of members with one drawn member of another component, in each block and size class that holds several."""
+    ratio = 1.001 * math.log(100 / percent) or 1.0
+    grids = F.array(*[2 * F.floor(F.log("n") / F.lit(2 * ratio) + F.lit(shift)) + F.lit(odd) for odd, shift in ((0, 0.0), (1, 0.5))])
+    rows = rooted.withColumn("class", F.explode(grids))
+    drawn = F.min(F.struct(F.xxhash64("sid", F.lit(turn)).alias("x"), F.col("sid").alias("head"), F.col("root").alias("other")))
+    heads = rows.groupBy("block", "class").agg(drawn.alias("d"), F.min("root").alias("p"), F.max("root").alias("q")).where("p <> q").select("block", "class", "d.head", "d.other")
+    pairs = rows.join(heads, ["block", "class"]).where("root <> other")
+    return pairs.select(F.least("sid", "head").alias("a"), F.greatest("sid", "head").alias("b")).distinct()
+
+
 def linked_sets(bodies: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFrame]:
     """(ord, rid, n, sid) of each text, and (sid, ord, rid, root, n_links) of each non-empty set; both settled."""
     sets = settle(_sets(bodies, width, percent, _common(bodies, width)), "sets")
@@ -210,21 +293,31 @@ def linked_sets(bodies: DataFrame, width: int, percent: int) -> tuple[DataFrame,
     if twice:
         raise RuntimeError("two sets have one hash; use another seed")
     places = filled.groupBy("sid").agg(F.min(F.struct("ord", "rid")).alias("p")).select("sid", "p.ord", "p.rid")
-    keys = filled.where(F.size("keys") > 0).select(F.explode("keys").alias("block"), "sid")
-    ends = keys.groupBy("block").agg(F.min("sid").alias("head"), F.max("sid").alias("tail")).where("head <> tail").select("block", "head")
+    keys = filled.where(F.size("keys") > 0).select(F.explode("keys").alias("block"), "sid", F.col("n").cast("int").alias("n"))
+    ends = keys.groupBy("block").agg(F.min("sid").alias("head"), F.max("sid").alias("tail"), F.count(F.lit(1)).alias("many")).where("head <> tail").select("block", "many")
     members = settle(keys.join(ends, "block").distinct(), "blocks")
-    star = settle(members.where("sid <> head").select(F.col("head").alias("a"), F.col("sid").alias("b")).distinct(), "star")
-    links = _verified(star, places, bodies, width, percent)
-
-    root = settle(components(links), "roots")
-    rooted = members.join(root.withColumnRenamed("node", "sid"), "sid", "left").select("block", "sid", F.coalesce("root", "sid").alias("root"))
-    mixed = rooted.groupBy("block").agg(F.count(F.lit(1)).alias("many"), F.min("root").alias("x"), F.max("root").alias("y"), F.sum(F.xxhash64("sid").cast("decimal(38,0)")).alias("digest")).where("x <> y and many > 2")
+    star = settle(_stars(members, percent), "star")
+    points = filled.groupBy("sid").agg(F.first("n").alias("n"), F.first("point").alias("point"))
+    links = _verified(_admitted(star, points, percent), places, bodies, width, percent)
+
+    larger = members.where("many > 2")
+    for turn in range(ROUNDS + 1):
+        root = settle(components(links), "roots")
+        rooted = settle(larger.join(root.withColumnRenamed("node", "sid"), "sid", "left").select("block", "sid", "n", F.coalesce("root", "sid").alias("root")), "rooted")
+        if turn == ROUNDS:
+            break
+        again = settle(_more_stars(rooted, percent, turn).join(star, ["a", "b"], "left_anti"), "stars")
+        new = _verified(_admitted(again, points, percent), places, bodies, width, percent)
+        if new.isEmpty():
+            break
+        star, links = settle(star.unionByName(again), "star"), links.unionByName(new)
+    mixed = rooted.groupBy("block").agg(F.count(F.lit(1)).alias("many"), F.min("root").alias("x"), F.max("root").alias("y"), F.sum(F.xxhash64("sid").cast("decimal(38,0)")).alias("digest")).where("x <> y")
     mixed = mixed.groupBy("digest", "many").agg(F.min("block").alias("block"))  # blocks of the same members: one of them
     chunked = rooted.join(mixed.select("block", F.ceil(F.col("many") / CHUNK).cast("int").alias("chunks")), "block").withColumn("c", F.pmod(F.xxhash64("sid"), F.col("chunks")).cast("int"))
-    points = filled.groupBy("sid").agg(F.first("n").alias("n"), F.first("point").alias("point"))
     rows = chunked.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))).select("block", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), F.when(F.col("c") == F.col("o"), 2).when(F.col("c") < F.col("o"), 0).otherwise(1).alias("side"), "sid", "root")
-    rows = rows.join(points, "sid").select("block", "i", "j", "side", "sid", "root", "n", "point").repartition("block", "i", "j").sortWithinPartitions("block", "i", "j")
-    more = settle(_tree_pairs(rows, percent).distinct().join(star.unionByName(star.select(F.col("b").alias("a"), F.col("a").alias("b"))), ["a", "b"], "left_anti"), "more")
+    few = rooted.join(mixed.select("block"), "block").groupBy("sid").agg(F.slice(F.array_sort(F.collect_set("block")), 1, FIRSTS).alias("firsts"))  # a set's own blocks: no more than its shingles
+    rows = rows.join(points, "sid").join(few, "sid").select("block", "i", "j", "side", "sid", "root", points["n"], "point", "firsts").repartition("block", "i", "j").sortWithinPartitions("block", "i", "j")
+    more = settle(_tree_pairs(rows, percent).distinct().join(star, ["a", "b"], "left_anti"), "more")
     if more.limit(1).count():
         extra = _verified(more, places, bodies, width, percent)
         links = links.unionByName(extra)
@@ -235,7 +328,7 @@ def linked_sets(bodies: DataFrame, width: int, percent: int) -> tuple[DataFrame,
     nodes = places.join(root.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
     nodes = settle(nodes.join(degree, "sid", "left").select("sid", "ord", "rid", "root", F.coalesce("n_links", F.lit(0)).alias("n_links")), "nodes")
     texts = settle(sets.select("ord", "rid", "n", "sid"), "texts")
-    discard(sets, members, star, more, root)
+    discard(sets, members, star, more, root, rooted)
     return texts, nodes
 
 
@@ -270,7 +363,7 @@ def one_of_each(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
     wordless = ~F.coalesce(F.col("body").cast("string").rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
     chosen = bodies.join(stays, ["ord", "rid"], "left_semi").withColumn("copy", F.row_number().over(Window.partitionBy("ord", "rid").orderBy("ord", "rid"))).where("copy = 1").drop("copy")
     kept = bodies.where(wordless).unionByName(chosen.where(~wordless))
-    made = {"doc_id": F.col("doc_id").cast(dict(docs.dtypes)["doc_id"]), "text": F.col("body").cast("string")}
+    made = {"doc_id": F.col("doc_id").cast(dict(docs.dtypes)["doc_id"]), "text": F.when(F.col("had"), F.col("body").cast("string"))}
     return kept.select(*[(made[c] if c in made else F.col(f"row.`{c}`")).alias(c) for c in docs.columns])
 
 
