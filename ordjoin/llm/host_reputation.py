@@ -17,6 +17,7 @@ from ordjoin.llm.common import settle, table
 #: (verdict, host, path)
 RULES = (("allow", "com", "/"), ("block", "example.com", "/en/"), ("allow", "www.example.com", "/en/"), ("block", "net", "/es/"), ("block", "net", "/fr/"))
 BLOCK_SHARE, SIGMAS = 0.5, 1.64
+MADE = ("host", "path", "rule", "verdict", "mean", "bound", "_url")
 
 
 def host_of(url: Column) -> Column:
@@ -93,12 +94,12 @@ def labelled_pages(pages: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def judge(pages: DataFrame, labels: DataFrame, rules: Sequence[tuple[str, str, str]] = RULES, share: float = BLOCK_SHARE) -> DataFrame:
-    """Add host, path, rule, verdict, and the host's posterior ``mean`` and ``bound``.
+    """Add host, path, rule, verdict, and the host's posterior ``mean`` and ``bound`` (columns of these names are replaced).
 
     A rule's verdict stands; else a host is blocked if its bound is over ``share``, and allowed otherwise. Null urls
     have an empty host and path and are judged as that host. Repeated rows are judged alike and count as pages.
     """
-    rows = with_parts(pages)
+    rows = with_parts(pages.drop(*MADE))
     found = reputations(labelled_pages(rows, labels))
     rule, verdict = rule_of(rules)
     joined = rows.join(found, "host")

@@ -80,8 +80,8 @@ def expressions(words: Column, text: Column) -> dict[str, Column]:
 def measures(docs: DataFrame) -> DataFrame:
     """Add n_words, word_chars, n_symbols, n_dup_lines and n_repeat_words; a null text counts as empty."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    found = expressions(F.col("_words"), text)
-    return docs.withColumn("_words", words_of(text)).select(*[c for c in docs.columns if c not in found], *[v.alias(k) for k, v in found.items()])
+    found = expressions(F.col("_quality_words"), text)
+    return docs.withColumn("_quality_words", words_of(text)).select(*[c for c in docs.columns if c not in found], *[v.alias(k) for k, v in found.items()])
 
 
 @dataclass(frozen=True)

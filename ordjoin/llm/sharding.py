@@ -84,23 +84,24 @@ class Ring:
 
 
 def assign(docs: DataFrame, key: Column, shards: int = SHARDS, nodes: int = NODES, cells: int = CELLS) -> DataFrame:
-    """Add ``shard`` and ``slot`` to ``docs``; counts of shards differ by one at most.
+    """Add ``shard`` and ``slot`` to ``docs`` (columns of these names are replaced); counts of shards differ by one at most.
 
     ``key``: any column whose values are spread (an id); equal keys, nulls among them, share a cell, so the caller adds
     a second column to a key that a large part of the rows has. Rows that agree in all columns may swap places.
     """
     ring = Ring(shards, nodes, cells)
+    docs = docs.drop("shard", "slot")
     spot = F.xxhash64(key)
-    rows = docs.withColumn("_spot", spot).withColumn("_cell", F.pmod("_spot", F.lit(cells)).cast("int"))
-    found = docs.select(F.pmod(F.xxhash64(key), F.lit(cells)).cast("int").alias("_cell")).groupBy("_cell").count().collect()  # at most ``cells`` rows
-    counts = {r["_cell"]: r["count"] for r in found}
+    rows = docs.withColumn("_ring_spot", spot).withColumn("_ring_cell", F.pmod("_ring_spot", F.lit(cells)).cast("int"))
+    found = docs.select(F.pmod(F.xxhash64(key), F.lit(cells)).cast("int").alias("_ring_cell")).groupBy("_ring_cell").count().collect()  # at most ``cells`` rows
+    counts = {r["_ring_cell"]: r["count"] for r in found}
     total = sum(counts.values())
     bounds = [total // shards + (s < total % shards) for s in range(shards)]
     spark = docs.sparkSession
-    ranges = spark.createDataFrame(ring.place(counts, bounds), "_cell int, _from long, _to long, shard int, _slot long")
-    rank = F.row_number().over(Window.partitionBy("_cell").orderBy("_spot", *[c for c in docs.columns if dict(docs.dtypes)[c] in _SORTABLE])) - 1
-    placed = rows.withColumn("_rank", rank.cast("long")).join(F.broadcast(ranges), "_cell").where("_rank >= _from and _rank < _to")
-    return placed.withColumn("slot", F.col("_slot") + F.col("_rank") - F.col("_from")).drop("_spot", "_cell", "_rank", "_from", "_to", "_slot")
+    ranges = spark.createDataFrame(ring.place(counts, bounds), "_ring_cell int, _ring_from long, _ring_to long, shard int, _ring_slot long")
+    rank = F.row_number().over(Window.partitionBy("_ring_cell").orderBy("_ring_spot", *[c for c in docs.columns if dict(docs.dtypes)[c] in _SORTABLE])) - 1
+    placed = rows.withColumn("_ring_rank", rank.cast("long")).join(F.broadcast(ranges), "_ring_cell").where("_ring_rank >= _ring_from and _ring_rank < _ring_to")
+    return placed.withColumn("slot", F.col("_ring_slot") + F.col("_ring_rank") - F.col("_ring_from")).drop("_ring_spot", "_ring_cell", "_ring_rank", "_ring_from", "_ring_to", "_ring_slot")
 
 
 _SORTABLE = {"bigint", "int", "smallint", "tinyint", "string", "double", "float", "boolean", "date", "timestamp", "timestamp_ntz", "binary"}

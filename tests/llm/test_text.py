@@ -275,3 +275,16 @@ def test_reputation_shrinks(spark):
     assert got["good.example.org"]["mean"] < got["new.bad.example.org"]["mean"] and got["new.bad.example.org"]["bound"] < got["bad.example.org"]["bound"]
     none = host_reputation.judge(spark.createDataFrame([], "page_id bigint, url string"), spark.createDataFrame(labels, "doc_id bigint, quality int, toxic int"))
     assert none.collect() == []
+
+
+def test_clashing_columns(corpus):
+    names = ["ord", "rid", "body", "row", "had", "key", "n", "sid", "shard", "slot", "_spot", "rank", "kept", "words", "host", "bound"]
+    odd = corpus.withColumns({c: F.lit(c) for c in names})
+    assert quality_rules.passing(odd).columns == odd.columns
+    assert sharding.assign(odd, F.col("doc_id")).count() == odd.count()
+    assert license_scan.scan(odd).count() == odd.count() and class_lm.score(odd).count() == odd.count()
+    bench = odd.limit(3).select(F.lit(1).alias("item_id"), "text", "ord")
+    out = decontamination.clean(odd, bench)
+    assert out.columns == odd.columns and 0 < out.count() <= odd.count() and out.where("text is null").count() == corpus.where("text is null").count()
+    pages = odd.select(F.col("doc_id").alias("page_id"), F.lit("http://a.org/1").alias("url"), "host", "bound")
+    assert host_reputation.judge(pages, odd.select("doc_id", F.lit(1).alias("quality"), F.lit(0).alias("toxic"))).count() == odd.count()
