@@ -24,16 +24,24 @@ WINDOW, END_ID = 4096, 2
 #: fixed values: how the public word-end vocabulary splits normalised text
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 _PLAIN = re.compile("[^\x00-\x1b\x20-ɏ]|<\\|")
-_MEMO = 400_000
+_MEMO = 1_000_000
 MAX_LISTED_PARTITIONS = 2_000_000
 
 
+def _is_plain(t: str) -> bool:
+    if t.isascii():
+        return not ("<|" in t or "\x1c" in t or "\x1d" in t or "\x1e" in t or "\x1f" in t)
+    return _PLAIN.search(t) is None
+
+
 class WordTokenizer:
     """The tokenizers file's ids, with a memo by word.
 
-    The memo is used where normalisation and splitting are the same in Python: texts of characters below U+0250
-    without control separators or special-token strings. Any other text goes through the library as a whole. Words
-    that the memo lacks are encoded together, parted by spaces.
+    The memo is used where normalisation and splitting are the same in Python: texts of characters below U+0250 without
+    control separators or special-token strings. Any other text goes through the library as a whole. Nothing crosses
+    white space, so a text's ids are those of its words in turn. A new word is split into pieces (most are letters
+    alone, or with a mark behind), and pieces that are new are encoded together, parted by spaces. A full memo starts
+    anew.
     """
 
     def __init__(self, path: str) -> None:
@@ -43,46 +51,71 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        self.model, self.split, self.memo = Tokenizer.from_file(path), regex.compile(PIECES), {}
-        self.end = END_ID.to_bytes(4, "little")
+        self.model, self.split = Tokenizer.from_file(path), regex.compile(PIECES).findall
+        self.memo: dict[str, bytes] = {}
 
-    def learn(self, words: set[str]) -> None:
-        if len(self.memo) > _MEMO:
-            self.memo.clear()
-        order = list(words)
+    def _learn_pieces(self, order: list[str]) -> None:
         found = self.model.encode(" ".join(order), add_special_tokens=False)
-        ids, at = np.array(found.ids, "<u4"), np.array([-1 if w is None else w for w in found.word_ids])
+        ids, at = np.array(found.ids, "<u4"), np.array([-1 if w is None else w for w in found.word_ids], np.int64)
         bounds = np.searchsorted(at, np.arange(len(order) + 1))
         if not len(at) or at[-1] != len(order) - 1 or (np.diff(bounds) == 0).any():
             for w in order:
                 self.memo[w] = np.array(self.model.encode(w, add_special_tokens=False).ids, "<u4").tobytes()
             return
         raw = ids.tobytes()
-        for w, a, b in zip(order, (bounds[:-1] * 4).tolist(), (bounds[1:] * 4).tolist(), strict=True):
-            self.memo[w] = raw[a:b]
+        cuts = (bounds * 4).tolist()
+        self.memo.update((w, raw[x:y]) for w, x, y in zip(order, cuts, cuts[1:], strict=False))
+
+    def _learn(self, new: set[str]) -> None:
+        memo, unknown, composed = self.memo, set(), []
+        for w in new:
+            if w.isalpha():
+                unknown.add(w)
+                continue
+            if w[-1] in ".,;:!?" and w[:-1].isalpha():
+                parts = (w[:-1], w[-1])
+            else:
+                parts = self.split(w)
+            composed.append((w, parts))
+            unknown.update(p for p in parts if p not in memo)
+        if unknown:
+            self._learn_pieces(list(unknown))
+        get = memo.__getitem__
+        for w, parts in composed:
+            memo[w] = b"".join(map(get, parts))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Little-endian 32-bit ids of each text."""
-        plain = [None if _PLAIN.search(t) else self.split.findall(t.lower()) for t in texts]
-        new = {w for words in plain if words for w in words if w not in self.memo}
+        if len(self.memo) > _MEMO:
+            self.memo.clear()
+        plain = [t.lower().split() if _is_plain(t) else None for t in texts]
+        new = set().union(*filter(None, plain)) - self.memo.keys()
         if new:
-            self.learn(new)
-            new = {w for words in plain if words for w in words if w not in self.memo}
-            if new:  # the memo was cleared
-                self.learn(new)
+            self._learn(new)
         get = self.memo.__getitem__
         return [b"".join(map(get, words)) if words is not None else np.array(self.model.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t, words in zip(texts, plain, strict=True)]
 
 
+_TOKENIZERS: dict[str, WordTokenizer] = {}
+
+
+def tokenizer_of(path: str) -> WordTokenizer:
+    """One tokenizer a process: its memos serve all tasks of a worker."""
+    if path not in _TOKENIZERS:
+        _TOKENIZERS[path] = WordTokenizer(path)
+    return _TOKENIZERS[path]
+
+
 def tokenized(docs: DataFrame, path: str) -> DataFrame:
     """(doc_id, part, at, n, ids): ids with the end id as bytes; ``at``: tokens before it in its partition. Settled."""
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, part, at = WordTokenizer(path), TaskContext.get().partitionId(), 0
+        end = END_ID.to_bytes(4, "little")
+        encoder, part, at = tokenizer_of(path), TaskContext.get().partitionId(), 0
         for batch in batches:
             for x in range(0, batch.num_rows, 512):
                 rows = batch.slice(x, 512)
-                ids = [i + encoder.end for i in encoder.encode(["" if t is None else t for t in rows.column(1).to_pylist()])]
+                ids = [i + end for i in encoder.encode(["" if t is None else t for t in rows.column(1).to_pylist()])]
                 sizes = [len(i) // 4 for i in ids]
                 starts = [at, *accumulate(sizes, initial=at)][1:-1] if sizes else []
                 at += sum(sizes)
