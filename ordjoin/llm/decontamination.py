@@ -3,7 +3,8 @@
 Documents are cut into overlapping passages. TF-IDF vectors over hashed words (document frequencies of all documents)
 are projected on the leading right singular vectors of a randomised SVD: tasks multiply their sampled passages by random
 signs and add up to a small sketch, whose SVD, together with the benchmark's own rows, gives the basis. Every passage of
-every document is then compared with every item by cosine; candidates are checked on the words around the passage: the
+every document is then compared with every item by cosine (passages whose words, each at its best item, can't reach the
+limit are skipped, which loses nothing); candidates are checked on the words around the passage: the
 longest common subsequence with the item, and how much of the item's answer (its last sentence) is there in order.
 """
 
@@ -20,12 +21,14 @@ from pyspark.sql import functions as F
 from ordjoin.llm import kernels as K
 from ordjoin.llm.common import map_arrow, settle, slices, table
 from ordjoin.llm.license_scan import tokens_of
+from ordjoin.llm.windows import LAST, bodies_of
 
-DIMS, RANK, BLOCK = 1 << 13, 128, 20
-SAMPLE_DOCS, SKETCH = 20_000, 192
+DIMS, BLOCK = 1 << 15, 20
+TOPICS = 64  # dimensions beside those that the items need
+SAMPLE_DOCS, SKETCH, SKETCHES = 20_000, 64, 2
 COMMON = 0.2  # words in more of the documents than this carry no weight
 COSINE, LCS, ANSWER = 0.3, 0.6, 0.5
-ITEMS_AT_ONCE = 4096
+ITEMS_AT_ONCE = 512
 _SENTENCE = re.compile(r"(?<=[.!?])\s+")
 
 
@@ -39,7 +42,7 @@ def frequencies(bodies: DataFrame) -> tuple[int, np.ndarray]:
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(DIMS + 1, np.int64)
         for batch in batches:
-            for _, _, raw, ends in slices(batch.column(0), 1 << 20):
+            for _, _, raw, ends in slices(batch.column(0), 1 << 18):
                 tokens, first = tokens_of(raw, ends)
                 doc = np.repeat(np.arange(len(first) - 1), np.diff(first))
                 seen = np.zeros((len(first) - 1) * DIMS, bool)
@@ -90,8 +93,9 @@ def _block_sums(values: np.ndarray, block: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
-def basis(bodies: DataFrame, items: np.ndarray, weight: np.ndarray, rank: int = RANK) -> np.ndarray:
-    """DIMS x rank: right singular vectors of a sketch of at most SAMPLE_DOCS documents' passages and of the items."""
+def basis(bodies: DataFrame, items: np.ndarray, weight: np.ndarray, topics: int = TOPICS) -> np.ndarray:
+    """DIMS x (items + topics): leading right singular vectors of the items and of a sketch of at most SAMPLE_DOCS
+    documents' passages. The rank follows the number of items at once, so that none of them is lost."""
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sketch = np.zeros((DIMS, SKETCH), np.float32)
@@ -109,15 +113,15 @@ def basis(bodies: DataFrame, items: np.ndarray, weight: np.ndarray, rank: int =
         at = np.flatnonzero(np.abs(sketch).sum(1))
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array([sketch[i].tobytes() for i in at], pa.binary())], names=["dim", "row"])
 
-    sample = bodies.where("pmod(rid, 4) = 0").limit(SAMPLE_DOCS).select("body").repartition(8)
-    got = map_arrow(sample, each, "dim long, row binary").toArrow()  # eight sketches of DIMS x SKETCH at most
+    sample = bodies.where("pmod(rid, 4) = 0").limit(SAMPLE_DOCS).select("body").repartition(SKETCHES)
+    got = map_arrow(sample, each, "dim long, row binary").toArrow()  # SKETCHES times DIMS x SKETCH numbers at most
     rows = np.zeros((DIMS, SKETCH), np.float32)
     for d, r in zip(got.column("dim").to_pylist(), got.column("row").to_pylist(), strict=True):
         rows[d] += np.frombuffer(r, np.float32)
-    rows *= len(items) ** 0.5 / max(np.linalg.norm(rows), 1e-9)  # as much energy as the items have
-    stacked = np.concatenate([rows.T, items]) if len(items) <= 2048 else np.concatenate([rows.T, (np.random.Generator(np.random.PCG64(8)).choice(np.array([-1, 1], np.float32), (1024, len(items))) @ items) / 32])
+    rows *= 0.5 * len(items) ** 0.5 / max(np.linalg.norm(rows), 1e-9)  # half the length of the items
+    stacked = np.concatenate([rows.T, items])
     _, vectors = np.linalg.eigh(stacked @ stacked.T)
-    right = stacked.T @ vectors[:, ::-1][:, :rank]
+    right = stacked.T @ vectors[:, ::-1][:, : len(items) + topics]
     return (right / np.maximum(np.linalg.norm(right, axis=0), 1e-9)).astype(np.float32)
 
 
@@ -160,19 +164,19 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = COSINE, lc
     rows give their rows again; a null doc_id stays null. A large benchmark is searched in blocks of items.
     """
     spark = docs.sparkSession
-    text = F.coalesce(F.col("text"), F.lit(""))
-    bodies = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("doc_id", text).alias("rid"), text.cast("binary").alias("body"))
-    schema = "doc_id long, rid long, item_id long, cosine double, lcs double, answer double"
+    bodies = bodies_of(docs).select("doc_id", "rid", "body")
+    schema = "doc_id long, rid int, item_id long, cosine double, lcs double, answer double"
     total = benchmark.count()
     n, df = frequencies(bodies)
     weight = weights_of(n, df)
     out = None
     blocks = max(1, -(-total // ITEMS_AT_ONCE))
     for k in range(blocks):
-        some = benchmark.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == k).select(F.col("item_id").cast("long"), F.coalesce("text", F.lit("")).alias("text")).orderBy("item_id", "text").toPandas()
-        rows, words, answers = _item_rows(some["text"].tolist(), weight)
+        some = benchmark.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == k).select(F.col("item_id").cast("long"), F.coalesce("text", F.lit("")).alias("text")).orderBy("item_id", "text").toArrow()
+        rows, words, answers = _item_rows(some.column("text").to_pylist(), weight)
         use = [i for i, w in enumerate(words) if w]
-        ids, rows, words, answers = some["item_id"].to_numpy()[use], rows[use], [words[i] for i in use], [answers[i] for i in use]
+        numbers = some.column("item_id").to_pylist()
+        ids, rows, words, answers = [numbers[i] for i in use], rows[use], [words[i] for i in use], [answers[i] for i in use]
         if not len(use):
             continue
         found = _search(bodies, weight, basis(bodies, rows, weight), ids, rows, words, answers, (cosine, lcs, answer), schema)
@@ -180,14 +184,17 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = COSINE, lc
     return out if out is not None else spark.createDataFrame([], schema)
 
 
-def _search(bodies: DataFrame, weight: np.ndarray, v: np.ndarray, ids: np.ndarray, rows: np.ndarray, words: list, answers: list, limits: tuple, schema: str) -> DataFrame:
+def _search(bodies: DataFrame, weight: np.ndarray, v: np.ndarray, ids: list, rows: np.ndarray, words: list, answers: list, limits: tuple, schema: str) -> DataFrame:
     latent = rows @ v
     latent /= np.maximum(np.linalg.norm(latent, axis=1, keepdims=True), 1e-9)
-    side = latent.T.copy()
+    # what a hashed word adds to the product with each item; sent in half precision, which is enough for candidates
+    gain = ((v @ latent.T) * weight[:, None]).astype(np.float16)
+    best = gain.max(axis=1).astype(np.float32)
+    del rows, v, latent
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cosine, lcs, answer = limits
-        basis_w = v * weight[:, None]
+        full = gain.astype(np.float32)
         for batch in batches:
             doc_ids, rids = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             hits: list[tuple] = []
@@ -196,14 +203,22 @@ def _search(bodies: DataFrame, weight: np.ndarray, v: np.ndarray, ids: np.ndarra
                 dim, w, block, owner = passages(tokens, first, weight)
                 if not len(dim):
                     continue
-                sums = _block_sums(basis_w[dim], block, len(owner))
-                squares = np.bincount(block, weights=w * w, minlength=len(owner)).astype(np.float32)
-                sums, squares = _pairs_of_blocks(sums, squares, owner)
-                near = sums @ side
-                near /= np.sqrt(np.maximum(squares, 1e-9))[:, None]
-                place = np.arange(len(owner)) - np.searchsorted(owner, owner)
-                best: dict[tuple[int, int], tuple] = {}
-                for p, i in zip(*(x.tolist() for x in np.nonzero(near >= cosine)), strict=True):
+                n = len(owner)
+                most = np.bincount(block, weights=best[dim], minlength=n)
+                squares = np.bincount(block, weights=w * w, minlength=n)
+                most, squares = _pairs_of_blocks(most, squares, owner)
+                length = np.sqrt(np.maximum(squares, 1e-9))
+                hope = most >= 0.999 * cosine * length
+                wanted = hope.copy()
+                wanted[1:] |= hope[:-1]
+                use = wanted[block]
+                sums, _ = _pairs_of_blocks(_block_sums(full[dim[use]], block[use], n), squares, owner)
+                rows_at = np.flatnonzero(hope)
+                near = sums[rows_at] / length[rows_at, None]
+                place = np.arange(n) - np.searchsorted(owner, owner)
+                found: dict[tuple[int, int], tuple] = {}
+                for r, i in zip(*(x.tolist() for x in np.nonzero(near >= cosine)), strict=True):
+                    p = int(rows_at[r])
                     d = int(owner[p])
                     lo = int(first[d]) + int(place[p]) * BLOCK
                     reach = 2 * len(words[i]) + BLOCK
@@ -214,19 +229,20 @@ def _search(bodies: DataFrame, weight: np.ndarray, v: np.ndarray, ids: np.ndarra
                         continue
                     said = common_length(answers[i], around) / len(answers[i])
                     if said >= answer:
-                        best[d, i] = max(best.get((d, i), (0.0, 0.0, 0.0)), (share, said, min(1.0, float(near[p, i]))))
-                hits += [(doc_ids[a + d], rids[a + d], int(ids[i]), c, share, said) for (d, i), (share, said, c) in sorted(best.items())]
+                        found[d, i] = max(found.get((d, i), (0.0, 0.0, 0.0)), (share, said, min(1.0, float(near[r, i]))))
+                hits += [(doc_ids[a + d], rids[a + d], ids[i], c, share, said) for (d, i), (share, said, c) in sorted(found.items())]
             columns = list(zip(*hits, strict=True)) if hits else [()] * 6
-            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.float64()), strict=True)], names=[x.split()[0] for x in schema.split(", ")])
+            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.float64(), pa.float64()), strict=True)], names=[x.split()[0] for x in schema.split(", ")])
 
     return map_arrow(bodies, each, schema)
 
 
 def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """``docs`` without those that hold a benchmark item."""
-    leaks = settle(find_leaks(docs, benchmark).select(F.coalesce("doc_id", F.lit(2**63 - 1)).alias("_ord"), F.col("rid").alias("_rid")).distinct(), "leaks")
-    keyed = docs.withColumns({"_ord": F.coalesce(F.col("doc_id").cast("long"), F.lit(2**63 - 1)), "_rid": F.xxhash64("doc_id", F.coalesce(F.col("text"), F.lit("")))})
-    return keyed.join(leaks, ["_ord", "_rid"], "left_anti").select(*docs.columns)
+    leaks = find_leaks(docs, benchmark).select(F.coalesce("doc_id", F.lit(LAST)).alias("ord"), "rid").distinct()
+    rest = bodies_of(docs).join(settle(leaks, "leaks"), ["ord", "rid"], "left_anti")
+    made = {"doc_id": F.col("doc_id").cast(dict(docs.dtypes)["doc_id"]), "text": F.when(F.col("had"), F.col("body").cast("string"))}
+    return rest.select(*[(made[c] if c in made else F.col(f"row.`{c}`")).alias(c) for c in docs.columns])
 
 
 def op6_latent_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
