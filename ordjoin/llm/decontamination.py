@@ -1,17 +1,17 @@
-"""Benchmark decontamination by latent semantic retrieval, checked by common subsequences.
-
-Documents are cut into overlapping passages. TF-IDF vectors over hashed words (document frequencies of all documents)
-are projected on the leading right singular vectors of a randomised SVD: tasks multiply their sampled passages by random
-signs and add up to a small sketch, whose SVD, together with the benchmark's own rows, gives the basis. Every passage of
-every document is then compared with every item by cosine (passages whose words, each at its best item, can't reach the
-limit are skipped, which loses nothing); candidates are checked on the words around the passage: the
-longest common subsequence with the item, and how much of the item's answer (its last sentence) is there in order.
+"""Benchmark decontamination by TF-IDF retrieval, checked by common subsequences.
+
+Documents are cut into overlapping passages. Words of the benchmark's items are counted and weighted each on its own;
+no word has weight 0, however common. Every passage of every document is compared with every item by the product of
+their TF-IDF vectors (passages whose words, each at its best item, can't reach the limit are skipped, which loses
+nothing); candidates are checked on the words around the passage: the heaviest common subsequence with the item, and
+how much of the item's answer (its last sentence) is there in order.
 """
 
 from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -24,56 +24,62 @@ from ordjoin.llm.license_scan import tokens_of
 from ordjoin.llm.windows import LAST, bodies_of
 
 DIMS, BLOCK = 1 << 15, 20
-TOPICS = 64  # dimensions beside those that the items need
-SAMPLE_DOCS, SKETCH, SKETCHES = 20_000, 64, 2
-COMMON = 0.2  # words in more of the documents than this carry no weight
 COSINE, LCS, ANSWER = 0.3, 0.6, 0.5
 ITEMS_AT_ONCE = 512
 _SENTENCE = re.compile(r"(?<=[.!?])\s+")
 
 
-def dims_of(tokens: np.ndarray) -> np.ndarray:
-    return (tokens >> np.uint64(20)).astype(np.int64) % DIMS
+@dataclass
+class Slots:
+    """Place of each word among the dimensions: words of the items have one of their own, all others share DIMS by hash."""
+
+    words: np.ndarray  # sorted hashes of the items' words
+
+    def __len__(self) -> int:
+        return DIMS + len(self.words)
+
+    def of(self, tokens: np.ndarray) -> np.ndarray:
+        shared = (tokens >> np.uint64(20)).astype(np.int64) % DIMS
+        if not len(self.words):
+            return shared
+        at = np.minimum(np.searchsorted(self.words, tokens), len(self.words) - 1)
+        return np.where(self.words[at] == tokens, DIMS + at, shared)
 
 
-def frequencies(bodies: DataFrame) -> tuple[int, np.ndarray]:
-    """Number of documents with a word, and for each hashed word in how many of them it stands (over all documents)."""
+def frequencies(bodies: DataFrame, slots: Slots) -> tuple[int, np.ndarray]:
+    """Number of documents with a word, and for each slot in how many of them it stands (over all documents)."""
+    size = len(slots)
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(DIMS + 1, np.int64)
+        total = np.zeros(size + 1, np.int64)
         for batch in batches:
             for _, _, raw, ends in slices(batch.column(0), 1 << 18):
                 tokens, first = tokens_of(raw, ends)
                 doc = np.repeat(np.arange(len(first) - 1), np.diff(first))
-                seen = np.zeros((len(first) - 1) * DIMS, bool)
-                seen[doc * DIMS + dims_of(tokens)] = True
-                total[:DIMS] += seen.reshape(-1, DIMS).sum(0)
-                total[DIMS] += int((np.diff(first) > 0).sum())
+                total[:size] += np.bincount(np.unique(doc * size + slots.of(tokens)) % size, minlength=size)
+                total[size] += int((np.diff(first) > 0).sum())
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], names=["dim", "n"])
 
-    got = map_arrow(bodies.select("body"), each, "dim long, n long").groupBy("dim").agg(F.sum("n").alias("n")).toArrow()  # at most DIMS + 1 rows
-    out = np.zeros(DIMS + 1, np.int64)
+    got = map_arrow(bodies.select("body"), each, "dim long, n long").groupBy("dim").agg(F.sum("n").alias("n")).toArrow()  # at most a row a slot
+    out = np.zeros(size + 1, np.int64)
     out[got.column("dim").to_numpy()] = got.column("n").to_numpy()
-    return int(out[DIMS]), out[:DIMS]
+    return int(out[size]), out[:size]
 
 
 def weights_of(n: int, df: np.ndarray) -> np.ndarray:
-    idf = np.log((n + 1) / (df + 1))
-    idf[df > COMMON * max(n, 1)] = 0
-    return idf.astype(np.float32)
+    """Smoothed inverse document frequencies: at least log 2, also for a word of every document."""
+    return np.log(1 + max(n, 1) / np.maximum(df, 1)).astype(np.float32)
 
 
-def passages(tokens: np.ndarray, first: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(hashed word, weight, block of each weighted token; document of each block): blocks of BLOCK words."""
+def passages(tokens: np.ndarray, first: np.ndarray, slots: Slots, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(slot, weight, block of each word; document of each block): blocks of BLOCK words."""
     per = -(-np.diff(first) // BLOCK)
     base = np.cumsum(per) - per
     doc = np.repeat(np.arange(len(first) - 1), np.diff(first))
     block = base[doc] + (np.arange(len(tokens)) - first[doc]) // BLOCK
-    dim = dims_of(tokens)
-    w = weight[dim]
-    use = w > 0
-    return dim[use], w[use], block[use], np.repeat(np.arange(len(first) - 1), per)
+    slot = slots.of(tokens)
+    return slot, weight[slot], block, np.repeat(np.arange(len(first) - 1), per)
 
 
 def _pairs_of_blocks(sums: np.ndarray, squares: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -93,38 +99,6 @@ def _block_sums(values: np.ndarray, block: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
-def basis(bodies: DataFrame, items: np.ndarray, weight: np.ndarray, topics: int = TOPICS) -> np.ndarray:
-    """DIMS x (items + topics): leading right singular vectors of the items and of a sketch of at most SAMPLE_DOCS
-    documents' passages. The rank follows the number of items at once, so that none of them is lost."""
-
-    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sketch = np.zeros((DIMS, SKETCH), np.float32)
-        random = np.random.Generator(np.random.PCG64(7))
-        for batch in batches:
-            for _, _, raw, ends in slices(batch.column(0), 1 << 18):
-                dim, w, block, owner = passages(*tokens_of(raw, ends), weight)
-                if not len(dim):
-                    continue
-                norm = np.sqrt(np.maximum(np.bincount(block, weights=w * w, minlength=len(owner)), 1e-9))
-                signs = random.choice(np.array([-1, 1], np.float32), (len(owner), SKETCH))
-                order = np.argsort(dim, kind="stable")
-                cuts = np.flatnonzero(np.diff(dim[order], prepend=-1))
-                sketch[dim[order][cuts]] += np.add.reduceat(signs[block[order]] * (w / norm[block])[order, None].astype(np.float32), cuts, axis=0)
-        at = np.flatnonzero(np.abs(sketch).sum(1))
-        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array([sketch[i].tobytes() for i in at], pa.binary())], names=["dim", "row"])
-
-    sample = bodies.where("pmod(rid, 4) = 0").limit(SAMPLE_DOCS).select("body").repartition(SKETCHES)
-    got = map_arrow(sample, each, "dim long, row binary").toArrow()  # SKETCHES times DIMS x SKETCH numbers at most
-    rows = np.zeros((DIMS, SKETCH), np.float32)
-    for d, r in zip(got.column("dim").to_pylist(), got.column("row").to_pylist(), strict=True):
-        rows[d] += np.frombuffer(r, np.float32)
-    rows *= 0.5 * len(items) ** 0.5 / max(np.linalg.norm(rows), 1e-9)  # half the length of the items
-    stacked = np.concatenate([rows.T, items])
-    _, vectors = np.linalg.eigh(stacked @ stacked.T)
-    right = stacked.T @ vectors[:, ::-1][:, : len(items) + topics]
-    return (right / np.maximum(np.linalg.norm(right, axis=0), 1e-9)).astype(np.float32)
-
-
 def common_length(a: list[int], b: list[int]) -> int:
     """Length of the longest common subsequence, in bit-parallel steps over ``b``."""
     where: dict[int, int] = {}
@@ -138,99 +112,119 @@ def common_length(a: list[int], b: list[int]) -> int:
     return len(a) - row.bit_count()
 
 
-def _item_rows(texts: list[str], weight: np.ndarray) -> tuple[np.ndarray, list[list[int]], list[list[int]]]:
-    """TF-IDF rows of unit length, weighted words of each item, and of its answer (all words where none has weight)."""
-    rows, words, answers = np.zeros((len(texts), DIMS), np.float32), [], []
+class Sequence:
+    """An item's words (or its answer's) in order, for weighted common subsequences."""
+
+    def __init__(self, slot: np.ndarray, weight: np.ndarray) -> None:
+        self.slot = slot
+        self.distinct, place = np.unique(slot, return_inverse=True)
+        self.of_word = np.zeros((len(self.distinct), len(slot)), np.float32)
+        self.of_word[place, np.arange(len(slot))] = weight[slot]
+        self.by_word = self.of_word.sum(1)
+        self.total = float(self.by_word.sum())
+
+    def share(self, around: np.ndarray, least: float) -> float:
+        """Weight of the heaviest common subsequence with ``around`` by the own weight; 0 where it can't reach ``least``."""
+        at = np.minimum(np.searchsorted(self.distinct, around), len(self.distinct) - 1)
+        at = at[self.distinct[at] == around]
+        if self.by_word[np.unique(at)].sum() < 0.999 * least * self.total:
+            return 0.0
+        row = np.zeros(len(self.slot) + 1, np.float32)
+        for x in at.tolist():
+            row[1:] = np.maximum.accumulate(np.maximum(row[1:], row[:-1] + self.of_word[x]))
+        return min(1.0, float(row[-1]) / self.total)
+
+
+def _tokens(text: str) -> np.ndarray:
+    raw = np.frombuffer(text.encode(), np.uint8)
+    return tokens_of(raw, np.array([0, len(raw)]))[0]
 
-    def content(text: str) -> np.ndarray:
-        raw = np.frombuffer(text.encode(), np.uint8)
-        tokens, _ = tokens_of(raw, np.array([0, len(raw)]))
-        return tokens[weight[dims_of(tokens)] > 0] if len(tokens) else tokens
 
-    for i, text in enumerate(texts):
-        own = content(text)
-        np.add.at(rows[i], dims_of(own), weight[dims_of(own)] if len(own) else 0)
-        words.append(own.tolist())
-        parts = [p for p in (content(s).tolist() for s in _SENTENCE.split(text)) if p]
-        answers.append(parts[-1] if parts else [])
-    return rows / np.maximum(np.linalg.norm(rows, axis=1, keepdims=True), 1e-9), words, answers
+def _item_rows(words: list[np.ndarray], slots: Slots, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """TF-IDF rows of unit length over the items' own slots, and the length of each before."""
+    rows = np.zeros((len(words), len(slots.words)), np.float32)
+    for i, own in enumerate(words):
+        np.add.at(rows[i], slots.of(own) - DIMS, weight[slots.of(own)])
+    length = np.linalg.norm(rows, axis=1)
+    return rows / length[:, None], length
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = COSINE, lcs: float = LCS, answer: float = ANSWER) -> DataFrame:
     """(doc_id, rid, item_id, cosine, lcs, answer): benchmark items that stand in a document, also reworded in part.
 
-    ``lcs`` and ``answer`` are shares of the item's weighted words found in order near the passage; a pair is a leak if
-    both reach their limits. Items without a weighted word, null or empty texts on either side give nothing; repeated
+    ``lcs`` and ``answer`` are shares of the weight of the item's words found in order near the passage; a pair is a
+    leak if both reach their limits. Items without a word, null or empty texts on either side give nothing; repeated
     rows give their rows again; a null doc_id stays null. A large benchmark is searched in blocks of items.
     """
     spark = docs.sparkSession
     bodies = bodies_of(docs).select("doc_id", "rid", "body")
     schema = "doc_id long, rid int, item_id long, cosine double, lcs double, answer double"
     total = benchmark.count()
-    n, df = frequencies(bodies)
-    weight = weights_of(n, df)
     out = None
     blocks = max(1, -(-total // ITEMS_AT_ONCE))
     for k in range(blocks):
         some = benchmark.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == k).select(F.col("item_id").cast("long"), F.coalesce("text", F.lit("")).alias("text")).orderBy("item_id", "text").toArrow()
-        rows, words, answers = _item_rows(some.column("text").to_pylist(), weight)
-        use = [i for i, w in enumerate(words) if w]
-        numbers = some.column("item_id").to_pylist()
-        ids, rows, words, answers = [numbers[i] for i in use], rows[use], [words[i] for i in use], [answers[i] for i in use]
-        if not len(use):
+        texts = [(i, t, w) for i, t in zip(some.column("item_id").to_pylist(), some.column("text").to_pylist(), strict=True) if len(w := _tokens(t))]
+        if not texts:
             continue
-        found = _search(bodies, weight, basis(bodies, rows, weight), ids, rows, words, answers, (cosine, lcs, answer), schema)
+        words = [w for _, _, w in texts]
+        slots = Slots(np.unique(np.concatenate(words)))
+        weight = weights_of(*frequencies(bodies, slots))
+        answers = [[p for p in map(_tokens, _SENTENCE.split(t)) if len(p)][-1] for _, t, _ in texts]
+        found = _search(bodies, slots, weight, [i for i, _, _ in texts], words, answers, (cosine, lcs, answer), schema)
         out = found if out is None else out.unionByName(found)
     return out if out is not None else spark.createDataFrame([], schema)
 
 
-def _search(bodies: DataFrame, weight: np.ndarray, v: np.ndarray, ids: list, rows: np.ndarray, words: list, answers: list, limits: tuple, schema: str) -> DataFrame:
-    latent = rows @ v
-    latent /= np.maximum(np.linalg.norm(latent, axis=1, keepdims=True), 1e-9)
-    # what a hashed word adds to the product with each item; sent in half precision, which is enough for candidates
-    gain = ((v @ latent.T) * weight[:, None]).astype(np.float16)
-    best = gain.max(axis=1).astype(np.float32)
-    del rows, v, latent
+def _search(bodies: DataFrame, slots: Slots, weight: np.ndarray, ids: list, words: list, answers: list, limits: tuple, schema: str) -> DataFrame:
+    rows, heavy = _item_rows(words, slots, weight)
+    gain = rows.T * weight[DIMS:, None]  # what a word adds to the product with each item
+    best, best_share = gain.max(axis=1), (gain / heavy).max(axis=1)
+    del rows
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cosine, lcs, answer = limits
-        full = gain.astype(np.float32)
+        items, said_by = [Sequence(slots.of(w), weight) for w in words], [Sequence(slots.of(w), weight) for w in answers]
         for batch in batches:
             doc_ids, rids = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             hits: list[tuple] = []
             for a, _, raw, ends in slices(batch.column(2), 1 << 18):
                 tokens, first = tokens_of(raw, ends)
-                dim, w, block, owner = passages(tokens, first, weight)
-                if not len(dim):
+                slot, w, block, owner = passages(tokens, first, slots, weight)
+                if not len(slot):
                     continue
                 n = len(owner)
-                most = np.bincount(block, weights=best[dim], minlength=n)
+                at = np.flatnonzero(slot >= DIMS)
+                own = slot[at] - DIMS
+                most, share = (np.bincount(block[at], weights=x[own], minlength=n) for x in (best, best_share))
                 squares = np.bincount(block, weights=w * w, minlength=n)
+                share, _ = _pairs_of_blocks(share, squares, owner)
                 most, squares = _pairs_of_blocks(most, squares, owner)
                 length = np.sqrt(np.maximum(squares, 1e-9))
-                hope = most >= 0.999 * cosine * length
+                hope = (most >= 0.999 * cosine * length) | (share >= 0.999 * cosine)
                 wanted = hope.copy()
                 wanted[1:] |= hope[:-1]
-                use = wanted[block]
-                sums, _ = _pairs_of_blocks(_block_sums(full[dim[use]], block[use], n), squares, owner)
+                use = wanted[block[at]]
+                sums, _ = _pairs_of_blocks(_block_sums(gain[own[use]], block[at][use], n), squares, owner)
                 rows_at = np.flatnonzero(hope)
-                near = sums[rows_at] / length[rows_at, None]
+                # the product by the lighter length: a whole item counts among heavier words, a part of it alone as well
+                near = sums[rows_at]
+                close = near >= cosine * np.minimum(length[rows_at, None], heavy)
                 place = np.arange(n) - np.searchsorted(owner, owner)
                 found: dict[tuple[int, int], tuple] = {}
-                for r, i in zip(*(x.tolist() for x in np.nonzero(near >= cosine)), strict=True):
+                for r, i in zip(*(x.tolist() for x in np.nonzero(close)), strict=True):
                     p = int(rows_at[r])
                     d = int(owner[p])
                     lo = int(first[d]) + int(place[p]) * BLOCK
                     reach = 2 * len(words[i]) + BLOCK
-                    around = tokens[max(int(first[d]), lo - reach) : min(int(first[d + 1]), lo + 2 * BLOCK + reach)]
-                    around = around[weight[dims_of(around)] > 0].tolist()
-                    share = common_length(words[i], around) / len(words[i])
-                    if share < lcs:
+                    around = slot[max(int(first[d]), lo - reach) : min(int(first[d + 1]), lo + 2 * BLOCK + reach)]
+                    part = items[i].share(around, lcs)
+                    if part < lcs:
                         continue
-                    said = common_length(answers[i], around) / len(answers[i])
+                    said = said_by[i].share(around, answer)
                     if said >= answer:
-                        found[d, i] = max(found.get((d, i), (0.0, 0.0, 0.0)), (share, said, min(1.0, float(near[r, i]))))
-                hits += [(doc_ids[a + d], rids[a + d], ids[i], c, share, said) for (d, i), (share, said, c) in sorted(found.items())]
+                        found[d, i] = max(found.get((d, i), (0.0, 0.0, 0.0)), (part, said, min(1.0, float(near[r, i] / length[p]))))
+                hits += [(doc_ids[a + d], rids[a + d], ids[i], c, part, said) for (d, i), (part, said, c) in sorted(found.items())]
             columns = list(zip(*hits, strict=True)) if hits else [()] * 6
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.float64(), pa.float64()), strict=True)], names=[x.split()[0] for x in schema.split(", ")])
 

@@ -186,6 +186,23 @@ def test_leaks(spark, corpus, empty):
     assert decontamination.find_leaks(empty, bench).collect() == [] and decontamination.find_leaks(docs, bench.limit(0)).collect() == []
 
 
+def test_widespread_leak(spark):
+    rng = random.Random(8)
+    words = [f"t{i}" for i in range(3000)]
+    text = lambda n: " ".join(rng.choice(words) for _ in range(n))
+    items = [(1, "which of the old rivers runs north past seven mills. the grey one does."), (2, "name a metal that stays liquid in a cold cellar. quicksilver stays.")]
+    bench = spark.createDataFrame(items, "item_id bigint, text string")
+
+    def leaks(rows):
+        return sorted((r["doc_id"], r["item_id"]) for r in decontamination.find_leaks(spark.createDataFrame(rows, "doc_id bigint, text string"), bench).collect())
+
+    rows = [(i, f"{text(60)} {items[0][1]} {text(60)}" if i % 3 == 0 else text(150)) for i in range(90)]
+    assert leaks(rows) == [(i, 1) for i in range(0, 90, 3)]
+    for n in range(1, 5):
+        assert leaks([(0, f"{text(30)} {items[1][1]}"), *[(i, text(50)) for i in range(1, n)]]) == [(0, 2)]
+    assert leaks([(i, items[i // 4][1]) for i in range(8)]) == [(i, i // 4 + 1) for i in range(8)]
+
+
 def test_common_subsequence():
     rng = random.Random(0)
     for _ in range(60):
