@@ -1,10 +1,12 @@
-"""Benchmark decontamination by TF-IDF retrieval, checked by common subsequences.
+"""Benchmark decontamination by latent semantic retrieval, checked by common subsequences.
 
 Documents are cut into overlapping passages. Words of the benchmark's items are counted and weighted each on its own;
-no word has weight 0, however common. Every passage of every document is compared with every item by the product of
-their TF-IDF vectors (passages whose words, each at its best item, can't reach the limit are skipped, which loses
-nothing); candidates are checked on the words around the passage: the heaviest common subsequence with the item, and
-how much of the item's answer (its last sentence) is there in order.
+no word has weight 0, however common. One pass over all documents counts words and adds every block into a small
+random sketch, whose leading singular vectors, once weighted, span the latent space of a randomised SVD; items have no
+part in it and are projected like passages. Every passage of every document is compared with every item by cosine in
+that space and by the product of TF-IDF vectors (passages whose words, each at its best item, can't reach the limit are
+skipped there, which loses nothing); candidates of either are checked on the words around the passage: the heaviest
+common subsequence with the item, and how much of the item's answer (its last sentence) is there in order.
 """
 
 from __future__ import annotations
@@ -24,7 +26,8 @@ from ordjoin.llm.license_scan import tokens_of
 from ordjoin.llm.windows import LAST, bodies_of
 
 DIMS, BLOCK = 1 << 15, 20
-COSINE, LCS, ANSWER = 0.3, 0.6, 0.5
+TOPICS, SKETCH = 32, 48
+COSINE, TOPIC, LCS, ANSWER = 0.3, 0.9, 0.6, 0.5
 ITEMS_AT_ONCE = 512
 _SENTENCE = re.compile(r"(?<=[.!?])\s+")
 
@@ -46,25 +49,64 @@ class Slots:
         return np.where(self.words[at] == tokens, DIMS + at, shared)
 
 
-def frequencies(bodies: DataFrame, slots: Slots) -> tuple[int, np.ndarray]:
-    """Number of documents with a word, and for each slot in how many of them it stands (over all documents)."""
+def gathered(bodies: DataFrame, slots: Slots) -> tuple[int, np.ndarray, np.ndarray]:
+    """Number of documents with a word; for each slot in how many of them it stands, and its row of the sketch.
+
+    The sketch is of all blocks of all documents: each block, at unit length in word counts, is added to one of SKETCH
+    columns with a sign, both drawn by its row and place. It is linear, so weights can follow once they are known.
+    """
     size = len(slots)
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(size + 1, np.int64)
+        total, sketch = np.zeros(size + 1, np.int64), np.zeros((size + 1) * SKETCH, np.float32)
         for batch in batches:
-            for _, _, raw, ends in slices(batch.column(0), 1 << 18):
+            rids = batch.column(1).to_numpy().astype(np.int64)
+            for a, b, raw, ends in slices(batch.column(0), 1 << 18):
                 tokens, first = tokens_of(raw, ends)
                 doc = np.repeat(np.arange(len(first) - 1), np.diff(first))
-                total[:size] += np.bincount(np.unique(doc * size + slots.of(tokens)) % size, minlength=size)
+                slot = slots.of(tokens)
+                total[:size] += np.bincount(np.unique(doc * size + slot) % size, minlength=size)
                 total[size] += int((np.diff(first) > 0).sum())
+                block, owner, place = blocks_of(first)
+                drawn = K.mixed((rids[a:b][owner] << 32 | place).astype(np.uint64))
+                value = np.where(drawn >> np.uint64(63), 1, -1) / np.sqrt(np.maximum(np.bincount(block, minlength=len(owner)), 1))
+                np.add.at(sketch, slot * SKETCH + (drawn % np.uint64(SKETCH)).astype(np.int64)[block], value.astype(np.float32)[block])
         at = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], names=["dim", "n"])
+        yield _rows_of(at, total, sketch.reshape(-1, SKETCH).astype(np.float16))
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total, sketch = np.zeros(size + 1, np.int64), np.zeros((size + 1, SKETCH), np.float32)
+        for batch in batches:
+            dim = batch.column(0).to_numpy()
+            np.add.at(total, dim, batch.column(1).to_numpy())
+            np.add.at(sketch, dim, _matrix(batch.column(2), np.float16))
+        yield _rows_of(np.flatnonzero(total), total, sketch)
+
+    parts = map_arrow(bodies.select("body", "rid"), each, "dim long, n long, row binary")
+    got = map_arrow(parts.repartition("dim"), add, "dim long, n long, row binary").toArrow()  # at most a row of SKETCH numbers a slot
+    out, sketch = np.zeros(size + 1, np.int64), np.zeros((size + 1, SKETCH), np.float32)
+    dim = got.column("dim").to_numpy()
+    out[dim] = got.column("n").to_numpy()
+    sketch[dim] = _matrix(got.column("row"), np.float32)
+    return int(out[size]), out[:size], sketch[:size]
+
 
-    got = map_arrow(bodies.select("body"), each, "dim long, n long").groupBy("dim").agg(F.sum("n").alias("n")).toArrow()  # at most a row a slot
-    out = np.zeros(size + 1, np.int64)
-    out[got.column("dim").to_numpy()] = got.column("n").to_numpy()
-    return int(out[size]), out[:size]
+def _rows_of(at: np.ndarray, total: np.ndarray, rows: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at]), pa.array([rows[i].tobytes() for i in at.tolist()], pa.binary())], names=["dim", "n", "row"])
+
+
+def _matrix(rows: pa.Array, kind: type) -> np.ndarray:
+    return np.frombuffer(b"".join(rows.to_pylist()), kind).reshape(-1, SKETCH)
+
+
+def basis(sketch: np.ndarray, weight: np.ndarray, topics: int = TOPICS) -> np.ndarray:
+    """slots x (at most ``topics``): leading right singular vectors of the documents' weighted blocks, from their sketch
+    of more columns. Items have no part in it."""
+    rows = sketch * weight[:, None]
+    values, vectors = np.linalg.eigh((rows.T @ rows).astype(np.float64))
+    keep = np.argsort(-values)[:topics]
+    keep = keep[values[keep] > 1e-6 * max(values.max(), 1e-9)]
+    return (rows @ (vectors[:, keep] / np.sqrt(values[keep]))).astype(np.float32)
 
 
 def weights_of(n: int, df: np.ndarray) -> np.ndarray:
@@ -72,14 +114,19 @@ def weights_of(n: int, df: np.ndarray) -> np.ndarray:
     return np.log(1 + max(n, 1) / np.maximum(df, 1)).astype(np.float32)
 
 
-def passages(tokens: np.ndarray, first: np.ndarray, slots: Slots, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(slot, weight, block of each word; document of each block): blocks of BLOCK words."""
+def blocks_of(first: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(block of each word; document of each block; its place there): blocks of BLOCK words."""
     per = -(-np.diff(first) // BLOCK)
     base = np.cumsum(per) - per
     doc = np.repeat(np.arange(len(first) - 1), np.diff(first))
-    block = base[doc] + (np.arange(len(tokens)) - first[doc]) // BLOCK
-    slot = slots.of(tokens)
-    return slot, weight[slot], block, np.repeat(np.arange(len(first) - 1), per)
+    owner = np.repeat(np.arange(len(first) - 1), per)
+    return base[doc] + (np.arange(int(first[-1])) - first[doc]) // BLOCK, owner, np.arange(len(owner)) - base[owner]
+
+
+def stretches(owner: np.ndarray, place: np.ndarray, wide: int) -> tuple[np.ndarray, np.ndarray]:
+    """(stretch of each block; document of each stretch): stretches of ``wide`` blocks."""
+    head = place % wide == 0
+    return np.cumsum(head) - 1, owner[head]
 
 
 def _pairs_of_blocks(sums: np.ndarray, squares: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -149,9 +196,10 @@ def _item_rows(words: list[np.ndarray], slots: Slots, weight: np.ndarray) -> tup
     return rows / length[:, None], length
 
 
-def find_leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = COSINE, lcs: float = LCS, answer: float = ANSWER) -> DataFrame:
+def find_leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = COSINE, lcs: float = LCS, answer: float = ANSWER, topic: float = TOPIC) -> DataFrame:
     """(doc_id, rid, item_id, cosine, lcs, answer): benchmark items that stand in a document, also reworded in part.
 
+    A passage is a candidate by its TF-IDF product (``cosine``) or its cosine in the latent space (``topic``).
     ``lcs`` and ``answer`` are shares of the weight of the item's words found in order near the passage; a pair is a
     leak if both reach their limits. Items without a word, null or empty texts on either side give nothing; repeated
     rows give their rows again; a null doc_id stays null. A large benchmark is searched in blocks of items.
@@ -169,30 +217,38 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = COSINE, lc
             continue
         words = [w for _, _, w in texts]
         slots = Slots(np.unique(np.concatenate(words)))
-        weight = weights_of(*frequencies(bodies, slots))
+        n, df, sketch = gathered(bodies, slots)
+        weight = weights_of(n, df)
         answers = [[p for p in map(_tokens, _SENTENCE.split(t)) if len(p)][-1] for _, t, _ in texts]
-        found = _search(bodies, slots, weight, [i for i, _, _ in texts], words, answers, (cosine, lcs, answer), schema)
+        found = _search(bodies, slots, weight, basis(sketch, weight), [i for i, _, _ in texts], words, answers, (cosine, topic, lcs, answer), schema)
         out = found if out is None else out.unionByName(found)
     return out if out is not None else spark.createDataFrame([], schema)
 
 
-def _search(bodies: DataFrame, slots: Slots, weight: np.ndarray, ids: list, words: list, answers: list, limits: tuple, schema: str) -> DataFrame:
+def _search(bodies: DataFrame, slots: Slots, weight: np.ndarray, v: np.ndarray, ids: list, words: list, answers: list, limits: tuple, schema: str) -> DataFrame:
     rows, heavy = _item_rows(words, slots, weight)
     gain = rows.T * weight[DIMS:, None]  # what a word adds to the product with each item
     best, best_share = gain.max(axis=1), (gain / heavy).max(axis=1)
-    del rows
+    latent = rows @ v[DIMS:]
+    latent = (latent / np.maximum(np.linalg.norm(latent, axis=1, keepdims=True), 1e-9)).T
+    turn = v * weight[:, None]  # what a word adds to a passage's place in the latent space
+    part_of = np.ascontiguousarray((rows / rows.sum(axis=1, keepdims=True)).T)  # what a word is of each item's weight
+    wide = -(-(2 * max(map(len, words)) + 3 * BLOCK) // BLOCK)  # blocks: what is read around a passage reaches no further
+    del rows, v
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cosine, lcs, answer = limits
+        cosine, topic, lcs, answer = limits
         items, said_by = [Sequence(slots.of(w), weight) for w in words], [Sequence(slots.of(w), weight) for w in answers]
         for batch in batches:
             doc_ids, rids = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             hits: list[tuple] = []
             for a, _, raw, ends in slices(batch.column(2), 1 << 18):
                 tokens, first = tokens_of(raw, ends)
-                slot, w, block, owner = passages(tokens, first, slots, weight)
-                if not len(slot):
+                if not len(tokens):
                     continue
+                slot = slots.of(tokens)
+                w = weight[slot]
+                block, owner, place = blocks_of(first)
                 n = len(owner)
                 at = np.flatnonzero(slot >= DIMS)
                 own = slot[at] - DIMS
@@ -209,11 +265,19 @@ def _search(bodies: DataFrame, slots: Slots, weight: np.ndarray, ids: list, word
                 rows_at = np.flatnonzero(hope)
                 # the product by the lighter length: a whole item counts among heavier words, a part of it alone as well
                 near = sums[rows_at]
-                close = near >= cosine * np.minimum(length[rows_at, None], heavy)
-                place = np.arange(n) - np.searchsorted(owner, owner)
+                flat, _ = _pairs_of_blocks(_block_sums(turn[slot], block, n), squares, owner)
+                close = flat @ latent >= topic * np.maximum(np.linalg.norm(flat, axis=1, keepdims=True), 1e-9)
+                close[rows_at] |= near >= cosine * np.minimum(length[rows_at, None], heavy)
+                # words that don't stand in the stretch around can't be in a common subsequence
+                stretch, of_doc = stretches(owner, place, wide)
+                there = np.zeros((len(of_doc), len(best)), np.float32)
+                there[stretch[block[at]], own] = 1
+                around, same = there.copy(), of_doc[1:] == of_doc[:-1]
+                around[1:] = np.maximum(around[1:], there[:-1] * same[:, None])
+                around[:-1] = np.maximum(around[:-1], there[1:] * same[:, None])
+                close &= (around @ part_of >= 0.999 * lcs)[stretch]
                 found: dict[tuple[int, int], tuple] = {}
-                for r, i in zip(*(x.tolist() for x in np.nonzero(close)), strict=True):
-                    p = int(rows_at[r])
+                for p, i in zip(*(x.tolist() for x in np.nonzero(close)), strict=True):
                     d = int(owner[p])
                     lo = int(first[d]) + int(place[p]) * BLOCK
                     reach = 2 * len(words[i]) + BLOCK
@@ -223,7 +287,9 @@ def _search(bodies: DataFrame, slots: Slots, weight: np.ndarray, ids: list, word
                         continue
                     said = said_by[i].share(around, answer)
                     if said >= answer:
-                        found[d, i] = max(found.get((d, i), (0.0, 0.0, 0.0)), (part, said, min(1.0, float(near[r, i] / length[p]))))
+                        passage = slot[lo : min(int(first[d + 1]), lo + 2 * BLOCK)]
+                        c = float(gain[passage[passage >= DIMS] - DIMS, i].sum() / length[p])
+                        found[d, i] = max(found.get((d, i), (0.0, 0.0, 0.0)), (part, said, min(1.0, c)))
                 hits += [(doc_ids[a + d], rids[a + d], ids[i], c, part, said) for (d, i), (part, said, c) in sorted(found.items())]
             columns = list(zip(*hits, strict=True)) if hits else [()] * 6
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.float64(), pa.float64()), strict=True)], names=[x.split()[0] for x in schema.split(", ")])

@@ -203,6 +203,28 @@ def test_widespread_leak(spark):
     assert leaks([(i, items[i // 4][1]) for i in range(8)]) == [(i, i // 4 + 1) for i in range(8)]
 
 
+def test_latent_space(spark):
+    rng = random.Random(3)
+    sides = [[f"{c}{i}" for i in range(40)] for c in "pqr"]
+    rows = [(i, " ".join(rng.choice(sides[i % 3]) for _ in range(100))) for i in range(120)]
+    bodies = decontamination.bodies_of(spark.createDataFrame(rows, "doc_id bigint, text string"))
+    items = [decontamination._tokens(" ".join(side[:20])) for side in sides]
+    others = [decontamination._tokens(" ".join(side[20:])) for side in sides]
+    slots = decontamination.Slots(np.unique(np.concatenate(items)))
+    n, df, sketch = decontamination.gathered(bodies, slots)
+    weight = decontamination.weights_of(n, df)
+    v = decontamination.basis(sketch, weight, 3)
+    assert n == 120 and v.shape == (len(slots), 3) and np.allclose(v.T @ v, np.eye(3), atol=1e-3)
+    a, b = (np.stack([(v * weight[:, None])[slots.of(x)].sum(0) for x in xs]) for xs in (items, others))
+    like = (a / np.linalg.norm(a, axis=1, keepdims=True)) @ (b / np.linalg.norm(b, axis=1, keepdims=True)).T
+    assert (like.diagonal() > 0.9).all() and (like[~np.eye(3, dtype=bool)] < 0.5).all()  # no word is shared
+    # the TF-IDF way out of reach: what is found comes from the latent space
+    docs = spark.createDataFrame([*rows, (500, " ".join(sides[1][:20]))], "doc_id bigint, text string")
+    bench = spark.createDataFrame([(7, " ".join(sides[1][:20]))], "item_id bigint, text string")
+    got = decontamination.find_leaks(docs, bench, cosine=1e6)
+    assert [(r["doc_id"], r["item_id"]) for r in got.collect()] == [(500, 7)]
+
+
 def test_common_subsequence():
     rng = random.Random(0)
     for _ in range(60):
