@@ -612,6 +612,20 @@ def vector_weights(spark: SparkSession, sf: str) -> DataFrame:
     return union.ordered_union([levels.sum_topk(q, Rank.sum(["wa", "wb"]), 50, ties="all")], ["a", "b"], 50)
 
 
+@query(
+    "WITH v AS (SELECT vec_id, label, CAST(round(list_sum(list_transform(embedding, lambda x: (CAST(x AS DOUBLE)) * x)) * 10) AS BIGINT) AS w FROM embeddings), "
+    "p AS (SELECT a.vec_id AS a, b.vec_id AS b, a.w + b.w AS weight FROM v a JOIN v b ON a.label = b.label AND a.vec_id < b.vec_id) "
+    "SELECT * FROM (SELECT a, b, weight, row_number() OVER (ORDER BY weight, a, b) AS rnk FROM p) WHERE rnk <= 50"
+)
+def vector_weights_all(spark: SparkSession, sf: str) -> DataFrame:
+    """The lightest pairs of different vectors of one label, over the whole table."""
+    from ordjoin.functions.weights import squared_distance
+
+    e = T.load_table(spark, sf, "embeddings").select("vec_id", "label", squared_distance(F.col("embedding").cast("array<double>"), [0.0] * 64, 10).alias("w"))
+    q = cq([atom("a", e, ["a", "lab", "wa"]), atom("b", e, ["b", "lab", "wb"])], ["a", "b"])
+    return union.ordered_union([predicates.lt_topk(q, "a", "b", Rank.sum(["wa", "wb"]), 50)], ["a", "b"], 50)
+
+
 @query(
     "WITH p AS (SELECT a.conv_id AS conv, a.turn AS t1, b.turn AS t2, CAST(length(a.text) AS BIGINT) + length(b.text) AS weight FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND a.turn < b.turn) "
     "SELECT * FROM (SELECT conv, t1, t2, weight, row_number() OVER (ORDER BY weight, conv, t1, t2) AS rnk FROM p) WHERE rnk <= 100"

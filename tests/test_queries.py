@@ -70,3 +70,14 @@ def test_sql_front(spark):
     assert ranked_sql(spark, text.format("a.w * b.w"))[1].method == "join then rank"
     fallback, why = ranked_sql(spark, "SELECT src FROM sqlfront_e WHERE w > 1 OR src = 2 ORDER BY w LIMIT 2")
     assert fallback.count() == 2 and str(why).startswith("engine")
+
+
+def test_vector_weights_whole_table(spark):
+    import pyarrow.parquet as pq
+
+    rows = pq.read_table(f"{SF}/embeddings.parquet").to_pylist()
+    w = [(r["vec_id"], r["label"], int(sum(float(x) * x for x in r["embedding"]) * 10 + 0.5)) for r in rows]
+    want = sorted((wa + wb, a, b) for a, la, wa in w for b, lb, wb in w if a < b and la == lb)[:50]
+    got = QUERIES["vector_weights_all"](spark, SF).orderBy("rnk").collect()
+    assert [(r["weight"], r["a"], r["b"]) for r in got] == want
+    assert not all(a % 50 == 0 and b % 50 == 1 for _, a, b in want)
