@@ -14,7 +14,8 @@ sample shows to be common last; it changes the work, not the result. Then:
   candidates are verified first, in a few rounds with drawn heads: a group of copies is joined by a few pairs for each
   of its members;
 * blocks that still hold several components are cut into chunks, and R-trees of chunks are joined, for pairs of
-  different components only.
+  different components only. Where the links themselves are asked for, all blocks of more than two members are, and
+  every pair that the bound admits is verified; the rounds with drawn heads are not needed then.
 """
 
 from __future__ import annotations
@@ -285,8 +286,12 @@ def _more_stars(rooted: DataFrame, percent: int, turn: int) -> DataFrame:
     return pairs.select(F.least("sid", "head").alias("a"), F.greatest("sid", "head").alias("b")).distinct()
 
 
-def linked_sets(bodies: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFrame]:
-    """(ord, rid, n, sid) of each text, and (sid, ord, rid, root, n_links) of each non-empty set; both settled."""
+def linked_sets(bodies: DataFrame, width: int, percent: int, complete: bool = False) -> tuple[DataFrame, DataFrame]:
+    """(ord, rid, n, sid) of each text, and (sid, ord, rid, root, n_links) of each non-empty set; both settled.
+
+    With ``complete``, every pair that the bound admits is verified and n_links is the number of other sets that are
+    similar enough; else only pairs of different components are, which is enough for the roots.
+    """
     sets = settle(_sets(bodies, width, percent, _common(bodies, width)), "sets")
     filled = sets.where("n > 0")
     twice = filled.groupBy("sid").agg(F.min("check").alias("x"), F.max("check").alias("y")).where("x <> y").limit(1).count()
@@ -301,7 +306,9 @@ def linked_sets(bodies: DataFrame, width: int, percent: int) -> tuple[DataFrame,
     links = _verified(_admitted(star, points, percent), places, bodies, width, percent)
 
     larger = members.where("many > 2")
-    for turn in range(ROUNDS + 1):
+    if complete:
+        rooted = settle(larger.select("block", "sid", "n", F.col("sid").alias("root")), "rooted")  # each set alone: no pair is left out
+    for turn in range(0 if complete else ROUNDS + 1):
         root = settle(components(links), "roots")
         rooted = settle(larger.join(root.withColumnRenamed("node", "sid"), "sid", "left").select("block", "sid", "n", F.coalesce("root", "sid").alias("root")), "rooted")
         if turn == ROUNDS:
@@ -321,8 +328,10 @@ def linked_sets(bodies: DataFrame, width: int, percent: int) -> tuple[DataFrame,
     if more.limit(1).count():
         extra = _verified(more, places, bodies, width, percent)
         links = links.unionByName(extra)
-        if extra.limit(1).count():
+        if not complete and extra.limit(1).count():
             root = settle(components(links), "roots")
+    if complete:
+        root = settle(components(links), "roots")
 
     degree = links.select(F.col("a").alias("sid")).unionByName(links.select(F.col("b").alias("sid"))).groupBy("sid").agg(F.count(F.lit(1)).alias("n_links"))
     nodes = places.join(root.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
@@ -335,12 +344,12 @@ def linked_sets(bodies: DataFrame, width: int, percent: int) -> tuple[DataFrame,
 def classes(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
     """(doc_id, n_shingles, component_id, n_links) per row of ``docs``.
 
-    component_id is the least doc_id that links reach; n_links counts the different sets that this row's set was linked
-    with on the way there (at least one where there is any). Null and empty texts have no shingles and stand alone;
+    component_id is the least doc_id that links reach; n_links is the number of other sets that are similar enough to
+    this row's set. Null and empty texts have no shingles and stand alone;
     rows of equal sets are one class; a null doc_id counts as larger than others, and a class of nulls alone has a null
     component. Other columns are ignored.
     """
-    texts, nodes = linked_sets(bodies_of(docs), width, percent)
+    texts, nodes = linked_sets(bodies_of(docs), width, percent, complete=True)
     least = nodes.groupBy("root").agg(F.min("ord").alias("least"))
     verdict = nodes.select("sid", "root", "n_links").join(least, "root").select("sid", "least", "n_links")
     empty = F.col("n") == 0

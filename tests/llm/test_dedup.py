@@ -153,6 +153,25 @@ def test_classes_of_many_near_sets(spark):
         assert sorted((r["doc_id"], r["n_shingles"], r["component_id"]) for r in N.classes(df, 1, percent).collect()) == sorted(want)
 
 
+def test_numbers_of_links(spark, corpus):
+    rng = random.Random(12)
+    words = [f"v{i}" for i in range(90)]
+    rows = []
+    for i in range(160):
+        text = words[(i % 2) * 40 : (i % 2) * 40 + 40]
+        for _ in range(rng.randrange(4)):
+            text[rng.randrange(40)] = f"x{rng.randrange(30)}"
+        rows.append((i, " ".join(text)))
+    for df, width, percent in ((spark.createDataFrame(rows, "doc_id bigint, text string"), 1, 85), (spark.createDataFrame(rows, "doc_id bigint, text string"), 2, 80), (corpus, 4, 85)):
+        sets = []
+        for r in df.collect():
+            w = W.findall((r["text"] or "").lower() if (r["text"] or "").isascii() else r["text"])
+            sets.append((r["doc_id"], frozenset(tuple(w[k : k + width]) for k in range(max(len(w) - width + 1, min(len(w), 1))))))
+        different = {s for _, s in sets if s}
+        want = sorted((repr(d), sum(100 * len(s & o) >= percent * len(s | o) for o in different if o != s) if s else 0) for d, s in sets)
+        assert sorted((repr(r["doc_id"]), r["n_links"]) for r in N.classes(df, width, percent).collect()) == want
+
+
 def test_one_of_each(corpus):
     rows = rows_of(corpus)
     want, find = brute_classes(rows, 5, 80)
