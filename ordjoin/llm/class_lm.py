@@ -21,8 +21,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ordjoin.llm import kernels as K
-from ordjoin.llm.common import map_arrow, settle, slices, table
-from ordjoin.llm.windows import bodies_of
+from ordjoin.llm.common import LAST, bodies_of, first_row, lean, map_arrow, settle, slices, table
 
 CLASSES, FORMS, PASSES = 48, 32, 4
 FREQUENT = 5e-5  # relative frequency from which words are clustered
@@ -100,7 +99,8 @@ def _by_class(pairs: DataFrame, of: np.ndarray, k: int) -> tuple[np.ndarray, np.
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at].astype(np.int64))], names=["cell", "c"])
 
-    got = map_arrow(pairs, each, "cell long, c long").groupBy("cell").agg(F.sum("c").alias("c")).toArrow()
+    with lean(pairs.sparkSession):
+        got = map_arrow(pairs, each, "cell long, c long").groupBy("cell").agg(F.sum("c").alias("c")).toArrow()
     flat = np.zeros(2 * size * k)
     flat[got.column("cell").to_numpy()] = got.column("c").to_numpy()
     return flat[: size * k].reshape(size, k), flat[size * k :].reshape(size, k)
@@ -160,7 +160,7 @@ class Model:
 def train(bodies: DataFrame, classes: int = CLASSES, passes: int = PASSES, limit: float = FREQUENT) -> tuple[Model, DataFrame]:
     """The model and the settled vocabulary (word, form, c) of training texts."""
     words = settle(vocabulary(bodies), "vocabulary")
-    total = words.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("v")).first()
+    total = first_row(words.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("v")))
     end = F.lit(END).cast("long")
     top = words.where((F.col("c") >= limit * total["n"]) | (F.col("word") == end)).select("word", "c").toArrow()  # at most 1 / limit + 1 rows
     hashes, counts = top.column("word").to_numpy().astype(np.int64).view(np.uint64), top.column("c").to_numpy().astype(np.int64)
@@ -211,7 +211,7 @@ def scored(docs: DataFrame, model: Model, words: DataFrame) -> DataFrame:
         base = np.log10(model.frequent.counts + ALPHA) - scale
         end = int(np.searchsorted(model.frequent.words, np.uint64(END)))
         for batch in batches:
-            ords, rids = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            ords, numbers = batch.column(0).to_numpy(), batch.column(1).to_numpy()
             for a, b, raw, ends in slices(batch.column(2), 1 << 21):
                 hashes, forms, first = encoded(raw, ends)
                 ids = model.frequent.ids(hashes, forms)
@@ -237,36 +237,33 @@ def scored(docs: DataFrame, model: Model, words: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays(
                     [
                         pa.array(np.concatenate([ords[a:b], ords[a + doc[rows]]])),
-                        pa.array(np.concatenate([rids[a:b], rids[a + doc[rows]]])),
-                        pa.array(np.concatenate([rids[a:b], K.signed(hashes[rows])])),
+                        pa.array(np.concatenate([numbers[a:b], numbers[a + doc[rows]]])),
+                        pa.array(np.concatenate([numbers[a:b], K.signed(hashes[rows])])),
                         pa.array(np.concatenate([np.full(n, -1), forms[rows]]).astype(np.int32)),
                         pa.array(np.concatenate([np.diff(first), times])),
                         pa.array(np.concatenate([sums[0], nan])),
                         pa.array(np.concatenate([sums[1], nan])),
                         pa.array(np.concatenate([sums[2], nan]).astype(np.int64)),
                     ],
-                    names=["ord", "rid", "word", "form", "times", "score", "base_score", "n_known"],
+                    names=["ord", "row", "word", "form", "times", "score", "base_score", "n_known"],
                 )
 
-    # one row a text (form -1: its sums) and one for each of its rare words
-    rows = map_arrow(docs.select("ord", "rid", "body"), each, "ord long, rid int, word long, form int, times long, score double, base_score double, n_known long")
+    # one row a text (form -1: its sums) and one for each of its rare words; texts are numbered as they lie
+    rows = map_arrow(docs.select("ord", F.monotonically_increasing_id().alias("row"), "body"), each, "ord long, row long, word long, form int, times long, score double, base_score double, n_known long")
     joined = rows.join(words.select("word", "c"), "word", "left")
     text, c = F.col("form") < 0, F.coalesce("c", F.lit(0))
     form_total, form_once = (F.array(*[F.lit(float(x)) for x in xs]) for xs in (model.form_total, model.form_once))
     mass = F.get(form_total, F.col("form")) + F.get(form_once, F.col("form"))
     emission = F.log10(F.when(c > 0, c.cast("double")).otherwise(F.get(form_once, F.col("form"))) / mass)
     base = F.log10((c + ALPHA) / F.lit(float(model.tokens + ALPHA * (model.types + 1))))
-    sums = joined.groupBy("ord", "rid").agg(
-        F.sum(F.when(text, 1).otherwise(0)).alias("copies"),
+    sums = joined.groupBy("row").agg(
+        F.min("ord").alias("ord"),
         F.sum(F.when(text, F.col("times")).otherwise(0)).alias("n_tokens"),
         F.sum(F.when(text, F.col("n_known")).when(c > 0, F.col("times")).otherwise(0)).alias("n_known"),
         F.sum(F.when(text, F.col("base_score")).otherwise(base * F.col("times"))).alias("base_score"),
         F.sum(F.when(text, F.col("score")).otherwise(emission * F.col("times"))).alias("score"),
     )
-    one = sums.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))))
-    n = F.col("copies")
-    doc_id = F.when(F.col("ord") < F.lit(2**63 - 1), F.col("ord"))
-    return one.select(doc_id.alias("doc_id"), F.expr("n_tokens div copies").alias("n_tokens"), F.expr("n_known div copies").alias("n_known"), (F.col("base_score") / n).alias("base_score"), (F.col("score") / n).alias("score"))
+    return sums.select(F.when(F.col("ord") < F.lit(LAST), F.col("ord")).alias("doc_id"), "n_tokens", "n_known", "base_score", "score")
 
 
 def held_out(doc_id: Column) -> Column:

@@ -12,18 +12,18 @@ common subsequence with the item, and how much of the item's answer (its last se
 from __future__ import annotations
 
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ordjoin.llm import kernels as K
-from ordjoin.llm.common import map_arrow, settle, slices, table
+from ordjoin.llm.common import bodies_of, documents_of, lean, map_arrow, slices, table
 from ordjoin.llm.license_scan import tokens_of
-from ordjoin.llm.windows import LAST, bodies_of
 
 DIMS, BLOCK = 1 << 15, 20
 TOPICS, SKETCH = 32, 48
@@ -53,22 +53,24 @@ def gathered(bodies: DataFrame, slots: Slots) -> tuple[int, np.ndarray, np.ndarr
     """Number of documents with a word; for each slot in how many of them it stands, and its row of the sketch.
 
     The sketch is of all blocks of all documents: each block, at unit length in word counts, is added to one of SKETCH
-    columns with a sign, both drawn by its row and place. It is linear, so weights can follow once they are known.
+    columns with a sign, both drawn by its task and its number there. It is linear, so weights can follow once they are
+    known.
     """
     size = len(slots)
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total, sketch = np.zeros(size + 1, np.int64), np.zeros((size + 1) * SKETCH, np.float32)
+        number = TaskContext.get().partitionId() << 40
         for batch in batches:
-            rids = batch.column(1).to_numpy().astype(np.int64)
-            for a, b, raw, ends in slices(batch.column(0), 1 << 18):
+            for _, _, raw, ends in slices(batch.column(0), 1 << 18):
                 tokens, first = tokens_of(raw, ends)
                 doc = np.repeat(np.arange(len(first) - 1), np.diff(first))
                 slot = slots.of(tokens)
                 total[:size] += np.bincount(np.unique(doc * size + slot) % size, minlength=size)
                 total[size] += int((np.diff(first) > 0).sum())
-                block, owner, place = blocks_of(first)
-                drawn = K.mixed((rids[a:b][owner] << 32 | place).astype(np.uint64))
+                block, owner, _ = blocks_of(first)
+                drawn = K.mixed(np.arange(number, number + len(owner)).astype(np.uint64))
+                number += len(owner)
                 value = np.where(drawn >> np.uint64(63), 1, -1) / np.sqrt(np.maximum(np.bincount(block, minlength=len(owner)), 1))
                 np.add.at(sketch, slot * SKETCH + (drawn % np.uint64(SKETCH)).astype(np.int64)[block], value.astype(np.float32)[block])
         at = np.flatnonzero(total)
@@ -82,8 +84,9 @@ def gathered(bodies: DataFrame, slots: Slots) -> tuple[int, np.ndarray, np.ndarr
             np.add.at(sketch, dim, _matrix(batch.column(2), np.float16))
         yield _rows_of(np.flatnonzero(total), total, sketch)
 
-    parts = map_arrow(bodies.select("body", "rid"), each, "dim long, n long, row binary")
-    got = map_arrow(parts.repartition("dim"), add, "dim long, n long, row binary").toArrow()  # at most a row of SKETCH numbers a slot
+    parts = map_arrow(bodies.select("body"), each, "dim long, n long, row binary")
+    with lean(bodies.sparkSession):
+        got = map_arrow(parts.repartition("dim"), add, "dim long, n long, row binary").toArrow()  # at most a row of SKETCH numbers a slot
     out, sketch = np.zeros(size + 1, np.int64), np.zeros((size + 1, SKETCH), np.float32)
     dim = got.column("dim").to_numpy()
     out[dim] = got.column("n").to_numpy()
@@ -196,22 +199,18 @@ def _item_rows(words: list[np.ndarray], slots: Slots, weight: np.ndarray) -> tup
     return rows / length[:, None], length
 
 
-def find_leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = COSINE, lcs: float = LCS, answer: float = ANSWER, topic: float = TOPIC) -> DataFrame:
-    """(doc_id, rid, item_id, cosine, lcs, answer): benchmark items that stand in a document, also reworded in part.
+LIMITS = (COSINE, TOPIC, LCS, ANSWER)
+_LEAK = "doc_id long, item_id long, cosine double, lcs double, answer double"
 
-    A passage is a candidate by its TF-IDF product (``cosine``) or its cosine in the latent space (``topic``).
-    ``lcs`` and ``answer`` are shares of the weight of the item's words found in order near the passage; a pair is a
-    leak if both reach their limits. Items without a word, null or empty texts on either side give nothing; repeated
-    rows give their rows again; a null doc_id stays null. A large benchmark is searched in blocks of items.
-    """
-    spark = docs.sparkSession
-    bodies = bodies_of(docs).select("doc_id", "rid", "body")
-    schema = "doc_id long, rid int, item_id long, cosine double, lcs double, answer double"
+
+def _searches(bodies: DataFrame, benchmark: DataFrame, limits: tuple) -> Iterator[Callable]:
+    """A search over batches of texts for each block of items: it gives (place in the batch, item, cosine, lcs, answer)."""
     total = benchmark.count()
-    out = None
     blocks = max(1, -(-total // ITEMS_AT_ONCE))
     for k in range(blocks):
-        some = benchmark.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == k).select(F.col("item_id").cast("long"), F.coalesce("text", F.lit("")).alias("text")).orderBy("item_id", "text").toArrow()
+        some = benchmark.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == k).select(F.col("item_id").cast("long"), F.coalesce("text", F.lit("")).alias("text")).orderBy("item_id", "text")
+        with lean(bodies.sparkSession):
+            some = some.toArrow()
         texts = [(i, t, w) for i, t in zip(some.column("item_id").to_pylist(), some.column("text").to_pylist(), strict=True) if len(w := _tokens(t))]
         if not texts:
             continue
@@ -220,12 +219,49 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = COSINE, lc
         n, df, sketch = gathered(bodies, slots)
         weight = weights_of(n, df)
         answers = [[p for p in map(_tokens, _SENTENCE.split(t)) if len(p)][-1] for _, t, _ in texts]
-        found = _search(bodies, slots, weight, basis(sketch, weight), [i for i, _, _ in texts], words, answers, (cosine, topic, lcs, answer), schema)
-        out = found if out is None else out.unionByName(found)
-    return out if out is not None else spark.createDataFrame([], schema)
+        yield _search(slots, weight, basis(sketch, weight), [i for i, _, _ in texts], words, answers, limits)
+
+
+def find_leaks(docs: DataFrame, benchmark: DataFrame, cosine: float = COSINE, lcs: float = LCS, answer: float = ANSWER, topic: float = TOPIC) -> DataFrame:
+    """(doc_id, item_id, cosine, lcs, answer): benchmark items that stand in a document, also reworded in part.
+
+    A passage is a candidate by its TF-IDF product (``cosine``) or its cosine in the latent space (``topic``).
+    ``lcs`` and ``answer`` are shares of the weight of the item's words found in order near the passage; a pair is a
+    leak if both reach their limits. Items without a word, null or empty texts on either side give nothing; repeated
+    rows give their rows again; a null doc_id stays null. A large benchmark is searched in blocks of items.
+    """
+    bodies = bodies_of(docs).select("doc_id", "body")
+    out = docs.sparkSession.createDataFrame([], _LEAK)
+    for search in _searches(bodies, benchmark, (cosine, topic, lcs, answer)):
+        out = out.unionByName(map_arrow(bodies, _reporting(search), _LEAK))
+    return out
+
+
+def _reporting(search: Callable) -> Callable:
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        find = search()
+        for batch in batches:
+            doc_ids = batch.column(0).to_pylist()
+            hits = [(doc_ids[p], *hit) for p, *hit in find(batch.column(1))]
+            columns = list(zip(*hits, strict=True)) if hits else [()] * 5
+            types = (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.float64())
+            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, types, strict=True)], names=[x.split()[0] for x in _LEAK.split(", ")])
 
+    return each
+
+
+def _sparing(search: Callable) -> Callable:
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        find = search()
+        for batch in batches:
+            clean = np.ones(batch.num_rows, bool)
+            clean[[p for p, *_ in find(batch.column(1))]] = False
+            yield batch.filter(pa.array(clean))
 
-def _search(bodies: DataFrame, slots: Slots, weight: np.ndarray, v: np.ndarray, ids: list, words: list, answers: list, limits: tuple, schema: str) -> DataFrame:
+    return each
+
+
+def _search(slots: Slots, weight: np.ndarray, v: np.ndarray, ids: list, words: list, answers: list, limits: tuple) -> Callable:
     rows, heavy = _item_rows(words, slots, weight)
     gain = rows.T * weight[DIMS:, None]  # what a word adds to the product with each item
     best, best_share = gain.max(axis=1), (gain / heavy).max(axis=1)
@@ -236,13 +272,13 @@ def _search(bodies: DataFrame, slots: Slots, weight: np.ndarray, v: np.ndarray,
     wide = -(-(2 * max(map(len, words)) + 3 * BLOCK) // BLOCK)  # blocks: what is read around a passage reaches no further
     del rows, v
 
-    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def search() -> Callable:
         cosine, topic, lcs, answer = limits
         items, said_by = [Sequence(slots.of(w), weight) for w in words], [Sequence(slots.of(w), weight) for w in answers]
-        for batch in batches:
-            doc_ids, rids = batch.column(0).to_pylist(), batch.column(1).to_pylist()
+
+        def find(texts: pa.Array) -> list[tuple]:
             hits: list[tuple] = []
-            for a, _, raw, ends in slices(batch.column(2), 1 << 18):
+            for a, _, raw, ends in slices(texts, 1 << 18):
                 tokens, first = tokens_of(raw, ends)
                 if not len(tokens):
                     continue
@@ -290,20 +326,27 @@ def _search(bodies: DataFrame, slots: Slots, weight: np.ndarray, v: np.ndarray,
                         passage = slot[lo : min(int(first[d + 1]), lo + 2 * BLOCK)]
                         c = float(gain[passage[passage >= DIMS] - DIMS, i].sum() / length[p])
                         found[d, i] = max(found.get((d, i), (0.0, 0.0, 0.0)), (part, said, min(1.0, c)))
-                hits += [(doc_ids[a + d], rids[a + d], ids[i], c, part, said) for (d, i), (part, said, c) in sorted(found.items())]
-            columns = list(zip(*hits, strict=True)) if hits else [()] * 6
-            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.float64(), pa.float64()), strict=True)], names=[x.split()[0] for x in schema.split(", ")])
+                hits += [(a + d, ids[i], c, part, said) for (d, i), (part, said, c) in sorted(found.items())]
+            return hits
+
+        return find
 
-    return map_arrow(bodies, each, schema)
+    return search
 
 
 def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """``docs`` without those that hold a benchmark item."""
-    leaks = find_leaks(docs, benchmark).select(F.coalesce("doc_id", F.lit(LAST)).alias("ord"), "rid").distinct()
-    rest = bodies_of(docs).join(settle(leaks, "leaks"), ["ord", "rid"], "left_anti")
-    made = {"doc_id": F.col("doc_id").cast(dict(docs.dtypes)["doc_id"]), "text": F.when(F.col("had"), F.col("body").cast("string"))}
-    return rest.select(*[(made[c] if c in made else F.col(f"row.`{c}`")).alias(c) for c in docs.columns])
+    """``docs`` without those that hold a benchmark item: rows are read and dropped where they lie, nothing is joined.
+
+    Null and empty texts stay; each of several equal rows is judged alike; an empty benchmark drops nothing; all columns
+    keep their names and values.
+    """
+    bodies = bodies_of(docs).select("doc_id", "body", "had", "rest")
+    schema = f"doc_id long, body binary, had boolean, rest {dict(bodies.dtypes)['rest']}"
+    rest = bodies
+    for search in _searches(bodies, benchmark, LIMITS):
+        rest = map_arrow(rest, _sparing(search), schema)
+    return documents_of(rest, docs)
 
 
 def op6_latent_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("rid")
+    return find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))

@@ -14,6 +14,7 @@ SPACE[[0x20, *range(0x09, 0x0E)]] = True
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 _POSITION_BITS = 26
+_AT_ONCE = 1 << 22  # bytes
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
@@ -80,7 +81,14 @@ def word_spans(raw: np.ndarray, ends: np.ndarray, gap: np.ndarray = SPACE) -> tu
 def word_hashes(raw: np.ndarray, starts: np.ndarray, stops: np.ndarray) -> np.ndarray:
     if not len(starts):
         return np.empty(0, U64)
-    return spans_hash(prefix_sums(BYTE_CODES[raw]), starts, stops)
+    if len(raw) <= _AT_ONCE:
+        return spans_hash(prefix_sums(BYTE_CODES[raw]), starts, stops)
+    # word by word the hash does not depend on the place, so a long text is taken in stretches that end between words
+    cuts = np.unique(np.append(np.searchsorted(stops, np.arange(0, stops[-1], _AT_ONCE), side="right"), len(starts)))
+    some = [(x, y, int(starts[x]), int(stops[y - 1])) for x, y in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
+    if cuts[0]:
+        some.insert(0, (0, int(cuts[0]), int(starts[0]), int(stops[cuts[0] - 1])))
+    return np.concatenate([spans_hash(prefix_sums(BYTE_CODES[raw[low:high]]), starts[x:y] - low, stops[x:y] - low) for x, y, low, high in some])
 
 
 def _sliding_min(x: np.ndarray, width: int) -> np.ndarray:

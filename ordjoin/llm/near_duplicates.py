@@ -9,13 +9,15 @@ therefore dealt into a forest without loss: under any total order of shingles, t
 one of their first n - ceil(t n) + 1 shingles, and each of these is a block. The order puts shingles that a bounded
 sample shows to be common last; it changes the work, not the result. Then:
 
-* equal sets are one node;
-* in each block, members of about one size are paired with the least and the greatest of them (by hash), and these
-  candidates are verified first, in a few rounds with drawn heads: a group of copies is joined by a few pairs for each
-  of its members;
-* blocks that still hold several components are cut into chunks, and R-trees of chunks are joined, for pairs of
-  different components only. Where the links themselves are asked for, all blocks of more than two members are, and
-  every pair that the bound admits is verified; the rounds with drawn heads are not needed then.
+* equal sets are one node, named by the number of the first row that has it;
+* blocks of the same nodes are one block;
+* in each block, nodes of about one size are paired with the first and the last of them, and these pairs are bounded and
+  verified first: a group of copies is joined by a few pairs for each of its nodes;
+* in blocks that still hold several components, the nodes outside the block's largest component are joined with all of
+  the block, by R-trees of chunks, for pairs of different components only: rows and tasks follow the nodes that are not
+  yet joined, not the square of the block. Each pair is made in its least common block alone;
+* where the number of links is asked for, it is counted inside components, where all links are: chunks of a component
+  are compared by products of incidence matrices, and only counts leave a task, never pairs.
 """
 
 from __future__ import annotations
@@ -27,16 +29,15 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from ordjoin.llm import kernels as K
-from ordjoin.llm.common import discard, map_arrow, settle, slices, table
+from ordjoin.llm.common import LAST, Layout, bodies_of, discard, documents_of, lay_out, lean, map_arrow, settle, slices, table
 from ordjoin.llm.components import components
-from ordjoin.llm.windows import LAST, bodies_of
 
 WIDTH, PERCENT, GROUPS = 4, 85, 128
 SAMPLE_ROWS, COMMON_IN, MAX_COMMON = 4096, 3, 500_000
-CHUNK, LEAF, PAIRS_A_TASK, SEEN, ROUNDS, FIRSTS = 512, 8, 64, 200_000, 2, 8
+CHUNK, LEAF, PAIRS_A_TASK = 512, 8, 64
+COUNT_CHUNK, COUNT_SHINGLES, COLUMNS = 2048, 1 << 20, 4096
 
 
 def shingle_sets(raw: np.ndarray, ends: np.ndarray, width: int) -> list[np.ndarray]:
@@ -80,21 +81,19 @@ def bound(p: bytes, q: bytes) -> int:
 
 
 def _sets(bodies: DataFrame, width: int, percent: int, common: np.ndarray) -> DataFrame:
-    """(ord, rid, n, sid, check, point, keys): keys are the set's first shingles under the order."""
+    """(ord, row, n, sid, check, point, keys): sid and check are hashes of the set, keys its first shingles under the order."""
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a, b, raw, ends in slices(batch.column(2), 1 << 18):
                 ns, sids, checks, points, keys = [], [], [], [], []
-                done: set[int] = set()
                 for s in shingle_sets(raw, ends, width):
                     n = len(s)
                     total = s.sum(dtype=np.uint64)
                     sid, check = K.mixed(np.array([total ^ np.uint64(n), K.mixed(s ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64)], np.uint64)).view(np.int64).tolist()
                     ns.append(n), sids.append(sid), checks.append(check)
                     points.append(count_vector(s) if n else None)
-                    if n and sid not in done:
-                        done.add(sid)
+                    if n:
                         if len(common):
                             spot = np.minimum(np.searchsorted(common, s), len(common) - 1)
                             s = np.concatenate([s[(last := common[spot] == s) ^ True], s[last]])
@@ -104,10 +103,10 @@ def _sets(bodies: DataFrame, width: int, percent: int, common: np.ndarray) -> Da
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(k) for k in keys])]).astype(np.int32)), pa.array(np.concatenate(keys)))
                 yield pa.RecordBatch.from_arrays(
                     [batch.column(0).slice(a, b - a), batch.column(1).slice(a, b - a), pa.array(ns, pa.int64()), pa.array(sids, pa.int64()), pa.array(checks, pa.int64()), pa.array(points, pa.binary()), lists],
-                    names=["ord", "rid", "n", "sid", "check", "point", "keys"],
+                    names=["ord", "row", "n", "sid", "check", "point", "keys"],
                 )
 
-    return map_arrow(bodies.select("ord", "rid", "body"), each, "ord long, rid int, n long, sid long, check long, point binary, keys array<long>")
+    return map_arrow(bodies.select("ord", "row", "body"), each, "ord long, row long, n long, sid long, check long, point binary, keys array<long>")
 
 
 def _common(bodies: DataFrame, width: int) -> np.ndarray:
@@ -118,9 +117,10 @@ def _common(bodies: DataFrame, width: int) -> np.ndarray:
             for _, _, raw, ends in slices(batch.column(0), 1 << 18):
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.empty(0, np.uint64), *shingle_sets(raw, ends, width)]).view(np.int64))], names=["h"])
 
-    sample = bodies.where("pmod(rid, 8) = 0").limit(SAMPLE_ROWS).select("body")
-    found = map_arrow(sample, each, "h long").groupBy("h").count().where(F.col("count") >= COMMON_IN).orderBy(F.desc("count")).limit(MAX_COMMON).select("h").toArrow().column("h").to_numpy()
-    return np.sort(found.astype(np.int64).view(np.uint64))
+    sample = bodies.where(F.pmod(F.xxhash64("row"), F.lit(8)) == 0).limit(SAMPLE_ROWS).select("body")
+    found = map_arrow(sample, each, "h long").groupBy("h").count().where(F.col("count") >= COMMON_IN).orderBy(F.desc("count")).limit(MAX_COMMON).select("h")
+    with lean(bodies.sparkSession):
+        return np.sort(found.toArrow().column("h").to_numpy().astype(np.int64).view(np.uint64))
 
 
 def needed(n: np.ndarray, m: np.ndarray, percent: int) -> np.ndarray:
@@ -153,10 +153,10 @@ class CountTree:
                     yield self.order[mine][x], other.order[theirs][y]
 
 
-def _admitted(pairs: DataFrame, points: DataFrame, percent: int) -> DataFrame:
+def _admitted(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) whose sizes and summed coordinate minima admit enough overlap."""
-    left = points.select(F.col("sid").alias("a"), F.col("n").alias("na"), F.col("point").alias("pa"))
-    right = points.select(F.col("sid").alias("b"), F.col("n").alias("nb"), F.col("point").alias("pb"))
+    left = nodes.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("point").alias("pa"))
+    right = nodes.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("point").alias("pb"))
     near = 100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")
     rows = pairs.join(left, "a").join(right, "b").where(near).select("a", "b", "na", "nb", "pa", "pb")
 
@@ -170,65 +170,63 @@ def _admitted(pairs: DataFrame, points: DataFrame, percent: int) -> DataFrame:
     return map_arrow(rows, each, "a long, b long")
 
 
+def groups_of(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[list[pa.Table]]:
+    """Runs of whole groups of rows that are sorted by their first ``keys`` columns, batch after batch."""
+    rest: list[pa.Table] = []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        t = pa.Table.from_batches([batch])
+        head = [t.column(k)[0] for k in range(keys)]
+        edge = np.flatnonzero(np.any([np.diff(t.column(k).to_numpy()) != 0 for k in range(keys)], axis=0)) + 1
+        cuts = [0, *edge.tolist(), t.num_rows]
+        if rest and any(rest[-1].column(k)[0] != h for k, h in enumerate(head)):
+            yield rest
+            rest = []
+        for x, y in zip(cuts[:-1], cuts[1:], strict=True):
+            if x:
+                yield rest
+                rest = []
+            rest.append(t.slice(x, y - x))
+    if rest:
+        yield rest
+
+
 def _tree_pairs(rows: DataFrame, percent: int) -> DataFrame:
-    """Candidate pairs (a, b) of different components, from rows (block, i, j, side, sid, root, n, point, firsts) sorted by
-    chunk pair.
+    """Candidate pairs (a, b) of different components, from rows (block, i, j, side, node, root, n, point, blocks) sorted
+    by chunk pair; ``side`` 0 holds nodes outside the block's largest component, side 1 any node of the block.
 
-    ``firsts``: the few least blocks of a set. Where those of a pair meet, the least common one is the pair's least
-    common block, and only that block gives the pair; other pairs may come from several blocks.
+    ``blocks``: all mixed blocks of a node, ascending; a pair is given in the least that both have.
     """
 
-    def pairs(sid: np.ndarray, root: np.ndarray, n: np.ndarray, points: np.ndarray, side: np.ndarray, exact: list[bytes], block: int, firsts: list[list[int]]) -> np.ndarray:
-        left, right = np.flatnonzero(side != 1), np.flatnonzero(side != 0)
-        if not len(left) or not len(right):
-            return np.empty((0, 2), np.int64)
-        found = [np.stack([left[x], right[y]], 1) for x, y in CountTree(points[left], n[left]).join(CountTree(points[right], n[right]), percent)]
-        if not found:
-            return np.empty((0, 2), np.int64)
-        at = np.concatenate(found)
-        at = at[root[at[:, 0]] != root[at[:, 1]]]
-        least = needed(n[at[:, 0]], n[at[:, 1]], percent)
-        at = at[[len(exact[x]) == 2 * GROUPS or bound(exact[x], exact[y]) >= m for (x, y), m in zip(at.tolist(), least.tolist(), strict=True)]] if len(at) else at
-        at = at[[block == min(set(firsts[x]).intersection(firsts[y]), default=block) for x, y in at.tolist()]] if len(at) else at
-        return np.unique(np.sort(sid[at], axis=1), axis=0)
-
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rest: pa.Table | None = None
-        seen: set[tuple[int, int]] = set()  # pairs that this task has given; only to give fewer of them twice
-
-        def solve(t: pa.Table) -> Iterator[pa.RecordBatch]:
-            block, i, j, side, sid, root, n = (t.column(k).to_numpy() for k in range(7))
-            exact, firsts = t.column(7).to_pylist(), t.column(8).to_pylist()
+        for group in groups_of(batches, 3):
+            t = pa.concat_tables(group).combine_chunks()
+            block, side, node, root, n = int(t.column(0)[0].as_py()), *(t.column(k).to_numpy() for k in (3, 4, 5, 6))
+            left, right = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
+            if not len(left) or not len(right):
+                continue
+            exact = t.column(7).to_pylist()
             points = coarse(exact)
-            edge = np.flatnonzero((np.diff(block) != 0) | (np.diff(i) != 0) | (np.diff(j) != 0)) + 1
-            for x, y in zip([0, *edge.tolist()], [*edge.tolist(), len(block)], strict=True):
-                p = pairs(sid[x:y], root[x:y], n[x:y], points[x:y], side[x:y], exact[x:y], int(block[x]), firsts[x:y])
-                p = p[[q not in seen for q in map(tuple, p.tolist())]] if len(p) else p
-                if len(seen) > SEEN:
-                    seen.clear()
-                seen.update(map(tuple, p.tolist()))
-                if len(p):
-                    yield pa.RecordBatch.from_arrays([pa.array(p[:, 0]), pa.array(p[:, 1])], names=["a", "b"])
-
-        for batch in batches:
-            if not batch.num_rows:
+            found = [np.stack([left[x], right[y]], 1) for x, y in CountTree(points[left], n[left]).join(CountTree(points[right], n[right]), percent)]
+            if not found:
                 continue
-            t = pa.Table.from_batches([batch])
-            t = pa.concat_tables([rest, t]) if rest is not None else t
-            keys = [t.column(k).to_numpy() for k in range(3)]
-            whole = np.flatnonzero(np.any([k != k[-1] for k in keys], axis=0))
-            cut = int(whole[-1]) + 1 if len(whole) else 0
-            if cut:
-                yield from solve(t.slice(0, cut))
-            rest = t.slice(cut).combine_chunks()
-        if rest is not None and rest.num_rows:
-            yield from solve(rest)
+            at = np.concatenate(found)
+            at = at[root[at[:, 0]] != root[at[:, 1]]]
+            least = needed(n[at[:, 0]], n[at[:, 1]], percent)
+            at = at[[len(exact[x]) == 2 * GROUPS or bound(exact[x], exact[y]) >= m for (x, y), m in zip(at.tolist(), least.tolist(), strict=True)]] if len(at) else at
+            if len(at):
+                own = [frozenset(b) for b in t.column(8).to_pylist()]
+                at = at[[block == min(own[x] & own[y]) for x, y in at.tolist()]]
+            if len(at):
+                p = np.unique(np.sort(node[at], axis=1), axis=0)
+                yield pa.RecordBatch.from_arrays([pa.array(p[:, 0]), pa.array(p[:, 1])], names=["a", "b"])
 
     return map_arrow(rows, each, "a long, b long")
 
 
-def _verified(pairs: DataFrame, places: DataFrame, bodies: DataFrame, width: int, percent: int) -> DataFrame:
-    """Those of ``pairs`` (a, b: set ids) whose sets are similar enough, by whole texts.
+def _verified(pairs: DataFrame, layout: Layout, width: int, percent: int) -> DataFrame:
+    """Those of ``pairs`` (a, b: nodes) whose sets are similar enough, by whole texts; settled.
 
     Pairs of one ``a`` are dealt into tasks of bounded size; ``a``'s text goes to each of them, and every other text is
     compared as it streams by.
@@ -236,15 +234,13 @@ def _verified(pairs: DataFrame, places: DataFrame, bodies: DataFrame, width: int
     per = pairs.groupBy("a").agg(F.count(F.lit(1)).alias("many"))
     dealt = pairs.join(per, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.ceil(F.col("many") / PAIRS_A_TASK)).cast("int").alias("salt"))
     dealt = settle(dealt, "candidates")
-    wanted = dealt.select("a", "salt", F.lit(1).alias("role"), F.col("b").alias("sid")).unionByName(dealt.select("a", "salt", F.lit(0).alias("role"), F.col("a").alias("sid")).distinct())
-    wanted = wanted.join(places, "sid").select("ord", "rid", "a", "salt", "role", "sid")
-    rows = bodies.select("ord", "rid", "body").join(wanted, ["ord", "rid"]).select("a", "salt", "role", "sid", "body")
-    rows = rows.repartition("a", "salt").sortWithinPartitions("a", "salt", "role")
+    wanted = dealt.select("a", "salt", F.lit(1).alias("role"), F.col("b").alias("row")).unionByName(dealt.select("a", "salt", F.lit(0).alias("role"), F.col("a").alias("row")).distinct())
+    rows = layout.meet(wanted, ["body"]).select("a", "salt", "role", "row", "body").repartition("a", "salt").sortWithinPartitions("a", "salt", "role")
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, own = None, np.empty(0, np.uint64)
         for batch in batches:
-            a, role, sid = (batch.column(k).to_numpy() for k in (0, 2, 3))
+            a, role, node = (batch.column(k).to_numpy() for k in (0, 2, 3))
             out: list[tuple[int, int]] = []
             for x, y, raw, ends in slices(batch.column(4), 1 << 18):
                 for k, s in zip(range(x, y), shingle_sets(raw, ends, width), strict=True):
@@ -253,127 +249,172 @@ def _verified(pairs: DataFrame, places: DataFrame, bodies: DataFrame, width: int
                     elif a[k] == now:
                         both = len(np.intersect1d(own, s, assume_unique=True))
                         if 100 * both >= percent * (len(own) + len(s) - both):
-                            out.append((int(a[k]), int(sid[k])))
+                            out.append((int(a[k]), int(node[k])))
             yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in out], pa.int64()), pa.array([p[1] for p in out], pa.int64())], names=["a", "b"])
 
-    return settle(map_arrow(rows, each, "a long, b long").distinct(), "links")
+    links = settle(map_arrow(rows, each, "a long, b long"), "links")
+    discard(dealt)
+    return links
 
 
 def _stars(members: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) of each block's members with the first and the last of their size class in it: linear in the members.
+    """Pairs (a, b): blocks of two, and each larger block's nodes with the first and the last of their size class in it.
 
-    Two grids of classes lie half a step apart, with a step of twice the largest admissible ratio of sizes: any two
-    members that could be linked share a class, so blocks of two are settled here. A finer grid serves larger blocks.
+    Two grids of classes lie half a step apart, with a step of twice the largest admissible ratio of sizes; a finer grid
+    comes beside them.
     """
+    two = members.where("many = 2").groupBy("block").agg(F.min(F.struct("node", "n")).alias("x"), F.max(F.struct("node", "n")).alias("y"))
+    two = two.where(100 * F.least("x.n", "y.n") >= percent * F.greatest("x.n", "y.n")).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"))
     ratio = 1.001 * math.log(100 / percent) or 1.0  # a little more, for rounding
     size = F.log("n")
     wide = [3 * F.floor(size / F.lit(2 * ratio) + F.lit(shift)) + F.lit(odd) for odd, shift in ((0, 0.0), (1, 0.5))]
     fine = 3 * F.floor(size / F.lit(ratio / 4)) + F.lit(2)
-    rows = members.withColumn("class", F.explode(F.when(F.col("many") > 2, F.array(*wide, fine)).otherwise(F.array(*wide))))
-    heads = rows.groupBy("block", "class").agg(F.min("sid").alias("x"), F.max("sid").alias("y")).where("x <> y")
-    pairs = rows.join(heads, ["block", "class"]).select("sid", F.explode(F.array("x", "y")).alias("head")).where("sid <> head")
-    return pairs.select(F.least("sid", "head").alias("a"), F.greatest("sid", "head").alias("b")).distinct()
+    rows = members.where("many > 2").withColumn("class", F.explode(F.array(*wide, fine)))
+    heads = rows.groupBy("block", "class").agg(F.min("node").alias("x"), F.max("node").alias("y")).where("x <> y")
+    pairs = rows.join(heads, ["block", "class"]).select("node", F.explode(F.array("x", "y")).alias("head")).where("node <> head")
+    return two.unionByName(pairs.select(F.least("node", "head").alias("a"), F.greatest("node", "head").alias("b"))).distinct()
+
+
+def _blocks(nodes: DataFrame) -> DataFrame:
+    """(block, node, n, many) of all blocks of two nodes or more; of blocks of the same nodes only one. Settled."""
+    keys = nodes.select(F.explode("keys").alias("block"), "node", F.col("n").cast("int").alias("n"))
+    who = [F.bit_xor(F.xxhash64("node", F.lit(i))).alias(f"who{i}") for i in (0, 1)]
+    held = keys.groupBy("block").agg(F.count(F.lit(1)).cast("int").alias("many"), *who).where("many > 1")
+    chosen = settle(held.groupBy("many", "who0", "who1").agg(F.min("block").alias("block")).select("block", "many"), "chosen")
+    members = settle(keys.join(chosen, "block"), "blocks")
+    discard(chosen)
+    return members
+
+
+def _unjoined(members: DataFrame, root: DataFrame, nodes: DataFrame) -> tuple[DataFrame, list[DataFrame]]:
+    """Rows for ``_tree_pairs`` (chunks of the nodes outside a block's largest component against chunks of all its nodes),
+    and the settled tables that they read."""
+    rooted = members.where("many > 2").join(root, "node", "left").select("block", "node", F.coalesce("root", "node").alias("root"))
+    rooted = settle(rooted, "rooted")
+    per = rooted.groupBy("block", "root").agg(F.count(F.lit(1)).alias("c"))
+    mixed = per.groupBy("block").agg(F.max(F.struct("c", "root")).alias("top"), F.sum("c").alias("many"), F.count(F.lit(1)).alias("roots")).where("roots > 1")
+    cuts = mixed.select("block", F.col("top.root").alias("top"), F.ceil((F.col("many") - F.col("top.c")) / CHUNK).cast("int").alias("some"), F.ceil(F.col("many") / CHUNK).cast("int").alias("all"))
+    mine = settle(rooted.join(cuts, "block"), "mixed")
+    discard(rooted)
+    spread = F.xxhash64("node")
+    whole = mine.select("block", F.explode(F.sequence(F.lit(0), F.col("some") - 1)).alias("i"), F.pmod(spread, F.col("all")).cast("int").alias("j"), F.lit(1).alias("side"), "node", "root")
+    apart = mine.where("root <> top").select("block", F.pmod(spread, F.col("some")).cast("int").alias("i"), F.explode(F.sequence(F.lit(0), F.col("all") - 1)).alias("j"), F.lit(0).alias("side"), "node", "root")
+    own = mine.groupBy("node").agg(F.sort_array(F.collect_list("block")).alias("blocks"))  # a node's own blocks: no more than its shingles
+    about = settle(nodes.select("node", "n", "point").join(own, "node"), "points")
+    rows = whole.unionByName(apart).join(about, "node").select("block", "i", "j", "side", "node", "root", "n", "point", "blocks")
+    return rows.repartition("block", "i", "j").sortWithinPartitions("block", "i", "j"), [mine, about]
+
+
+def linked_sets(layout: Layout, width: int, percent: int) -> tuple[DataFrame, DataFrame]:
+    """(ord, row, n, node) of each text, node null where it has no shingle, and (node, ord, n, root) of each distinct set; settled."""
+    sets = settle(_sets(layout.frame, width, percent, _common(layout.frame, width)), "sets")
+    first = F.min(F.struct("ord", "row", "n", "point", "keys")).alias("f")
+    nodes = settle(sets.where("n > 0").groupBy("sid", "check").agg(first).select("sid", "check", F.col("f.row").alias("node"), "f.ord", "f.n", "f.point", "f.keys"), "nodes")
+    members = _blocks(nodes)
+    star = settle(_stars(members, percent), "star")
+    links = _verified(_admitted(star, nodes, percent), layout, width, percent)
+    root = components(links)
+    rows, read = _unjoined(members, root, nodes)
+    more = settle(_tree_pairs(rows, percent).distinct().join(star, ["a", "b"], "left_anti"), "more")
+    extra = _verified(more, layout, width, percent)
+    joined = components(root.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(extra))
+    texts = settle(sets.join(nodes.select("sid", "check", "node"), ["sid", "check"], "left").select("ord", "row", "n", F.when(F.col("n") > 0, F.col("node")).alias("node")), "texts")
+    named = settle(nodes.select("node", "ord", "n").join(joined, "node", "left").select("node", "ord", "n", F.coalesce("root", "node").alias("root")), "named")
+    discard(sets, nodes, members, star, links, root, more, extra, joined, *read)
+    return texts, named
+
+
+def overlaps(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
+    """Sizes of the intersections of all sets of two lists, by products of their incidence matrices."""
+    out = np.zeros((len(left), len(right)), np.float32)
+    _, of = np.unique(np.concatenate([*left, *right]), return_inverse=True)
+    cuts = np.cumsum([0, *map(len, left), *map(len, right)])
+    here, there = of[: cuts[len(left)]], of[cuts[len(left)] :]
+    both = np.intersect1d(here, there)  # a shingle of one side alone adds nothing
+    owner = np.repeat(np.arange(len(cuts) - 1), np.diff(cuts))
+    place = np.full(int(of.max(initial=-1)) + 1, -1, np.int64)
+    place[both] = np.arange(len(both))
+    column = place[of]
+    for a in range(0, len(both), COLUMNS):
+        use = np.flatnonzero((column >= a) & (column < a + COLUMNS))
+        marks = np.zeros((len(cuts) - 1, min(COLUMNS, len(both) - a)), np.float32)
+        marks[owner[use], column[use] - a] = 1
+        out += marks[: len(left)] @ marks[len(left) :].T
+    return out
 
 
-def _more_stars(rooted: DataFrame, percent: int, turn: int) -> DataFrame:
-    """Pairs of members with one drawn member of another component, in each block and size class that holds several."""
-    ratio = 1.001 * math.log(100 / percent) or 1.0
-    grids = F.array(*[2 * F.floor(F.log("n") / F.lit(2 * ratio) + F.lit(shift)) + F.lit(odd) for odd, shift in ((0, 0.0), (1, 0.5))])
-    rows = rooted.withColumn("class", F.explode(grids))
-    drawn = F.min(F.struct(F.xxhash64("sid", F.lit(turn)).alias("x"), F.col("sid").alias("head"), F.col("root").alias("other")))
-    heads = rows.groupBy("block", "class").agg(drawn.alias("d"), F.min("root").alias("p"), F.max("root").alias("q")).where("p <> q").select("block", "class", "d.head", "d.other")
-    pairs = rows.join(heads, ["block", "class"]).where("root <> other")
-    return pairs.select(F.least("sid", "head").alias("a"), F.greatest("sid", "head").alias("b")).distinct()
+def link_counts(named: DataFrame, layout: Layout, width: int, percent: int) -> DataFrame:
+    """(node, n_links): the number of other distinct sets that are similar enough, for nodes that have any.
 
+    Linked sets share a component, so each component is compared with itself, in pairs of chunks of bounded size: a
+    component of c sets costs about c * c / 2048 rows where texts are short.
+    """
+    sums = named.groupBy("root").agg(F.count(F.lit(1)).alias("many"), F.sum("n").alias("size")).where("many > 1")
+    chunks = sums.select("root", F.greatest(F.ceil(F.col("many") / COUNT_CHUNK), F.ceil(F.col("size") / COUNT_SHINGLES)).cast("int").alias("chunks"))
+    own = named.join(chunks, "root").select("node", "root", "chunks", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int").alias("c"))
+    dealt = own.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    dealt = dealt.select(F.col("node").alias("row"), "root", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), F.when(F.col("c") <= F.col("o"), 0).otherwise(1).alias("side"))
+    rows = layout.meet(dealt, ["body"]).select("root", "i", "j", "side", "row", "body").repartition("root", "i", "j").sortWithinPartitions("root", "i", "j")
 
-def linked_sets(bodies: DataFrame, width: int, percent: int, complete: bool = False) -> tuple[DataFrame, DataFrame]:
-    """(ord, rid, n, sid) of each text, and (sid, ord, rid, root, n_links) of each non-empty set; both settled.
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in groups_of(batches, 3):
+            sides: tuple[list, list] = ([], [])
+            nodes: tuple[list, list] = ([], [])
+            for t in group:
+                side, node = t.column(3).to_numpy(), t.column(4).to_numpy()
+                for x, y, raw, ends in slices(t.column(5).combine_chunks(), 1 << 18):
+                    for k, s in zip(range(x, y), shingle_sets(raw, ends, width), strict=True):
+                        sides[side[k]].append(s)
+                        nodes[side[k]].append(node[k])
+            alone = group[0].column(1)[0] == group[0].column(2)[0]
+            left, right = sides[0], sides[0 if alone else 1]
+            if not left or not right:
+                continue
+            size, other = np.array(list(map(len, left))), np.array(list(map(len, right)))
+            both = overlaps(left, right).astype(np.int64)
+            linked = 100 * both >= percent * (size[:, None] + other[None] - both)
+            if alone:
+                np.fill_diagonal(linked, False)
+                who, many = nodes[0], linked.sum(axis=1)
+            else:
+                who, many = nodes[0] + nodes[1], np.concatenate([linked.sum(axis=1), linked.sum(axis=0)])
+            yield pa.RecordBatch.from_arrays([pa.array(who, pa.int64()), pa.array(many, pa.int64())], names=["node", "n_links"])
 
-    With ``complete``, every pair that the bound admits is verified and n_links is the number of other sets that are
-    similar enough; else only pairs of different components are, which is enough for the roots.
-    """
-    sets = settle(_sets(bodies, width, percent, _common(bodies, width)), "sets")
-    filled = sets.where("n > 0")
-    twice = filled.groupBy("sid").agg(F.min("check").alias("x"), F.max("check").alias("y")).where("x <> y").limit(1).count()
-    if twice:
-        raise RuntimeError("two sets have one hash; use another seed")
-    places = filled.groupBy("sid").agg(F.min(F.struct("ord", "rid")).alias("p")).select("sid", "p.ord", "p.rid")
-    keys = filled.where(F.size("keys") > 0).select(F.explode("keys").alias("block"), "sid", F.col("n").cast("int").alias("n"))
-    ends = keys.groupBy("block").agg(F.min("sid").alias("head"), F.max("sid").alias("tail"), F.count(F.lit(1)).alias("many")).where("head <> tail").select("block", "many")
-    members = settle(keys.join(ends, "block").distinct(), "blocks")
-    star = settle(_stars(members, percent), "star")
-    points = filled.groupBy("sid").agg(F.first("n").alias("n"), F.first("point").alias("point"))
-    links = _verified(_admitted(star, points, percent), places, bodies, width, percent)
-
-    larger = members.where("many > 2")
-    if complete:
-        rooted = settle(larger.select("block", "sid", "n", F.col("sid").alias("root")), "rooted")  # each set alone: no pair is left out
-    for turn in range(0 if complete else ROUNDS + 1):
-        root = settle(components(links), "roots")
-        rooted = settle(larger.join(root.withColumnRenamed("node", "sid"), "sid", "left").select("block", "sid", "n", F.coalesce("root", "sid").alias("root")), "rooted")
-        if turn == ROUNDS:
-            break
-        again = settle(_more_stars(rooted, percent, turn).join(star, ["a", "b"], "left_anti"), "stars")
-        new = _verified(_admitted(again, points, percent), places, bodies, width, percent)
-        if new.isEmpty():
-            break
-        star, links = settle(star.unionByName(again), "star"), links.unionByName(new)
-    mixed = rooted.groupBy("block").agg(F.count(F.lit(1)).alias("many"), F.min("root").alias("x"), F.max("root").alias("y"), F.sum(F.xxhash64("sid").cast("decimal(38,0)")).alias("digest")).where("x <> y")
-    mixed = mixed.groupBy("digest", "many").agg(F.min("block").alias("block"))  # blocks of the same members: one of them
-    chunked = rooted.join(mixed.select("block", F.ceil(F.col("many") / CHUNK).cast("int").alias("chunks")), "block").withColumn("c", F.pmod(F.xxhash64("sid"), F.col("chunks")).cast("int"))
-    rows = chunked.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))).select("block", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), F.when(F.col("c") == F.col("o"), 2).when(F.col("c") < F.col("o"), 0).otherwise(1).alias("side"), "sid", "root")
-    few = rooted.join(mixed.select("block"), "block").groupBy("sid").agg(F.slice(F.array_sort(F.collect_set("block")), 1, FIRSTS).alias("firsts"))  # a set's own blocks: no more than its shingles
-    rows = rows.join(points, "sid").join(few, "sid").select("block", "i", "j", "side", "sid", "root", points["n"], "point", "firsts").repartition("block", "i", "j").sortWithinPartitions("block", "i", "j")
-    more = settle(_tree_pairs(rows, percent).distinct().join(star, ["a", "b"], "left_anti"), "more")
-    if more.limit(1).count():
-        extra = _verified(more, places, bodies, width, percent)
-        links = links.unionByName(extra)
-        if not complete and extra.limit(1).count():
-            root = settle(components(links), "roots")
-    if complete:
-        root = settle(components(links), "roots")
-
-    degree = links.select(F.col("a").alias("sid")).unionByName(links.select(F.col("b").alias("sid"))).groupBy("sid").agg(F.count(F.lit(1)).alias("n_links"))
-    nodes = places.join(root.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
-    nodes = settle(nodes.join(degree, "sid", "left").select("sid", "ord", "rid", "root", F.coalesce("n_links", F.lit(0)).alias("n_links")), "nodes")
-    texts = settle(sets.select("ord", "rid", "n", "sid"), "texts")
-    discard(sets, members, star, more, root, rooted)
-    return texts, nodes
+    return map_arrow(rows, each, "node long, n_links long").groupBy("node").agg(F.sum("n_links").alias("n_links"))
 
 
 def classes(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
     """(doc_id, n_shingles, component_id, n_links) per row of ``docs``.
 
     component_id is the least doc_id that links reach; n_links is the number of other sets that are similar enough to
-    this row's set. Null and empty texts have no shingles and stand alone;
-    rows of equal sets are one class; a null doc_id counts as larger than others, and a class of nulls alone has a null
-    component. Other columns are ignored.
+    this row's set. Null and empty texts have no shingles and stand alone; rows of equal sets are one class; a null
+    doc_id counts as larger than others, and a class of nulls alone has a null component. Other columns are ignored.
     """
-    texts, nodes = linked_sets(bodies_of(docs), width, percent, complete=True)
-    least = nodes.groupBy("root").agg(F.min("ord").alias("least"))
-    verdict = nodes.select("sid", "root", "n_links").join(least, "root").select("sid", "least", "n_links")
-    empty = F.col("n") == 0
-    # a set without shingles meets no verdict; its own hash spreads such rows over the tasks
-    rows = texts.withColumn("sid", F.when(empty, F.xxhash64("ord", "rid")).otherwise(F.col("sid"))).join(verdict, "sid", "left")
-    own = F.when(empty | F.col("least").isNull(), F.col("ord")).otherwise(F.col("least"))
+    layout = lay_out(bodies_of(docs))
+    texts, named = linked_sets(layout, width, percent)
+    links = settle(link_counts(named, layout, width, percent), "degrees")
+    least = named.groupBy("root").agg(F.min("ord").alias("least"))
+    verdict = settle(named.join(least, "root").join(links, "node", "left").select("node", "least", F.coalesce("n_links", F.lit(0)).alias("n_links")), "verdict")
+    discard(named, links)
+    layout.drop()
+    # a text without shingles meets no verdict; its row number spreads such texts over the tasks
+    rows = texts.withColumn("node", F.coalesce("node", -1 - F.col("row"))).join(verdict, "node", "left")
 
     def known(x: Column) -> Column:
         return F.when(x < F.lit(LAST), x)
 
-    links = F.when(empty, 0).otherwise(F.coalesce("n_links", F.lit(0))).cast("long")
-    return rows.select(known(F.col("ord")).alias("doc_id"), F.col("n").alias("n_shingles"), known(own).alias("component_id"), links.alias("n_links"))
+    return rows.select(known(F.col("ord")).alias("doc_id"), F.col("n").alias("n_shingles"), known(F.coalesce("least", "ord")).alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
 
 
 def one_of_each(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """``docs`` with one row of each class (the least id; of repeated rows one); texts without words all stay."""
-    bodies = bodies_of(docs)
-    _, nodes = linked_sets(bodies, width, percent)
-    stays = settle(nodes.groupBy("root").agg(F.min(F.struct("ord", "rid")).alias("p")).select("p.ord", "p.rid"), "stays")
-    wordless = ~F.coalesce(F.col("body").cast("string").rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
-    chosen = bodies.join(stays, ["ord", "rid"], "left_semi").withColumn("copy", F.row_number().over(Window.partitionBy("ord", "rid").orderBy("ord", "rid"))).where("copy = 1").drop("copy")
-    kept = bodies.where(wordless).unionByName(chosen.where(~wordless))
-    made = {"doc_id": F.col("doc_id").cast(dict(docs.dtypes)["doc_id"]), "text": F.when(F.col("had"), F.col("body").cast("string"))}
-    return kept.select(*[(made[c] if c in made else F.col(f"row.`{c}`")).alias(c) for c in docs.columns])
+    """``docs`` with one row of each class: the least id, of repeated rows the first as they lie. Texts without words all
+    stay, whatever they hold else; null ids stand behind all others; all columns keep their names and values."""
+    layout = lay_out(bodies_of(docs))
+    texts, named = linked_sets(layout, width, percent)
+    stays = named.groupBy("root").agg(F.min(F.struct("ord", "node")).alias("p")).select(F.col("p.node").alias("row"))
+    stays = settle(stays.unionByName(texts.where("n = 0").select("row")), "stays")
+    discard(texts, named)
+    return documents_of(layout.meet(stays, ["doc_id", "body", "had", "rest"]), docs)
 
 
 def op10_count_vector_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -10,7 +10,9 @@ twenty words, one in eighty bytes), and only runs are shuffled. A run's whole co
   the same common part are single windows matched by hash.
 
 All grouping is by hash with map-side partial aggregates, so a passage that stands in a third of all documents costs a
-row per task. Work and rows grow with the input, never with the pairs in a group.
+row per task. Work and rows grow with the input, never with the pairs in a group. Rows are told apart by the numbers of
+their layout, so equal texts, equal and missing ids are as good as others, and texts are never shuffled: places, cuts
+and spans are sent to where the texts lie.
 """
 
 from __future__ import annotations
@@ -25,11 +27,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ordjoin.llm import kernels as K
-from ordjoin.llm.common import column_bytes, discard, map_arrow, settle, slices
+from ordjoin.llm.common import Layout, column_bytes, discard, map_arrow, settle, slices
 
-LAST = 2**63 - 1  # where a null id stands in the order
-PLACE = ["ord", "rid", "start", "n"]
-SMALL_BYTES = 16 << 20  # what may be broadcast; more is shuffled with the texts
+PLACE = ["ord", "part", "row", "start", "n"]
+LONG = 1 << 22  # symbols that are hashed at once; a longer text is taken in overlapping stretches
 
 
 @dataclass(frozen=True)
@@ -52,34 +53,48 @@ class Unit:
         return K.word_hashes(raw, starts, stops), first
 
 
-def bodies_of(docs: DataFrame) -> DataFrame:
-    """(doc_id, ord, rid, body, had, row): the id's place in the order, a hash of the text that tells rows of one id
-    apart, the text's bytes, whether there is a text, and the row's other columns."""
-    text = F.coalesce(F.col("text"), F.lit(""))
-    rest = [F.col(c) for c in docs.columns if c not in ("doc_id", "text")] or [F.lit(0).alias("none")]
-    place = F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST))
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), place.alias("ord"), F.hash(text, place).alias("rid"), text.cast("binary").alias("body"), F.col("text").isNotNull().alias("had"), F.struct(*rest).alias("row"))
+def runs_in(raw: np.ndarray, ends: np.ndarray, unit: Unit) -> dict[str, np.ndarray]:
+    """Runs of window starts of some texts; windows of a long text are taken stretch by stretch."""
+    if unit.words:
+        symbols, first = unit.symbols(raw, ends)
+        if len(symbols) <= LONG or len(first) > 2:
+            return K.trigger_runs(symbols, first, unit.window, unit.gram)
+        stretch = lambda a: symbols[a : a + LONG + unit.window - 1]
+        size = len(symbols)
+    else:
+        if len(raw) <= LONG or len(ends) > 2:
+            return K.trigger_runs(*unit.symbols(raw, ends), unit.window, unit.gram)
+        stretch = lambda a: K.BYTE_CODES[raw[a : a + LONG + unit.window - 1]]
+        size = len(raw)
+    parts = []
+    for a in range(0, size - unit.window + 1, LONG):
+        some = stretch(a)
+        found = K.trigger_runs(some, np.array([0, len(some)]), unit.window, unit.gram)
+        parts.append(found | {"start": found["start"] + a})
+    return {k: np.concatenate([p[k] for p in parts]) for k in parts[0]}
+
+
+def find_runs(bodies: DataFrame, unit: Unit, part: int = 0) -> DataFrame:
+    """Runs of the rows (ord, row, body) of a layout, which is number ``part`` of those whose runs are brought together."""
 
-
-def find_runs(bodies: DataFrame, unit: Unit) -> DataFrame:
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ords, rids = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1))
-            for a, b, raw, ends in slices(batch.column(2), unit.slice_bytes):
-                found = K.trigger_runs(*unit.symbols(raw, ends), unit.window, unit.gram)
-                row = found["doc"] + a
+            ords, rows = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1))
+            for a, _, raw, ends in slices(batch.column(2), unit.slice_bytes):
+                found = runs_in(raw, ends, unit)
+                at = found["doc"] + a
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(ords[row]), pa.array(rids[row]), pa.array(found["start"].astype(np.int32)), pa.array(found["n"].astype(np.int32)), pa.array(K.signed(found["key"])), pa.array(K.signed(found["ctx"]))],
-                    names=["ord", "rid", "start", "n", "key", "ctx"],
+                    [pa.array(ords[at]), pa.array(np.full(len(at), part, np.int32)), pa.array(rows[at]), pa.array(found["start"].astype(np.int32)), pa.array(found["n"].astype(np.int32)), pa.array(K.signed(found["key"])), pa.array(K.signed(found["ctx"]))],
+                    names=["ord", "part", "row", "start", "n", "key", "ctx"],
                 )
 
-    return map_arrow(bodies.select("ord", "rid", "body"), each, "ord long, rid int, start int, n int, key long, ctx long")
+    return map_arrow(bodies.select("ord", "row", "body"), each, "ord long, part int, row long, start int, n int, key long, ctx long")
 
 
 def contexts_of(runs: DataFrame, *more: Column) -> DataFrame:
     """One row per distinct context: a place of it, the least document that has it, and how often it stands.
 
-    The four columns of the place come from one row, as all of them take the first; only fixed-width buffers are used,
+    The columns of the place come from one row, as all of them take the first; only fixed-width buffers are used,
     so the aggregate hashes.
     """
     place = [F.first(c).alias(c) for c in PLACE]
@@ -87,16 +102,13 @@ def contexts_of(runs: DataFrame, *more: Column) -> DataFrame:
 
 
 def contested(contexts: DataFrame, fresh: Column, key: str = "key") -> DataFrame:
-    """Contexts that repeat, and those that share their trigger with another one where a fresh one takes part."""
+    """Contexts that share their trigger with another one where a fresh one takes part, and fresh ones that repeat."""
     keys = contexts.groupBy(key).agg(F.count(F.lit(1)).alias("n_ctx"), F.max(fresh).alias("any_fresh")).where("n_ctx > 1 and any_fresh").select(key, F.lit(True).alias("shared"))
-    return contexts.join(keys, key, "left").withColumn("shared", F.coalesce("shared", F.lit(False))).where(F.col("shared") | (F.col("times") > 1) | ~fresh)
+    return contexts.join(keys, key, "left").withColumn("shared", F.coalesce("shared", F.lit(False))).where(F.col("shared") | (F.col("times") > 1) & fresh)
 
 
-def pieces_of(contexts: DataFrame, bodies: DataFrame, unit: Unit) -> DataFrame:
+def pieces_of(contexts: DataFrame, layouts: list[Layout], unit: Unit) -> DataFrame:
     """One copy of each context: (key, ctx, lead, n, least, times, piece); ``lead``: where its trigger stands."""
-    wanted = contexts.groupBy("ord", "rid").agg(F.collect_list(F.struct("start", "n", "key", "ctx", "times", "least")).alias("cuts"))
-    small = contexts.count() * 96 <= SMALL_BYTES
-    one = bodies.select("ord", "rid", "body").join(F.broadcast(wanted) if small else wanted, ["ord", "rid"])
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         reach = unit.window - unit.gram + 1
@@ -105,27 +117,34 @@ def pieces_of(contexts: DataFrame, bodies: DataFrame, unit: Unit) -> DataFrame:
             places = np.asarray(cuts.offsets)
             fields = [np.asarray(cuts.values.field(i)) for i in range(6)]
             for a, b, raw, ends in slices(batch.column(0), unit.slice_bytes):
-                symbols, first = unit.symbols(raw, ends)
-                grams = K.rolling(K.prefix_sums(symbols), unit.gram)
                 lo, hi = places[a], places[b]
                 start, n, key, ctx, times, least = (f[lo:hi] for f in fields)
-                doc = np.repeat(np.arange(a, b), np.diff(places[a : b + 1]))
-                at = first[doc - a] + start
-                wanted = key.view(np.uint64)
-                lead = [int(np.flatnonzero(grams[x : x + reach] == k)[-1]) for x, k in zip(at.tolist(), wanted, strict=True)]
+                doc = np.repeat(np.arange(b - a), np.diff(places[a : b + 1]))
                 if unit.words:
-                    starts, stops, _ = K.word_spans(raw, ends)
-                    bounds = zip(starts[at].tolist(), stops[at + n + unit.window - 2].tolist(), strict=True)
+                    starts, stops, first = K.word_spans(raw, ends)
+                    at = first[doc] + start
+                    low, high = starts[at], stops[at + n + unit.window - 2]
                 else:
-                    bounds = zip(at.tolist(), (at + n + unit.window - 1).tolist(), strict=True)
+                    low = ends[doc] + start
+                    high = low + n + unit.window - 1
                 whole = raw.tobytes()
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(key), pa.array(ctx), pa.array(lead, pa.int32()), pa.array(n), pa.array(least), pa.array(times), pa.array([whole[x:y] for x, y in bounds], pa.binary())],
-                    names=["key", "ctx", "lead", "n", "least", "times", "piece"],
-                )
-
-    # a row that stands twice in the input is cut twice; its contexts repeat as a whole in any case
-    return map_arrow(one.select("body", "cuts"), each, "key long, ctx long, lead int, n int, least long, times long, piece binary")
+                texts = [whole[x:y] for x, y in zip(low.tolist(), high.tolist(), strict=True)]
+                some = pa.array(texts, pa.binary())
+                lead = np.zeros(len(texts), np.int32)
+                for x, y, piece, cut in slices(some, unit.slice_bytes):
+                    symbols, first = unit.symbols(piece, cut)
+                    grams = K.rolling(K.prefix_sums(symbols), unit.gram)
+                    wanted = key[x:y].view(np.uint64)
+                    lead[x:y] = [int(np.flatnonzero(grams[p : p + reach] == k)[-1]) for p, k in zip(first[:-1].tolist(), wanted, strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(ctx), pa.array(lead), pa.array(n), pa.array(least), pa.array(times), some], names=["key", "ctx", "lead", "n", "least", "times", "piece"])
+
+    out = None
+    for part, layout in enumerate(layouts):
+        cuts = F.collect_list(F.struct("start", "n", "key", "ctx", "times", "least")).alias("cuts")
+        wanted = layout.gathered(contexts.where(F.col("part") == part).select("row", "start", "n", "key", "ctx", "times", "least"), cuts)
+        some = map_arrow(layout.meet(wanted, ["body"]).select("body", "cuts"), each, "key long, ctx long, lead int, n int, least long, times long, piece binary")
+        out = some if out is None else out.unionByName(some)
+    return out
 
 
 def blocks_of(pieces: DataFrame, unit: Unit) -> DataFrame:
@@ -187,8 +206,8 @@ def windows_of(blocks: DataFrame, pieces: DataFrame, unit: Unit) -> DataFrame:
     return map_arrow(one, each, "key2 long, ctx2 long, off int, win long, least long, times long")
 
 
-def removed_spans(runs: DataFrame, marked: DataFrame, bodies: DataFrame, unit: Unit, first_stays: bool) -> DataFrame:
-    """(ord, rid, spans): the removed [a, b) of each document, settled.
+def removed_spans(runs: DataFrame, marked: DataFrame, layouts: list[Layout], unit: Unit, first_stays: bool) -> DataFrame:
+    """(row, spans): the removed [a, b) of each row of the last of ``layouts``, settled.
 
     ``first_stays``: a window goes if it also starts in a document before this one; otherwise if it starts anywhere else.
     """
@@ -196,7 +215,7 @@ def removed_spans(runs: DataFrame, marked: DataFrame, bodies: DataFrame, unit: U
     def whole(before: str, own: str, times: str) -> Column:
         return F.col(before) < F.col(own) if first_stays else F.col(times) > 1
 
-    pieces = settle(pieces_of(marked.where("shared"), bodies, unit), "pieces")
+    pieces = settle(pieces_of(marked.where("shared"), layouts, unit), "pieces")
     blocks = settle(blocks_of(pieces, unit), "blocks")
     same = blocks.groupBy("key2", "ctx2").agg(*[F.first(c).alias(c) for c in ("key", "ctx", "first", "width")], F.min("least").alias("least"), F.sum("times").alias("times"))
     marked2 = settle(contested(same, F.lit(True), "key2"), "shared-blocks")
@@ -218,16 +237,17 @@ def removed_spans(runs: DataFrame, marked: DataFrame, bodies: DataFrame, unit: U
     spans = F.when(whole("before", "ord", "times"), F.array(F.struct(F.col("start").alias("a"), (F.col("start") + F.col("n") + width).alias("b")))).otherwise(
         F.transform("ranges", lambda r: F.struct((F.col("start") + r["x"]).alias("a"), (F.col("start") + r["y"] + width).alias("b")))
     )
-    hits = runs.select("ord", "rid", "start", "n", "key", "ctx").join(known, ["key", "ctx"]).where(whole("before", "ord", "times") | F.col("ranges").isNotNull())
-    out = settle(hits.groupBy("ord", "rid").agg(F.flatten(F.collect_list(spans)).alias("spans")), "spans")
+    hits = runs.select("ord", "row", "start", "n", "key", "ctx").join(known, ["key", "ctx"]).where(whole("before", "ord", "times") | F.col("ranges").isNotNull())
+    hits = hits.select("row", F.explode(spans).alias("span"))
+    out = settle(layouts[-1].gathered(hits, F.collect_list("span").alias("spans")), "spans")
     discard(runs, known)
     return out
 
 
-def kept(bodies: DataFrame, spans: DataFrame, unit: Unit, text: bool = False) -> DataFrame:
+def kept(layout: Layout, spans: DataFrame, unit: Unit, text: bool = False) -> DataFrame:
     """What is left of each body: (doc_id, n, n_removed, n_spans, kept_sha256), or with ``text`` the row's other columns
-    (``row``) and ``kept_text``, which is the text as it was where nothing goes."""
-    names = ["doc_id", "n", "n_removed", "n_spans", "kept_sha256", *["row", "kept_text"] * text]
+    (``rest``) and ``kept_text``, which is the text as it was where nothing goes."""
+    names = ["doc_id", "n", "n_removed", "n_spans", "kept_sha256", *["rest", "kept_text"] * text]
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -257,10 +277,8 @@ def kept(bodies: DataFrame, spans: DataFrame, unit: Unit, text: bool = False) ->
             arrays = [batch.column(0), pa.array(ns, pa.int64()), pa.array(removed, pa.int64()), pa.array(n_spans, pa.int64()), pa.array(shas, pa.string())]
             yield pa.RecordBatch.from_arrays([*arrays, *([batch.column(3), pa.array(texts, pa.string())] if text else [])], names=names)
 
-    held = spans.agg(F.count(F.lit(1)).alias("rows"), F.coalesce(F.sum(F.size("spans")), F.lit(0)).alias("spans")).first()
-    small = held["rows"] * 64 + held["spans"] * 24 <= SMALL_BYTES
-    joined = bodies.join(F.broadcast(spans) if small else spans, ["ord", "rid"], "left").select("doc_id", "body", "spans", *["row", "had"] * text)
+    joined = layout.meet(spans, ["doc_id", "body", *["rest", "had"] * text], "left").select("doc_id", "body", "spans", *["rest", "had"] * text)
     schema = "doc_id long, n long, n_removed long, n_spans long, kept_sha256 string"
     if text:
-        schema += f", row {dict(bodies.dtypes)['row']}, kept_text string"
+        schema += f", rest {dict(layout.frame.dtypes)['rest']}, kept_text string"
     return map_arrow(joined, each, schema)

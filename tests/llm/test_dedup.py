@@ -91,8 +91,7 @@ def test_index_over_batches_and_compaction(spark):
     df = spark.createDataFrame(rows, "doc_id bigint, text string")
     index, got = S.FingerprintIndex(spark, buckets=4, fanout=2), []
     for a in range(0, 40, 10):
-        seen = df.where(F.col("doc_id") < a)
-        got += S.remove_known(df.where((F.col("doc_id") >= a) & (F.col("doc_id") < a + 10)), seen if a else None, index, 8, 3).collect()
+        got += S.remove_known(df.where((F.col("doc_id") >= a) & (F.col("doc_id") < a + 10)), index, 8, 3).collect()
         assert len(index.runs) < 2 or a == 0
     assert sorted(((r["doc_id"], r["n"], r["n_removed"], r["kept_sha256"]) for r in got), key=repr) == brute_words(rows, 8)
     index.drop()
