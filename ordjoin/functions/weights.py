@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Callable, Sequence
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -36,3 +36,12 @@ def squared_distance(vector: Column, to: Sequence[float], scale: int = 10**6) ->
     """Squared Euclidean distance to a fixed vector, scaled to an integer so that sums are exact."""
     other = F.array(*[F.lit(float(v)) for v in to])
     return F.round(F.aggregate(F.zip_with(vector, other, lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, x: s + x) * scale).cast("long")
+
+
+def user_weight(function: Callable, kind: str = "bigint") -> Callable[..., Column]:
+    """A weight of one's own: a function of pandas series, run on Arrow batches. It is charged to the atom that holds its
+    variables, so it sees each row once, before any join. Integers or decimals keep sums exact."""
+    from pyspark.sql.functions import pandas_udf
+
+    udf = pandas_udf(function, kind)
+    return lambda *columns: udf(*[F.col(c) if isinstance(c, str) else c for c in columns])

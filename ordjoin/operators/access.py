@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ordjoin.operators.dp import count_prepared, ranked, with_all
-from ordjoin.operators.levels import _pinned, _sorts, layered
+from ordjoin.operators.levels import _keep, _pinned, _sorts, layered
 from ordjoin.plans.hypergraph import complete_order, disruptive_trios, is_connex
 from ordjoin.plans.jointree import JoinTree, join_tree, order_consistent_tree
 from ordjoin.plans.model import ConjunctiveQuery
@@ -32,7 +32,7 @@ def running_total(df: DataFrame, keys: Sequence[str], value: str, by: Sequence)
     if keys:
         w = Window.partitionBy(*keys).orderBy(*by).rowsBetween(Window.unboundedPreceding, -1)
         return df.withColumn("_before", F.coalesce(F.sum(value).over(w), F.lit(0)).cast(WIDE))
-    parts = df.repartitionByRange(*by).withColumn("_part", F.spark_partition_id()).persist()
+    parts = _keep(df.repartitionByRange(*by).withColumn("_part", F.spark_partition_id()))
     sums = sorted((r["_part"], r["s"]) for r in parts.groupBy("_part").agg(F.sum(value).cast(WIDE).alias("s")).collect())  # one row a partition
     table, total = [], Decimal(0)
     for part, s in sums:
@@ -142,7 +142,7 @@ def weight_histogram(q: ConjunctiveQuery, rank: Rank) -> DataFrame:
 def select_nth(q: ConjunctiveQuery, rank: Rank, position: int) -> DataFrame:
     """The weight of the answer at a position (from 1) of an integer SUM order, and how many answers lie before it."""
     hist = weight_histogram(q, rank)
-    order = F.col("weight").desc() if rank.decode(F.lit(1))._jc.toString().startswith("-") else F.col("weight").asc()
+    order = F.col("weight").desc() if rank.descends else F.col("weight").asc()
     w = Window.orderBy(order).rowsBetween(Window.unboundedPreceding, Window.currentRow)  # one row a weight
     run = hist.withColumn("_upto", F.sum("answers").over(w))
     hit = run.where((F.col("_upto") >= position) & (F.col("_upto") - F.col("answers") < position))

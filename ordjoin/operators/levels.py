@@ -5,7 +5,9 @@ compare by (priority, values) as their prefixes do, so k better prefixes leave n
 level may be cut to k. Entries of a group are cut before they meet the frontier: by value (no better than the bound that
 the last level gives, with the best prefix of their group), and for cancellative rankings by place in the group (k).
 The frontier is the small side of every join and is broadcast; relations are never shuffled here. Number of rounds: the
-number of relations, whatever k and the data.
+number of relations, whatever k and the data. A frontier of up to ``PIN_ROWS`` rows passes through the driver; a larger
+one (a large k, or ties without end) stays on the executors, is cut by range partitions and their counts, and is joined
+by shuffle beyond ``BROADCAST_ROWS``. What results keep persisted then goes with ``release()``.
 """
 
 from __future__ import annotations
@@ -13,6 +15,7 @@ from __future__ import annotations
 from collections.abc import Sequence
 from dataclasses import dataclass, field
 
+from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -21,9 +24,11 @@ from ordjoin.operators.dp import ALL, Prepared, ranked, semijoin_reduce, with_al
 from ordjoin.plans.hypergraph import complete_order, disruptive_trios
 from ordjoin.plans.jointree import JoinTree, join_tree, layers, order_consistent_tree
 from ordjoin.plans.model import Atom, ConjunctiveQuery
-from ordjoin.plans.ranking import Rank, Semiring, vectors
+from ordjoin.plans.ranking import Rank, Semiring, values, vectors
 
+PIN_ROWS = 200_000  # frontiers up to this pass through the driver
 BROADCAST_ROWS = 2_000_000  # frontiers beyond this join by shuffle
+_KEPT: list[DataFrame] = []
 
 
 @dataclass
@@ -43,31 +48,87 @@ def literal(value: object) -> Column:
     return F.lit(value)
 
 
+def _keep(df: DataFrame) -> DataFrame:
+    """Persisted until ``release()``, as a result still reads it."""
+    _KEPT.append(df.persist(StorageLevel.MEMORY_AND_DISK))
+    return _KEPT[-1]
+
+
+def release() -> None:
+    """Drop what results of large k, unbounded ties and dense codes keep persisted; call it once they have been read."""
+    while _KEPT:
+        _KEPT.pop().unpersist()
+
+
 def _pinned(df: DataFrame) -> tuple[DataFrame, int, object]:
-    """A small frame as rows held by the driver (at most k of them, or more with ties), their number and last priority."""
+    """A small frame as rows held by the driver, their number and last priority."""
     rows = df.toArrow()
     last = rows.column("_prio")[-1].as_py() if rows.num_rows and "_prio" in rows.column_names else None
     spark = df.sparkSession
     return spark.createDataFrame(rows if rows.num_rows else [], df.schema), rows.num_rows, last
 
 
+def numbered(df: DataFrame, by: Sequence[Column], name: str) -> DataFrame:
+    """Add the place (from 1) of each row in a total order, without a task that gets all rows.
+
+    Rows are range partitioned; each partition's offset comes from the counts of those before it.
+    """
+    parts = _keep(df.repartitionByRange(*by).withColumn("_part", F.spark_partition_id()))
+    counts = sorted((r["_part"], r["count"]) for r in parts.groupBy("_part").count().collect())  # one row a partition
+    offset, table = 0, []
+    for part, n in counts:
+        table.append((part, offset))
+        offset += n
+    offsets = df.sparkSession.createDataFrame(table, "_part int, _offset long")
+    inside = F.row_number().over(Window.partitionBy("_part").orderBy(*by))
+    return parts.withColumn("_row", inside).join(F.broadcast(offsets), "_part").withColumn(name, (F.col("_row") + F.col("_offset")).cast("long")).drop("_part", "_row", "_offset")
+
+
+def first_rows(df: DataFrame, by: Sequence[Column], k: int) -> DataFrame:
+    """The k first rows in an order."""
+    if k <= PIN_ROWS:
+        return df.orderBy(*by).limit(k)
+    return numbered(df, by, "_nth").where(F.col("_nth") <= k).drop("_nth")
+
+
+def _cut(level: DataFrame, by: Sequence[Column], k: int, ties: str = "ids") -> tuple[DataFrame, int, object]:
+    """The level's k first rows (with ``all``, also those tied with the last), their number and last priority."""
+    if ties != "all":
+        level = first_rows(level, by, k)
+        if k <= PIN_ROWS:
+            return _pinned(level)
+    else:
+        end = first_rows(level.select("_prio"), [F.col("_prio")], k).agg(F.count(F.lit(1)).alias("n"), F.max("_prio").alias("last")).toArrow()
+        if end.column("n")[0].as_py() >= k:
+            level = level.where(F.col("_prio") <= literal(end.column("last")[0].as_py()))
+    level = level.persist(StorageLevel.MEMORY_AND_DISK)
+    rows = level.count()
+    if rows <= PIN_ROWS:
+        out = _pinned(level.orderBy(*by))
+        level.unpersist()
+        return out
+    _KEPT.append(level)
+    return level, rows, level.agg(F.max("_prio").alias("last")).toArrow().column("last")[0].as_py() if "_prio" in level.columns else None
+
+
 def _small(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df
 
 
-def sum_topk(q: ConjunctiveQuery, rank: Rank, k: int, tree: JoinTree | None = None, ties: str = "ids", prepared: Prepared | None = None, stats: PlanStats | None = None) -> DataFrame:
+def sum_topk(q: ConjunctiveQuery, rank: Rank, k: int, tree: JoinTree | None = None, ties: str = "ids", prepared: Prepared | None = None, stats: PlanStats | None = None, bound: bool = True, places: bool = True) -> DataFrame:
     """The k best answers of a full acyclic query: variables, ``weight`` and ``rnk`` (1 to k).
 
     ``ties``: ``ids`` orders equal weights by variables along the relation order and is deterministic; ``arbitrary``
     leaves them open; ``all`` returns all answers tied with the k-th. A k of 0 or an empty result gives no rows.
+    ``bound`` and ``places`` switch the two cuts of entries off, which changes the work and not the answers.
     """
     if k <= 0:
         p = prepared or ranked(q, rank, tree)
-        return _finish(_start(p), p, list(p.tree.met()), 0)
+        return _finish(_start(p), 0, p, list(p.tree.met()), 0)
     own = prepared is None
     p = prepared or ranked(q, rank, tree).hold()
     try:
-        return _run(p, k, ties, stats if stats is not None else PlanStats())
+        return _run(p, k, ties, stats if stats is not None else PlanStats(), bound, places)
     finally:
         if own:
             p.close()
@@ -77,31 +138,24 @@ def _start(p: Prepared) -> DataFrame:
     return p.frames[p.root].withColumnRenamed("_w", "_fixed").withColumnRenamed("_opt", "_prio")
 
 
-def _cut(df: DataFrame, by: Sequence[str], k: int, ties: str) -> DataFrame:
-    if ties != "all":
-        return df.orderBy("_prio", *(by if ties == "ids" else ())).limit(k)
-    last = df.select("_prio").orderBy("_prio").limit(k).toArrow().column("_prio")
-    return (df.where(F.col("_prio") <= literal(last[-1].as_py())) if len(last) == k else df).orderBy("_prio")
-
-
-def _run(p: Prepared, k: int, ties: str, stats: PlanStats) -> DataFrame:
+def _run(p: Prepared, k: int, ties: str, stats: PlanStats, bound: bool, places: bool) -> DataFrame:
     tree = p.tree
     met: list[str] = []
     frontier, rows, tau = None, 0, None
     for i in tree.order:
         fresh = [v for v in tree.query.atoms[i].variables if v not in met]
-        level = _start(p) if frontier is None else _extend(p, frontier, rows, i, fresh, k, tau, ties)
+        level = _start(p) if frontier is None else _extend(p, frontier, rows, i, fresh, k, tau, places and ties != "all")
         met += fresh
-        frontier, rows, last = _pinned(_cut(level, met, k, ties))
-        tau = last if rows >= k else None
+        frontier, rows, last = _cut(level, [F.col("_prio"), *[F.col(v) for v in (met if ties == "ids" else ())]], k, ties)
+        tau = last if bound and rows >= k else None
         stats.levels.append(rows)
         stats.bounds.append(tau)
         if not rows:
             break
-    return _finish(frontier, p, list(tree.met()), k)
+    return _finish(frontier, rows, p, list(tree.met()), k)
 
 
-def _extend(p: Prepared, frontier: DataFrame, rows: int, i: int, fresh: list[str], k: int, tau: object, ties: str) -> DataFrame:
+def _extend(p: Prepared, frontier: DataFrame, rows: int, i: int, fresh: list[str], k: int, tau: object, places: bool) -> DataFrame:
     tree, algebra = p.tree, p.algebra
     open_now = [c for c in frontier.columns if c.startswith("_m") and c != f"_m{i}"]
     rest = algebra.product([F.col("_fixed"), *[F.col(c) for c in open_now]])
@@ -114,7 +168,7 @@ def _extend(p: Prepared, frontier: DataFrame, rows: int, i: int, fresh: list[str
     if tau is not None:
         entries = entries.where(algebra.times(F.col("_least"), F.col("_opt")) <= literal(tau))
     entries = entries.drop("_least")
-    if p.rank.cancellative and ties != "all":
+    if p.rank.cancellative and places:
         place = F.row_number().over(Window.partitionBy(*keys).orderBy("_opt", *[v for v in fresh]))
         entries = entries.withColumn("_pos", place).where(F.col("_pos") <= k).drop("_pos")
     out = _small(left, rows).join(entries, keys)
@@ -125,13 +179,17 @@ def _extend(p: Prepared, frontier: DataFrame, rows: int, i: int, fresh: list[str
     return out.select(*kept, *fresh, *[f"_m{c}" for c in tree.children(i)], algebra.times(F.col("_fixed"), F.col("_wi")).alias("_fixed"), "_prio")
 
 
-def _finish(frontier: DataFrame, p: Prepared, met: list[str], k: int) -> DataFrame:
+def _finish(frontier: DataFrame, rows: int, p: Prepared, met: list[str], k: int) -> DataFrame:
     """Answers with weight and place; columns of levels that were never reached (no answers) get their types."""
     for i in p.tree.order:
         for v in p.tree.query.atoms[i].variables:
             if v not in frontier.columns:
                 frontier = frontier.withColumn(v, F.lit(None).cast(dict(p.tree.query.atoms[i].frame.dtypes)[v]))
-    ranked_rows = frontier.where(F.lit(k > 0)).withColumn("rnk", F.row_number().over(Window.orderBy("_prio", *met)).cast("long"))  # at most k rows
+    by = [F.col("_prio"), *[F.col(v) for v in met]]
+    if rows > PIN_ROWS:
+        ranked_rows = numbered(frontier, by, "rnk")
+    else:
+        ranked_rows = frontier.where(F.lit(k > 0)).withColumn("rnk", F.row_number().over(Window.orderBy(*by)).cast("long"))
     return ranked_rows.select(*p.tree.query.head, p.rank.decode(F.col("_prio")).alias("weight"), "rnk")
 
 
@@ -146,18 +204,25 @@ def best_answer(q: ConjunctiveQuery, rank: Rank) -> DataFrame:
 def layered(q: ConjunctiveQuery, order: Sequence[str]) -> JoinTree:
     """A tree with one node a variable for a full order without a disruptive trio.
 
-    Node i holds variable i and its earlier neighbours, as the distinct projection of a fully reduced atom, restricted
-    by all atoms that lie inside it. Answers are those of the query as a set.
+    Node i holds variable i and its earlier neighbours, as the distinct projection of a fully reduced atom. Every atom
+    lies inside the node of its last variable and is joined there row by row, so an answer comes as often as the query
+    has it, whatever the order.
     """
     base = join_tree(q)
     reduced = semijoin_reduce(q, base, full=True)
+    place = {v: n for n, v in enumerate(order)}
     atoms, parents = [], []
     for variables, parent in layers(q, order):
-        home = next(i for i, a in enumerate(q.atoms) if set(variables) <= set(a.variables))
-        df = reduced[home].select(*variables).distinct()
-        for j, a in enumerate(q.atoms):
-            if j != home and set(a.variables) <= set(variables):
-                df = df.join(reduced[j].distinct(), list(a.variables), "left_semi")
+        own = [j for j, a in enumerate(q.atoms) if max(a.variables, key=place.__getitem__) == variables[-1]]
+        whole = next((j for j in own if set(q.atoms[j].variables) == set(variables)), None)
+        if whole is not None:
+            df = reduced[whole].select(*variables)
+        else:
+            home = next(i for i, a in enumerate(q.atoms) if set(variables) <= set(a.variables))
+            df = reduced[home].select(*variables).distinct()
+        for j in own:
+            if j != whole:
+                df = df.join(reduced[j], list(q.atoms[j].variables)).select(*variables)
         atoms.append(Atom(f"layer_{variables[-1]}", df, variables))
         parents.append(parent if parent >= 0 else None)
     parents = [None if i == 0 else (0 if x is None else x) for i, x in enumerate(parents)]
@@ -168,14 +233,15 @@ def layered(q: ConjunctiveQuery, order: Sequence[str]) -> JoinTree:
 def lex_topk(q: ConjunctiveQuery, order: Sequence[str | tuple[str, bool]], k: int) -> DataFrame:
     """The k first answers in a lexicographic order: head variables and ``rnk``.
 
-    The order may name some variables only; the others follow in the order of the tree. Orders with a disruptive trio
-    are ranked through rank vectors (``lex_as_sum``).
+    The order may name some variables only; the others follow in the order of the tree. An answer comes as often as the
+    join has it, whatever the order. Orders with a disruptive trio are ranked through the ordered values themselves
+    (``lex_as_values``), or through rank vectors (``lex_as_sum``) where a descending variable isn't a number.
     """
     rank = Rank.lex(order)
     names = [v for v, _ in rank.order]
     if disruptive_trios(q, names) or complete_order(q, names) is None:
-        weights, tree = lex_as_sum(q, rank)
-        return sum_topk(q, weights, k, tree).drop("weight")
+        weights, tree = lex_as_values(q, rank) or lex_as_sum(q, rank)
+        return sum_topk(tree.query, weights, k, tree).drop("weight")
     tree = order_consistent_tree(q, names) or layered(q, complete_order(q, names))
     down = dict(rank.order)
     frames = semijoin_reduce(tree.query, tree)
@@ -189,9 +255,10 @@ def lex_topk(q: ConjunctiveQuery, order: Sequence[str | tuple[str, bool]], k: in
             right, _ = with_all(frames[i], tree.shared(i))
             level = _small(left, rows).join(right, keys).select(*met, *fresh)
         met += fresh
-        frontier, rows, _ = _pinned(level.orderBy(*_sorts(names, met, down)).limit(k))
-    numbered = frontier.withColumn("rnk", F.row_number().over(Window.orderBy(*_sorts(names, met, down))).cast("long"))  # at most k rows
-    return numbered.select(*q.head, "rnk")
+        frontier, rows, _ = _cut(level, _sorts(names, met, down), k)
+    by = _sorts(names, met, down)
+    placed = numbered(frontier, by, "rnk") if rows > PIN_ROWS else frontier.withColumn("rnk", F.row_number().over(Window.orderBy(*by)).cast("long"))
+    return placed.select(*q.head, "rnk")
 
 
 def _sorts(names: Sequence[str], met: Sequence[str], down: dict[str, bool]) -> list[Column]:
@@ -223,21 +290,24 @@ def full_join(q: ConjunctiveQuery, frames: dict[int, DataFrame] | None = None) -
 
 
 def dense_codes(values: DataFrame, column: str, code: str = "code", descending: bool = False) -> DataFrame:
-    """(column, code): place of each distinct value in sorted order from 0, without an unpartitioned window.
+    """(column, code): place of each distinct value in sorted order from 0, without an unpartitioned window."""
+    by = F.col(column).desc() if descending else F.col(column).asc()
+    return numbered(values.select(column).distinct(), [by], code).select(column, (F.col(code) - 1).alias(code))
 
-    Values are range partitioned; each partition's offset comes from the counts of those before it.
+
+def lex_as_values(q: ConjunctiveQuery, rank: Rank) -> tuple[Rank, JoinTree] | None:
+    """The order as a ranking whose state is a struct with a place for each ordered variable's value.
+
+    An atom fills in the places of its own variables, and structs compare place by place, so no codes and no passes over
+    domains are needed. None where a descending variable can't be negated.
     """
-    spark = values.sparkSession
-    distinct = values.select(column).distinct()
-    parts = distinct.repartitionByRange(F.col(column).desc() if descending else F.col(column).asc()).withColumn("_part", F.spark_partition_id()).persist()
-    counts = sorted((r["_part"], r["count"]) for r in parts.groupBy("_part").count().collect())  # one row a partition
-    offset, table = 0, []
-    for part, n in counts:
-        table.append((part, offset))
-        offset += n
-    offsets = spark.createDataFrame(table, "_part int, _offset long")
-    inside = F.row_number().over(Window.partitionBy("_part").orderBy(F.col(column).desc() if descending else F.col(column).asc()))
-    return parts.withColumn("_row", inside).join(F.broadcast(offsets), "_part").select(column, (F.col("_row") - 1 + F.col("_offset")).cast("long").alias(code))
+    kinds = {v: t for a in q.atoms for v, t in a.frame.select(*a.variables).dtypes}
+    if any(down and not kinds[v].startswith(("tinyint", "smallint", "int", "bigint", "decimal", "float", "double")) for v, down in rank.order):
+        return None
+    names = [v for v, _ in rank.order]
+    empty = {v: F.lit(None).cast(kinds[v]) for v in names}
+    terms = tuple(((v,), F.struct(*[(((-F.col(v)) if down else F.col(v)).cast(kinds[v]) if x == v else empty[x]).alias(x) for x in names])) for v, down in rank.order)
+    return Rank("lex_values", terms, values(empty), True), join_tree(q)
 
 
 def lex_as_sum(q: ConjunctiveQuery, rank: Rank, numeric: bool = False) -> tuple[Rank, JoinTree]:
@@ -285,7 +355,8 @@ def unranked(q: ConjunctiveQuery, k: int) -> DataFrame:
 def per_group_topk(q: ConjunctiveQuery, rank: Rank, group: str, k: int) -> DataFrame:
     """The k best answers for each value of one variable: ``rnk`` counts inside it.
 
-    Relations are cut to rows that can be among a group's first k by the group's own bound, then joined and ranked.
+    Rows of the relation that holds the variable are cut to those that can be among their group's first k, by the
+    group's own bound; then all is joined and ranked inside the groups.
     """
     root = next(i for i, a in enumerate(q.atoms) if group in a.variables)
     p = ranked(q, rank, join_tree(q, root))

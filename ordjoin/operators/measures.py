@@ -87,9 +87,24 @@ def input_size(frames: Sequence[DataFrame]) -> int:
 
 
 def spark_metrics(spark, since: int = 0) -> dict[str, int]:
-    """Stages and tasks that the status tracker still knows from a job id on."""
-    tracker = spark.sparkContext.statusTracker()
+    """What Spark's status store still knows from a job id on: jobs, stages, tasks, bytes shuffled and spilled, rows read."""
+    tracker, store = spark.sparkContext.statusTracker(), spark.sparkContext._jsc.sc().statusStore()
     jobs = [j for j in tracker.getJobIdsForGroup(None) if j >= since]
     stages = {s for j in jobs for s in (tracker.getJobInfo(j).stageIds if tracker.getJobInfo(j) else [])}
-    infos = [i for i in map(tracker.getStageInfo, stages) if i]
-    return {"jobs": len(jobs), "stages": len(infos), "tasks": sum(i.numTasks for i in infos)}
+    out = {"jobs": len(jobs), "stages": 0, "tasks": 0, "shuffle_bytes": 0, "spilled_bytes": 0, "input_rows": 0}
+    for s in stages:
+        info = tracker.getStageInfo(s)
+        if info is None:
+            continue
+        data = store.lastStageAttempt(s)
+        out["stages"] += 1
+        out["tasks"] += info.numTasks
+        out["shuffle_bytes"] += data.shuffleWriteBytes()
+        out["spilled_bytes"] += data.diskBytesSpilled()
+        out["input_rows"] += data.inputRecords()
+    return out
+
+
+def last_job(spark) -> int:
+    """The number of the newest job, as a start for ``spark_metrics``; -1 if there was none."""
+    return max(spark.sparkContext.statusTracker().getJobIdsForGroup(None), default=-1)

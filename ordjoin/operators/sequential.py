@@ -11,6 +11,8 @@ import operator
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
+from pyspark.sql import DataFrame
+
 from ordjoin.operators.dp import Prepared, ranked, semijoin_reduce
 from ordjoin.plans.jointree import JoinTree, join_tree
 from ordjoin.plans.model import ConjunctiveQuery
@@ -65,15 +67,18 @@ class Groups:
         return {v: out[v] for v in self.tree.query.head}
 
 
+def _collected(frames: dict[int, DataFrame], limit: int) -> dict[int, list]:
+    out = {}
+    for i, df in frames.items():
+        out[i] = df.limit(limit + 1).collect()
+        if len(out[i]) > limit:
+            raise MemoryError("too many rows for one process; prune by a bound or use the bulk form")
+    return out
+
+
 def collect_groups(p: Prepared, by_optimum: bool = True, limit: int = MAX_LOCAL_ROWS) -> Groups:
     """Bring prepared relations to this process; refuses more than ``limit`` rows."""
-    frames = {}
-    for i, df in p.frames.items():
-        rows = df.limit(limit + 1).collect()
-        if len(rows) > limit:
-            raise MemoryError("too many rows for one process; prune by a bound or use the bulk form")
-        frames[i] = rows
-    return local_groups(p.tree, frames, by_optimum)
+    return local_groups(p.tree, _collected(p.frames, limit), by_optimum)
 
 
 def local_groups(tree: JoinTree, frames: dict[int, list], by_optimum: bool) -> Groups:
@@ -194,7 +199,7 @@ class SumHeap:
 def enumerate_sum(q: ConjunctiveQuery, rank: Rank, tree: JoinTree | None = None, priority: str = "extend", stats: EnumStats | None = None) -> Iterator[tuple[object, dict]]:
     """(weight state, answer) in rank order on the driver, for relations that fit it. Kinds: sum, max, min, product, local_sum."""
     plain = {"sum": operator.add, "local_sum": operator.add, "product": operator.mul, "max": max, "min": min}
-    desc = _descends(rank)
+    desc = rank.descends
     times = {"max": min, "min": max}.get(rank.kind, plain[rank.kind]) if desc else plain[rank.kind]
     base = {"product": 1}.get(rank.kind, 0)
     if rank.kind in ("max", "min"):
@@ -205,12 +210,8 @@ def enumerate_sum(q: ConjunctiveQuery, rank: Rank, tree: JoinTree | None = None,
     yield from SumHeap(groups, times, base, priority, minus, stats)
 
 
-def _descends(rank: Rank) -> bool:
-    return rank.decode.__code__.co_code != (lambda c: c).__code__.co_code
-
-
 def enumerate_lex(q: ConjunctiveQuery, tree: JoinTree | None = None, stats: EnumStats | None = None) -> Iterator[dict]:
     """Answers in the lexicographic order of the tree's variables, on the driver."""
     tree = tree or join_tree(q)
-    reduced = {i: df.collect() for i, df in semijoin_reduce(q, tree).items()}
+    reduced = _collected(semijoin_reduce(q, tree), MAX_LOCAL_ROWS)
     yield from LexStack(local_groups(tree, reduced, by_optimum=False), stats)

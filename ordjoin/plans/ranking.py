@@ -56,12 +56,21 @@ def vectors(length: int) -> Semiring:
     return Semiring("vectors", F.min, lambda a, b: F.zip_with(a, b, lambda x, y: x + y), zero, lambda a, b: F.zip_with(a, b, lambda x, y: x - y))
 
 
+def values(empty: Mapping[str, Column]) -> Semiring:
+    """Structs with a place for each variable, filled in by the atom that is charged for it and compared in that order."""
+
+    def fill(a: Column, b: Column) -> Column:
+        return F.struct(*[F.coalesce(a[v], b[v]).alias(v) for v in empty])
+
+    return Semiring("values", F.min, fill, F.struct(*[c.alias(v) for v, c in empty.items()]))
+
+
 @dataclass(frozen=True)
 class Rank:
     """``terms``: (variables it needs, weight column) pairs; each is charged to one atom.
 
     ``cancellative``: from equal parts, the rest decides (SUM, vectors); only then may a group be cut by position.
-    ``decode`` gives the weight to show from the state.
+    ``decode`` gives the weight to show from the state. ``descends``: states are negated weights.
     """
 
     kind: str
@@ -70,21 +79,22 @@ class Rank:
     cancellative: bool
     decode: Callable[[Column], Column] = field(default=lambda c: c)
     order: tuple[tuple[str, bool], ...] = ()
+    descends: bool = False
 
     # -- constructors ------------------------------------------------------------------------------------------------
     @staticmethod
     def sum(weights: Weights | Sequence[str], desc: bool = False) -> Rank:
         """Sum of functions of single variables; integers or decimals keep it exact."""
-        return Rank("sum", _terms(weights, -1 if desc else 1), min_plus(), True, (lambda c: -c) if desc else (lambda c: c))
+        return Rank("sum", _terms(weights, -1 if desc else 1), min_plus(), True, (lambda c: -c) if desc else (lambda c: c), descends=desc)
 
     @staticmethod
     def max(weights: Weights | Sequence[str], desc: bool = False) -> Rank:
         """Largest weight of an answer (bottleneck)."""
-        return Rank("max", _terms(weights, -1 if desc else 1), Semiring("max", F.min, F.least if desc else F.greatest, None), False, (lambda c: -c) if desc else (lambda c: c))
+        return Rank("max", _terms(weights, -1 if desc else 1), Semiring("max", F.min, F.least if desc else F.greatest, None), False, (lambda c: -c) if desc else (lambda c: c), descends=desc)
 
     @staticmethod
     def min(weights: Weights | Sequence[str], desc: bool = False) -> Rank:
-        return Rank("min", _terms(weights, -1 if desc else 1), Semiring("min", F.min, F.greatest if desc else F.least, None), False, (lambda c: -c) if desc else (lambda c: c))
+        return Rank("min", _terms(weights, -1 if desc else 1), Semiring("min", F.min, F.greatest if desc else F.least, None), False, (lambda c: -c) if desc else (lambda c: c), descends=desc)
 
     @staticmethod
     def product(weights: Weights | Sequence[str]) -> Rank:
@@ -103,7 +113,7 @@ class Rank:
     def local_sum(parts: Sequence[tuple[Sequence[str], Column]], desc: bool = False) -> Rank:
         """Sum of functions, each of variables that stand together in one atom."""
         sign = -1 if desc else 1
-        return Rank("local_sum", tuple((tuple(v), sign * w) for v, w in parts), min_plus(), True, (lambda c: -c) if desc else (lambda c: c))
+        return Rank("local_sum", tuple((tuple(v), sign * w) for v, w in parts), min_plus(), True, (lambda c: -c) if desc else (lambda c: c), descends=desc)
 
     @staticmethod
     def chain(first: Rank, second: Rank) -> Rank:

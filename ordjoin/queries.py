@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ordjoin import workloads as W
-from ordjoin.operators import access, baselines, cursor, cyclic, dp, fds, index, levels, predicates, projection, union
+from ordjoin.operators import ablations, access, baselines, cursor, cyclic, dp, fds, index, levels, predicates, projection, union
 from ordjoin.operators.asof import as_of
 from ordjoin.plans.model import FD, atom, cq
 from ordjoin.plans.planner import topk
@@ -151,6 +151,17 @@ def lex_layered(spark: SparkSession, sf: str) -> DataFrame:
     return levels.lex_topk(tree.query, order, K)
 
 
+@query(
+    "SELECT * FROM (SELECT l_suppkey AS a, l_returnflag AS b, s_nationkey AS d, l_linestatus AS c, s_name AS e, row_number() OVER (ORDER BY l_suppkey, l_returnflag, s_nationkey, l_linestatus, s_name) AS rnk "
+    f"FROM lineitem JOIN supplier ON s_suppkey = l_suppkey) WHERE rnk <= {10 * K}"
+)
+def lex_repeated_rows(spark: SparkSession, sf: str) -> DataFrame:
+    """Rows that stand often in an order that no tree of the atoms follows: every answer comes as often as in the join."""
+    li = T.load_table(spark, sf, "lineitem").select("l_suppkey", "l_returnflag", "l_linestatus")
+    su = T.load_table(spark, sf, "supplier").select("s_suppkey", "s_nationkey", "s_name")
+    return levels.lex_topk(cq([atom("lines", li, ["a", "b", "c"]), atom("suppliers", su, ["a", "d", "e"])], ["a", "b", "d", "c", "e"]), ["a", "b", "d", "c", "e"], 10 * K)
+
+
 @query(f"WITH {BASE} SELECT r.x1, r.x2, s.x3, t.x4, u.x5 FROM {KEYS4}")
 def lex_complete(spark: SparkSession, sf: str) -> DataFrame:
     return levels.lex_all(W.tree4_keys(spark, sf), ["x1", "x2", "x3", "x4", "x5"])
@@ -199,10 +210,22 @@ def sum_topk_chain3(spark: SparkSession, sf: str) -> DataFrame:
     return levels.sum_topk(W.chain(spark, sf, 3), W.chain_sum(3), K)
 
 
-@query(
-    # the fourth edge extends only the lightest threes: any longer path of at most that weight has such a start
-    top(EDGE, f"{NODES3}, d.dst AS x5", PATH4, f"{SUM3} + d.w", f"{TIES3}, d.dst", 1000, where=f"WHERE {SUM3} + d.w <= 12")
-)
+def _bounded_paths(k: int) -> str:
+    """SQL for the k lightest four-paths: the k-th smallest best completion of a first edge bounds the k-th weight (each
+    such edge starts an answer), and prefixes whose best completion lies over the bound start no answer."""
+    return (
+        f"WITH {EDGE}, m1 AS (SELECT src, min(w) AS m FROM edge GROUP BY src), m2 AS (SELECT e.src, min(e.w + m) AS m FROM edge e JOIN m1 ON m1.src = e.dst GROUP BY e.src), "
+        "m3 AS (SELECT e.src, min(e.w + m) AS m FROM edge e JOIN m2 ON m2.src = e.dst GROUP BY e.src), root AS (SELECT e.src, e.dst, e.w, e.w + m AS o FROM edge e JOIN m3 ON m3.src = e.dst), "
+        f"tau AS (SELECT CASE WHEN count(*) = {k} THEN max(o) ELSE 1000000 END AS t FROM (SELECT o FROM root ORDER BY o LIMIT {k})), "
+        "a1 AS MATERIALIZED (SELECT src AS x1, dst AS x2, w FROM root, tau WHERE o <= t), "
+        "a2 AS MATERIALIZED (SELECT x1, x2, e.dst AS x3, a1.w + e.w AS w FROM a1 JOIN edge e ON e.src = x2 JOIN m2 ON m2.src = e.dst, tau WHERE a1.w + e.w + m <= t), "
+        "a3 AS MATERIALIZED (SELECT x1, x2, x3, e.dst AS x4, a2.w + e.w AS w FROM a2 JOIN edge e ON e.src = x3 JOIN m1 ON m1.src = e.dst, tau WHERE a2.w + e.w + m <= t), "
+        "a4 AS (SELECT x1, x2, x3, x4, e.dst AS x5, a3.w + e.w AS weight FROM a3 JOIN edge e ON e.src = x4, tau WHERE a3.w + e.w <= t) "
+        f"SELECT * FROM (SELECT *, row_number() OVER (ORDER BY weight, x1, x2, x3, x4, x5) AS rnk FROM a4) WHERE rnk <= {k}"
+    )
+
+
+@query(_bounded_paths(1000))
 def sum_topk_chain4(spark: SparkSession, sf: str) -> DataFrame:
     return levels.sum_topk(W.chain(spark, sf, 4), W.chain_sum(4), 1000)
 
@@ -222,7 +245,7 @@ def top1(spark: SparkSession, sf: str) -> DataFrame:
     return levels.best_answer(W.chain(spark, sf, 3), W.chain_sum(3))
 
 
-@query(f"WITH {EDGE}, p AS (SELECT {NODES3}, {SUM3} AS weight FROM {PATH3}) SELECT * FROM p WHERE weight <= (SELECT max(weight) FROM (SELECT weight FROM p ORDER BY weight LIMIT {K}))")
+@query(f"WITH {EDGE} SELECT x1, x2, x3, x4, weight FROM (SELECT {NODES3}, {SUM3} AS weight, rank() OVER (ORDER BY {SUM3}) AS place FROM {PATH3}) WHERE place <= {K}")
 def sum_all_ties(spark: SparkSession, sf: str) -> DataFrame:
     return levels.sum_topk(W.chain(spark, sf, 3), W.chain_sum(3), K, ties="all").drop("rnk")
 
@@ -560,6 +583,54 @@ def greedy_first(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(got["wr"] + got["ws"] + got["wt"] + got["wu"],)] if got else [], "weight bigint")
 
 
+# -- choices switched off --------------------------------------------------------------------------------------------
+@query(top(EDGE, NODES3, PATH3, SUM3, TIES3))
+def ablation_no_bound(spark: SparkSession, sf: str) -> DataFrame:
+    return levels.sum_topk(W.chain(spark, sf, 3), W.chain_sum(3), K, bound=False)
+
+
+@query(top(EDGE, NODES3, PATH3, SUM3, TIES3))
+def ablation_no_places(spark: SparkSession, sf: str) -> DataFrame:
+    return levels.sum_topk(W.chain(spark, sf, 3), W.chain_sum(3), K, places=False)
+
+
+@query(
+    f"WITH {BASE}, r1 AS (SELECT x1, x2 FROM r WHERE x1 IN (SELECT x1 FROM s) AND x2 IN (SELECT x2 FROM td WHERE x4 IN (SELECT x4 FROM u))), t1 AS (SELECT x2, x4 FROM td WHERE x4 IN (SELECT x4 FROM u)), "
+    "t2 AS (SELECT x2, x4 FROM t1 WHERE x2 IN (SELECT x2 FROM r1)) "
+    "SELECT 'orders' AS relation, (SELECT count(*) FROM r) AS raw_rows, (SELECT count(*) FROM r1) AS reduced_rows, (SELECT count(*) FROM r1) AS full_rows "
+    "UNION ALL SELECT 'customers', (SELECT count(*) FROM s), (SELECT count(*) FROM s), (SELECT count(*) FROM s WHERE x1 IN (SELECT x1 FROM r1)) "
+    "UNION ALL SELECT 'lines', (SELECT count(*) FROM td), (SELECT count(*) FROM t1), (SELECT count(*) FROM t2) "
+    "UNION ALL SELECT 'suppliers', (SELECT count(*) FROM u), (SELECT count(*) FROM u), (SELECT count(*) FROM u WHERE x4 IN (SELECT x4 FROM t2))"
+)
+def reduction_sizes(spark: SparkSession, sf: str) -> DataFrame:
+    return ablations.reduction_sizes(W.tree4_keys(spark, sf))
+
+
+@query(
+    f"WITH {EDGE}, e2 AS (SELECT src, dst, w FROM edge WHERE dst IN (SELECT src FROM edge)) "
+    "SELECT CAST(1 AS BIGINT) AS atom, (SELECT count(*) FROM e2) AS entries, CAST(1 AS BIGINT) AS \"groups\", (SELECT count(*) FROM e2) AS largest "
+    "UNION ALL SELECT 2, (SELECT count(*) FROM edge), (SELECT count(DISTINCT src) FROM edge), (SELECT max(c) FROM (SELECT count(*) AS c FROM edge GROUP BY src))"
+)
+def join_group_counts(spark: SparkSession, sf: str) -> DataFrame:
+    got = ablations.group_counts(W.chain(spark, sf, 2), W.chain_sum(2))
+    return got.select(F.when(F.col("groups") == 1, 1).otherwise(2).cast("long").alias("atom"), "entries", "groups", "largest")
+
+
+@query(
+    "WITH l AS (SELECT l_suppkey AS s, l_partkey AS p, CAST(round(l_extendedprice * 100) AS BIGINT) AS w FROM lineitem), m4 AS (SELECT s, min(w) AS m FROM l GROUP BY s), "
+    "m3 AS (SELECT p, min(w + m) AS m FROM l JOIN m4 USING (s) GROUP BY p), m2 AS (SELECT s, min(w + m) AS m FROM l JOIN m3 USING (p) GROUP BY s), "
+    f"root AS (SELECT s, p, w, w + m AS o FROM l JOIN m2 USING (s)), tau AS (SELECT max(o) AS t FROM (SELECT o FROM root ORDER BY o LIMIT {K})), "
+    "a1 AS MATERIALIZED (SELECT s AS s1, p AS p1, w AS w1 FROM root, tau WHERE o <= t), "
+    "a2 AS MATERIALIZED (SELECT s1, p1, w1, l.p AS p2, l.w AS w2 FROM a1 JOIN l ON l.s = s1 JOIN m3 ON m3.p = l.p, tau WHERE w1 + l.w + m <= t), "
+    "a3 AS MATERIALIZED (SELECT s1, p1, w1, p2, w2, l.s AS s2, l.w AS w3 FROM a2 JOIN l ON l.p = p2 JOIN m4 ON m4.s = l.s, tau WHERE w1 + w2 + l.w + m <= t), "
+    "a4 AS (SELECT s1, p1, w1, p2, w2, s2, w3, l.p AS p3, l.w AS w4 FROM a3 JOIN l ON l.s = s2, tau WHERE w1 + w2 + w3 + l.w <= t) "
+    f"SELECT p1, s1, p2, s2, p3, w1 + w2 + w3 + w4 AS weight, row_number() OVER (ORDER BY w1 + w2 + w3 + w4, s1, p1, w1, p2, w2, s2, w3, p3, w4) AS rnk FROM a4 QUALIFY rnk <= {K}"
+)
+def walk_topk(spark: SparkSession, sf: str) -> DataFrame:
+    """The lightest of far more walks than could ever be built."""
+    return levels.sum_topk(W.walk(spark, sf), W.chain_sum(4), K)
+
+
 # -- events ----------------------------------------------------------------------------------------------------------
 @query(
     f"WITH {EVENTS} SELECT e2, u2, ts2, ts, event_id, w FROM (SELECT b.e AS e2, b.u AS u2, b.t AS ts2, a.t AS ts, a.e AS event_id, a.w AS w, row_number() OVER (PARTITION BY b.e ORDER BY a.t DESC, a.e DESC, a.w DESC) AS k "
@@ -597,21 +668,6 @@ def stream_messages(spark: SparkSession, sf: str) -> DataFrame:
 
 
 # -- variety of weights ----------------------------------------------------------------------------------------------
-@query(
-    "WITH p AS (SELECT a.vec_id AS a, b.vec_id AS b, l.w1 + l2.w2 AS weight FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id % 50 = 0 AND b.vec_id % 50 = 1 "
-    "JOIN (SELECT vec_id, CAST(round(list_sum(list_transform(embedding, lambda x: (CAST(x AS DOUBLE)) * x)) * 10) AS BIGINT) AS w1 FROM embeddings) l ON l.vec_id = a.vec_id "
-    "JOIN (SELECT vec_id, CAST(round(list_sum(list_transform(embedding, lambda x: (CAST(x AS DOUBLE)) * x)) * 10) AS BIGINT) AS w2 FROM embeddings) l2 ON l2.vec_id = b.vec_id) "
-    "SELECT * FROM (SELECT a, b, weight, row_number() OVER (ORDER BY weight, a, b) AS rnk FROM p) WHERE rnk <= 50"
-)
-def vector_weights(spark: SparkSession, sf: str) -> DataFrame:
-    """Function of a vector as the weight of its row, joined by label."""
-    from ordjoin.functions.weights import squared_distance
-
-    e = T.load_table(spark, sf, "embeddings").select("vec_id", "label", squared_distance(F.col("embedding").cast("array<double>"), [0.0] * 64, 10).alias("w"))
-    q = cq([atom("a", e.where("vec_id % 50 = 0"), ["a", "lab", "wa"]), atom("b", e.where("vec_id % 50 = 1"), ["b", "lab", "wb"])], ["a", "b"])
-    return union.ordered_union([levels.sum_topk(q, Rank.sum(["wa", "wb"]), 50, ties="all")], ["a", "b"], 50)
-
-
 @query(
     "WITH v AS (SELECT vec_id, label, CAST(round(list_sum(list_transform(embedding, lambda x: (CAST(x AS DOUBLE)) * x)) * 10) AS BIGINT) AS w FROM embeddings), "
     "p AS (SELECT a.vec_id AS a, b.vec_id AS b, a.w + b.w AS weight FROM v a JOIN v b ON a.label = b.label AND a.vec_id < b.vec_id) "

@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable, Sequence
+from collections.abc import Callable, Iterator, Sequence
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import DataStreamWriter
@@ -48,3 +49,24 @@ def interval_join(left: DataFrame, right: DataFrame, key: str, left_time: str, r
     b = right.withWatermark(right_time, late)
     on = (a[key] == b[key]) & (b[right_time] > a[left_time]) & (b[right_time] <= a[left_time] + F.expr(f"interval {within}"))
     return a.join(b, on).drop(b[key])
+
+
+def best_k_so_far(stream: DataFrame, key: str, weight: str, identity: str, k: int) -> DataFrame:
+    """The k least (weight, identity) pairs of each key over all batches so far, as rows (key, weight, identity, rnk) that
+    are sent again whenever a batch changes them. State: at most k pairs of integers a key; rows behind the k-th go."""
+    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+    def each(name: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        weights, ids = (list(x) for x in state.get) if state.exists else ([], [])
+        held = list(zip(weights, ids, strict=True))
+        best = held
+        for f in frames:
+            best = sorted([*best, *zip(f[weight].tolist(), f[identity].tolist(), strict=True)])[:k]
+        if best != held:
+            state.update(([w for w, _ in best], [i for _, i in best]))
+            yield pd.DataFrame({key: [name[0]] * len(best), weight: [w for w, _ in best], identity: [i for _, i in best], "rnk": range(1, len(best) + 1)})
+
+    kinds = dict(stream.dtypes)
+    rows = stream.select(F.col(key), F.col(weight).cast("long").alias(weight), F.col(identity).cast("long").alias(identity))
+    out = f"{key} {kinds[key]}, {weight} long, {identity} long, rnk long"
+    return rows.groupBy(key).applyInPandasWithState(each, out, "weights array<long>, ids array<long>", "update", GroupStateTimeout.NoTimeout)
