@@ -16,8 +16,9 @@ sample shows to be common last; it changes the work, not the result. Then:
 * in blocks that still hold several components, the nodes outside the block's largest component are joined with all of
   the block, by R-trees of chunks, for pairs of different components only: rows and tasks follow the nodes that are not
   yet joined, not the square of the block. Each pair is made in its least common block alone;
-* where the number of links is asked for, it is counted inside components, where all links are: chunks of a component
-  are compared by products of incidence matrices, and only counts leave a task, never pairs.
+* where the number of links is asked for, it is counted inside components, where all links are: each set is reduced to
+  how it differs from its component's first set, chunks of these differences are compared by products of incidence
+  matrices, and only counts leave a task, never pairs.
 """
 
 from __future__ import annotations
@@ -37,7 +38,7 @@ from ordjoin.llm.components import components
 WIDTH, PERCENT, GROUPS = 4, 85, 128
 SAMPLE_ROWS, COMMON_IN, MAX_COMMON = 4096, 3, 500_000
 CHUNK, LEAF, PAIRS_A_TASK = 512, 8, 64
-COUNT_CHUNK, COUNT_SHINGLES, COLUMNS = 2048, 1 << 20, 4096
+COUNT_CHUNK, COUNT_SHINGLES, COUNT_ROWS, COLUMNS, LIGHT = 8192, 1 << 21, 1024, 1024, 64
 
 
 def shingle_sets(raw: np.ndarray, ends: np.ndarray, width: int) -> list[np.ndarray]:
@@ -231,6 +232,7 @@ def _verified(pairs: DataFrame, layout: Layout, width: int, percent: int) -> Dat
     Pairs of one ``a`` are dealt into tasks of bounded size; ``a``'s text goes to each of them, and every other text is
     compared as it streams by.
     """
+    pairs = settle(pairs, "pairs")
     per = pairs.groupBy("a").agg(F.count(F.lit(1)).alias("many"))
     dealt = pairs.join(per, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.ceil(F.col("many") / PAIRS_A_TASK)).cast("int").alias("salt"))
     dealt = settle(dealt, "candidates")
@@ -253,7 +255,7 @@ def _verified(pairs: DataFrame, layout: Layout, width: int, percent: int) -> Dat
             yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in out], pa.int64()), pa.array([p[1] for p in out], pa.int64())], names=["a", "b"])
 
     links = settle(map_arrow(rows, each, "a long, b long"), "links")
-    discard(dealt)
+    discard(pairs, dealt)
     return links
 
 
@@ -325,62 +327,109 @@ def linked_sets(layout: Layout, width: int, percent: int) -> tuple[DataFrame, Da
 
 
 def overlaps(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
-    """Sizes of the intersections of all sets of two lists, by products of their incidence matrices."""
+    """Sizes of the intersections of all sets of two lists: rare members pair by pair, others by incidence matrices."""
     out = np.zeros((len(left), len(right)), np.float32)
-    _, of = np.unique(np.concatenate([*left, *right]), return_inverse=True)
-    cuts = np.cumsum([0, *map(len, left), *map(len, right)])
-    here, there = of[: cuts[len(left)]], of[cuts[len(left)] :]
-    both = np.intersect1d(here, there)  # a shingle of one side alone adds nothing
-    owner = np.repeat(np.arange(len(cuts) - 1), np.diff(cuts))
-    place = np.full(int(of.max(initial=-1)) + 1, -1, np.int64)
-    place[both] = np.arange(len(both))
-    column = place[of]
-    for a in range(0, len(both), COLUMNS):
-        use = np.flatnonzero((column >= a) & (column < a + COLUMNS))
-        marks = np.zeros((len(cuts) - 1, min(COLUMNS, len(both) - a)), np.float32)
-        marks[owner[use], column[use] - a] = 1
-        out += marks[: len(left)] @ marks[len(left) :].T
+    sides = []
+    for sets in (left, right):
+        owner = np.repeat(np.arange(len(sets)), list(map(len, sets)))
+        members = np.concatenate([np.empty(0, np.int64), *sets])
+        order = np.argsort(members, kind="stable")
+        sides.append((members[order], owner[order]))
+    (here, mine), (there, theirs) = sides
+    shared = np.intersect1d(here, there)  # a member of one side alone adds nothing
+    low, high = np.searchsorted(here, shared), np.searchsorted(here, shared, side="right")
+    least, most = np.searchsorted(there, shared), np.searchsorted(there, shared, side="right")
+    rare = (high - low) * (most - least) <= LIGHT
+    if rare.any():
+        n = (high - low)[rare]
+        entry = np.repeat(low[rare] - np.cumsum(n) + n, n) + np.arange(n.sum())
+        each = np.repeat((most - least)[rare], n)
+        other = np.repeat(np.repeat(least[rare], n) - np.cumsum(each) + each, each) + np.arange(each.sum())
+        np.add.at(out, (np.repeat(mine[entry], each), theirs[other]), 1)
+    often = np.flatnonzero(~rare)
+    for x in range(0, len(often), COLUMNS):
+        columns = often[x : x + COLUMNS]
+        marks = [np.zeros((len(rows), len(columns)), np.float32) for rows in (left, right)]
+        for j, c in enumerate(columns.tolist()):
+            marks[0][mine[low[c] : high[c]], j] = 1
+            marks[1][theirs[least[c] : most[c]], j] = 1
+        out += marks[0] @ marks[1].T
     return out
 
 
+def _differences(named: DataFrame, layout: Layout, width: int) -> DataFrame:
+    """(root, node, n, missing, extra) of each set in a component of several: what it lacks of the root's set and has
+    beyond it; settled. The root's text goes to each task that has some of its members."""
+    many = named.groupBy("root").agg(F.count(F.lit(1)).alias("many")).where("many > 1")
+    dealt = named.join(many, "root").select("node", "root", F.pmod(F.xxhash64("node"), F.ceil(F.col("many") / PAIRS_A_TASK)).cast("int").alias("salt"))
+    wanted = dealt.select("root", "salt", F.lit(1).alias("role"), F.col("node").alias("row")).unionByName(dealt.select("root", "salt", F.lit(0).alias("role"), F.col("root").alias("row")).distinct())
+    rows = layout.meet(wanted, ["body"]).select("root", "salt", "role", "row", "body").repartition("root", "salt").sortWithinPartitions("root", "salt", "role")
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = np.empty(0, np.uint64)
+        for batch in batches:
+            root, role, node = (batch.column(k).to_numpy() for k in (0, 2, 3))
+            out: list[tuple] = []
+            for x, y, raw, ends in slices(batch.column(4), 1 << 18):
+                for k, s in zip(range(x, y), shingle_sets(raw, ends, width), strict=True):
+                    if role[k] == 0:
+                        own = s
+                    else:
+                        out.append((root[k], node[k], len(s), np.setdiff1d(own, s, assume_unique=True).view(np.int64), np.setdiff1d(s, own, assume_unique=True).view(np.int64)))
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()))
+            columns = list(zip(*out, strict=True)) if out else [()] * 5
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["root", "node", "n", "missing", "extra"])
+
+    return settle(map_arrow(rows, each, "root long, node long, n long, missing array<long>, extra array<long>"), "differences")
+
+
+def _lists(column: pa.Array) -> list[np.ndarray]:
+    values, cuts = column.flatten().to_numpy(zero_copy_only=False), np.concatenate([[0], np.cumsum(column.value_lengths().to_numpy(zero_copy_only=False))])
+    return [values[a:b] for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
+
+
 def link_counts(named: DataFrame, layout: Layout, width: int, percent: int) -> DataFrame:
     """(node, n_links): the number of other distinct sets that are similar enough, for nodes that have any.
 
-    Linked sets share a component, so each component is compared with itself, in pairs of chunks of bounded size: a
-    component of c sets costs about c * c / 2048 rows where texts are short.
+    Linked sets share a component, so each component is compared with itself, in pairs of chunks of bounded size: c sets
+    cost c * c / 8192 rows of differences, more where these are long, and c * c comparisons.
     """
-    sums = named.groupBy("root").agg(F.count(F.lit(1)).alias("many"), F.sum("n").alias("size")).where("many > 1")
+    apart = _differences(named, layout, width)
+    sums = apart.groupBy("root").agg(F.count(F.lit(1)).alias("many"), F.sum(F.size("missing") + F.size("extra")).alias("size"))
     chunks = sums.select("root", F.greatest(F.ceil(F.col("many") / COUNT_CHUNK), F.ceil(F.col("size") / COUNT_SHINGLES)).cast("int").alias("chunks"))
-    own = named.join(chunks, "root").select("node", "root", "chunks", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int").alias("c"))
+    own = apart.join(chunks, "root").withColumn("c", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
     dealt = own.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    dealt = dealt.select(F.col("node").alias("row"), "root", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), F.when(F.col("c") <= F.col("o"), 0).otherwise(1).alias("side"))
-    rows = layout.meet(dealt, ["body"]).select("root", "i", "j", "side", "row", "body").repartition("root", "i", "j").sortWithinPartitions("root", "i", "j")
+    dealt = dealt.select("root", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), F.when(F.col("c") <= F.col("o"), 0).otherwise(1).alias("side"), "node", "n", "missing", "extra")
+    rows = dealt.repartition("root", "i", "j").sortWithinPartitions("root", "i", "j", "side")
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for group in groups_of(batches, 3):
-            sides: tuple[list, list] = ([], [])
-            nodes: tuple[list, list] = ([], [])
-            for t in group:
-                side, node = t.column(3).to_numpy(), t.column(4).to_numpy()
-                for x, y, raw, ends in slices(t.column(5).combine_chunks(), 1 << 18):
-                    for k, s in zip(range(x, y), shingle_sets(raw, ends, width), strict=True):
-                        sides[side[k]].append(s)
-                        nodes[side[k]].append(node[k])
-            alone = group[0].column(1)[0] == group[0].column(2)[0]
-            left, right = sides[0], sides[0 if alone else 1]
-            if not left or not right:
+            t = pa.concat_tables(group).combine_chunks()
+            alone = t.column(1)[0] == t.column(2)[0]
+            side, node, n = (t.column(k).to_numpy() for k in (3, 4, 5))
+            lacks, adds = (_lists(t.column(k).chunk(0)) for k in (6, 7))
+            left, right = np.flatnonzero(side == 0), np.flatnonzero(side == (0 if alone else 1))
+            if not len(left) or not len(right):
                 continue
-            size, other = np.array(list(map(len, left))), np.array(list(map(len, right)))
-            both = overlaps(left, right).astype(np.int64)
-            linked = 100 * both >= percent * (size[:, None] + other[None] - both)
-            if alone:
-                np.fill_diagonal(linked, False)
-                who, many = nodes[0], linked.sum(axis=1)
-            else:
-                who, many = nodes[0] + nodes[1], np.concatenate([linked.sum(axis=1), linked.sum(axis=0)])
-            yield pa.RecordBatch.from_arrays([pa.array(who, pa.int64()), pa.array(many, pa.int64())], names=["node", "n_links"])
-
-    return map_arrow(rows, each, "node long, n_links long").groupBy("node").agg(F.sum("n_links").alias("n_links"))
+            lack, add = np.array(list(map(len, lacks))), np.array(list(map(len, adds)))
+            whole = int(n[0] - add[0] + lack[0])  # the root's set
+            many = np.zeros(len(node), np.int64)
+            for x in range(0, len(left), COUNT_ROWS):
+                some = left[x : x + COUNT_ROWS]
+                both = overlaps([lacks[k] for k in some], [lacks[k] for k in right]) + overlaps([adds[k] for k in some], [adds[k] for k in right])
+                both = both.astype(np.int64) + whole - lack[some][:, None] - lack[right][None]
+                linked = 100 * both >= percent * (n[some][:, None] + n[right][None] - both)
+                if alone:
+                    linked[np.arange(len(some)), x + np.arange(len(some))] = False
+                many[some] += linked.sum(axis=1)
+                if not alone:
+                    many[right] += linked.sum(axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(node), pa.array(many)], names=["node", "n_links"])
+
+    counts = map_arrow(rows, each, "node long, n_links long").groupBy("node").agg(F.sum("n_links").alias("n_links"))
+    out = settle(counts, "degrees")
+    discard(apart)
+    return out
 
 
 def classes(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
@@ -392,7 +441,7 @@ def classes(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> Data
     """
     layout = lay_out(bodies_of(docs))
     texts, named = linked_sets(layout, width, percent)
-    links = settle(link_counts(named, layout, width, percent), "degrees")
+    links = link_counts(named, layout, width, percent)
     least = named.groupBy("root").agg(F.min("ord").alias("least"))
     verdict = settle(named.join(least, "root").join(links, "node", "left").select("node", "least", F.coalesce("n_links", F.lit(0)).alias("n_links")), "verdict")
     discard(named, links)

@@ -198,3 +198,31 @@ def test_components(spark):
     links = spark.createDataFrame([(i, i + 1) for i in range(40)] + [(100, 102), (101, 102), (7, 7)], "a bigint, b bigint")
     got = {r["node"]: r["root"] for r in components(links).collect()}
     assert {got[i] for i in range(41)} == {0} and {got[i] for i in (100, 101, 102)} == {100} and len(got) == 44
+
+
+def test_overlaps():
+    import numpy as np
+
+    rng = np.random.default_rng(4)
+    for n, m, pool in ((1, 1, 3), (40, 25, 30), (60, 60, 2000), (0, 5, 9)):
+        a, b = ([np.unique(rng.integers(0, pool, rng.integers(0, 25))) for _ in range(k)] for k in (n, m))
+        want = [[len(set(x.tolist()) & set(y.tolist())) for y in b] for x in a]
+        assert N.overlaps(a, b).astype(int).tolist() == want
+
+
+def test_numbers_of_links_in_chunks(spark, monkeypatch):
+    rng = random.Random(13)
+    words = [f"v{i}" for i in range(70)]
+    rows = []
+    for i in range(150):
+        text = words[:60]
+        for _ in range(rng.randrange(7)):
+            text[rng.randrange(60)] = f"x{rng.randrange(20)}"
+        rows.append((i, " ".join(text)))
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    want = sorted((r["doc_id"], r["n_links"]) for r in N.classes(df, 1, 90).collect())
+    sets = [frozenset(t.split()) for _, t in rows]
+    assert want == [(i, sum(s != o and 100 * len(s & o) >= 90 * len(s | o) for o in set(sets))) for i, s in enumerate(sets)]
+    for name, value in (("COUNT_CHUNK", 16), ("COUNT_ROWS", 5), ("COLUMNS", 7), ("CHUNK", 8), ("PAIRS_A_TASK", 4)):
+        monkeypatch.setattr(N, name, value)
+    assert sorted((r["doc_id"], r["n_links"]) for r in N.classes(df, 1, 90).collect()) == want
