@@ -6,8 +6,10 @@ the rows, so counts differ by one at most (law ``rows``), and only overflow leav
 
 The ring has a fixed number of cells. A first pass counts the rows of each cell (bounded by the ring, not by the data);
 the driver walks these counts round the ring and gives each cell one or a few ranges of ranks with their shard and
-first slot; a second pass ranks rows inside their cells and looks its range up. Only ids, sizes and checksums are
-shuffled, never texts.
+first slot; a second pass ranks rows inside their cells and looks its range up. A cell that holds many rows (a key that
+stands often, nulls, or a large table) is ranked in pieces of bounded size, whose counts give their first ranks. Rows are
+written once with the number that deals them into pieces, so both passes see the same; hand over ids, sizes and
+checksums, not texts.
 """
 
 from __future__ import annotations
@@ -18,9 +20,10 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from ordjoin.llm.common import table
+from ordjoin.llm.common import lean, settle, table
 
 SHARDS, NODES, CELLS = 8, 64, 1 << 13
+PIECE_ROWS = 1 << 20  # rows of a cell that one task ranks
 
 
 def _hash(text: str) -> int:
@@ -83,32 +86,52 @@ class Ring:
         return out
 
 
-def assign(docs: DataFrame, key: Column, shards: int = SHARDS, nodes: int = NODES, cells: int = CELLS) -> DataFrame:
+def assign(docs: DataFrame, key: Column, shards: int = SHARDS, nodes: int = NODES, cells: int = CELLS, piece_rows: int = PIECE_ROWS) -> DataFrame:
     """Add ``shard`` and ``slot`` to ``docs`` (columns of these names are replaced); counts of shards differ by one at most.
 
-    ``key``: any column whose values are spread (an id); equal keys, nulls among them, share a cell, so the caller adds
-    a second column to a key that a large part of the rows has. Rows that agree in all columns may swap places.
+    ``key``: any column (an id). Equal keys, nulls among them, share a cell and are dealt in pieces if they are many; rows
+    of one key may swap places. Empty tables give no rows.
     """
     ring = Ring(shards, nodes, cells)
     docs = docs.drop("shard", "slot")
     spot = F.xxhash64(key)
-    rows = docs.withColumn("_ring_spot", spot).withColumn("_ring_cell", F.pmod("_ring_spot", F.lit(cells)).cast("int"))
-    found = docs.select(F.pmod(F.xxhash64(key), F.lit(cells)).cast("int").alias("_ring_cell")).groupBy("_ring_cell").count().collect()  # at most ``cells`` rows
-    counts = {r["_ring_cell"]: r["count"] for r in found}
+    rows = docs.withColumns({"_ring_spot": spot, "_ring_cell": F.pmod(spot, F.lit(cells)).cast("int"), "_ring_row": F.monotonically_increasing_id()})
+    rows = settle(rows, "ring")
+    spark = docs.sparkSession
+    with lean(spark):
+        counts = {r["_ring_cell"]: r["count"] for r in rows.groupBy("_ring_cell").count().collect()}  # at most ``cells`` rows
     total = sum(counts.values())
     bounds = [total // shards + (s < total % shards) for s in range(shards)]
-    spark = docs.sparkSession
     ranges = spark.createDataFrame(ring.place(counts, bounds), "_ring_cell int, _ring_from long, _ring_to long, shard int, _ring_slot long")
-    rank = F.row_number().over(Window.partitionBy("_ring_cell").orderBy("_ring_spot", *[c for c in docs.columns if dict(docs.dtypes)[c] in _SORTABLE])) - 1
-    placed = rows.withColumn("_ring_rank", rank.cast("long")).join(F.broadcast(ranges), "_ring_cell").where("_ring_rank >= _ring_from and _ring_rank < _ring_to")
-    return placed.withColumn("slot", F.col("_ring_slot") + F.col("_ring_rank") - F.col("_ring_from")).drop("_ring_spot", "_ring_cell", "_ring_rank", "_ring_from", "_ring_to", "_ring_slot")
+    cuts = {c: -(-n // piece_rows) for c, n in counts.items() if n > piece_rows}  # about a piece for every ``piece_rows`` rows
+    first = [(c, 0, 0) for c in counts if c not in cuts]
+    if cuts:
+        dealt = F.broadcast(spark.createDataFrame(list(cuts.items()), "_ring_cell int, _ring_cuts long"))
+        rows = rows.join(dealt, "_ring_cell", "left").withColumn("_ring_piece", F.coalesce(F.pmod(F.xxhash64("_ring_row"), F.col("_ring_cuts")), F.lit(0)).cast("int")).drop("_ring_cuts")
+        with lean(spark):
+            sizes = rows.where(F.col("_ring_cell").isin(list(cuts))).groupBy("_ring_cell", "_ring_piece").count().collect()
+        before = dict.fromkeys(cuts, 0)
+        for r in sorted(sizes, key=lambda r: (r["_ring_cell"], r["_ring_piece"])):
+            first.append((r["_ring_cell"], r["_ring_piece"], before[r["_ring_cell"]]))
+            before[r["_ring_cell"]] += r["count"]
+    else:
+        rows = rows.withColumn("_ring_piece", F.lit(0))
+    starts = spark.createDataFrame(first, "_ring_cell int, _ring_piece int, _ring_first long")
+    kinds = dict(docs.dtypes)
+    place = Window.partitionBy("_ring_cell", "_ring_piece").orderBy("_ring_spot", *[f"`{c}`" for c in docs.columns if kinds[c] in _SORTABLE], "_ring_row")
+    ranked = rows.withColumn("_ring_at", F.row_number().over(place) - 1).join(F.broadcast(starts), ["_ring_cell", "_ring_piece"])
+    rank = (F.col("_ring_at") + F.col("_ring_first")).cast("long")
+    placed = ranked.withColumn("_ring_rank", rank).join(F.broadcast(ranges), "_ring_cell").where("_ring_rank >= _ring_from and _ring_rank < _ring_to")
+    made = (F.col("_ring_slot") + F.col("_ring_rank") - F.col("_ring_from")).alias("slot")
+    return placed.select(*[f"`{c}`" for c in docs.columns], "shard", made)
 
 
 _SORTABLE = {"bigint", "int", "smallint", "tinyint", "string", "double", "float", "boolean", "date", "timestamp", "timestamp_ntz", "binary"}
 
 
 def op7_consistent_hash_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Law ``rows``. Null texts have size 1 and the checksum of nothing; equal texts are rows of their own."""
+    """Law ``rows``: equal texts are rows of their own and may lie in different shards (only the law ``key`` would hold
+    groups together). Null texts have size 1 and the checksum of nothing; null ids are one key, dealt in pieces."""
     text = F.coalesce(F.col("text"), F.lit("")).cast("binary")
     docs = table(spark, sf_dir, "documents").select("doc_id", (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text).alias("text_crc32"))
     out = assign(docs, F.col("doc_id"))
