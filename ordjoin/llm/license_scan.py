@@ -33,6 +33,14 @@ TEMPLATES = {
     "mit": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files",
     "mit-short": "Released under the MIT License.",
     "mpl": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0",
+    "apache-text": "Licensed under the Apache License, Version 2.0 (the \"License\"); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an \"AS IS\" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License.",
+    "bsd-text": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. 2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution. 3. Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission. THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS \"AS IS\" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE.",
+    "gpl-text": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version. This program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU General Public License for more details. You should have received a copy of the GNU General Public License along with this program. If not, see <https://www.gnu.org/licenses/>.",
+    "isc-text": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies. THE SOFTWARE IS PROVIDED \"AS IS\" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.",
+    "mit-text": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software. THE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.",
+    "mpl-text": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at http://mozilla.org/MPL/2.0/.",
+    "unlicense-text": "This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means.",
+    "zlib-text": "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software. Permission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions: 1. The origin of this software must not be misrepresented; you must not claim that you wrote the original software. If you use this software in a product, an acknowledgment in the product documentation would be appreciated but is not required. 2. Altered source versions must be plainly marked as such, and must not be misrepresented as being the original software. 3. This notice may not be removed or altered from any source distribution.",
 }
 MIN_MATCH, MIN_COVER, MAX_GAP = 4, 0.7, 10
 GAP = np.ones(256, bool)
@@ -53,15 +61,16 @@ def hashes_of(text: str) -> list[int]:
 
 @dataclass
 class SuffixAutomaton:
-    """Of several token sequences; ``ends[s]``: template -> last token of an occurrence of state s's strings."""
+    """Of several token sequences; ``ends[s]``: (template, last token) of every occurrence of state s's strings."""
 
     step: list[dict[int, int]] = field(default_factory=lambda: [{}])
     link: list[int] = field(default_factory=lambda: [-1])
     length: list[int] = field(default_factory=lambda: [0])
-    ends: list[dict[int, int]] = field(default_factory=lambda: [{}])
+    ends: list[set[tuple[int, int]]] = field(default_factory=lambda: [set()])
+    marks: list[tuple[int, int, int]] = field(default_factory=list)
 
     def _state(self, length: int, step: dict[int, int], link: int) -> int:
-        self.step.append(step), self.length.append(length), self.link.append(link), self.ends.append({})
+        self.step.append(step), self.length.append(length), self.link.append(link), self.ends.append(set())
         return len(self.step) - 1
 
     def _grow(self, last: int, token: int) -> int:
@@ -90,19 +99,18 @@ class SuffixAutomaton:
         return new
 
     def add(self, number: int, tokens: list[int]) -> None:
-        last, marks = 0, []
+        last = 0
         for i, t in enumerate(tokens):
             last = self._grow(last, t)
-            marks.append((last, i))
-        self._marks = [*getattr(self, "_marks", []), *[(s, number, i) for s, i in marks]]
+            self.marks.append((last, number, i))
 
     def finish(self) -> SuffixAutomaton:
         """Hand each end down to the shorter strings of its suffix links."""
-        for s, number, i in self._marks:
-            self.ends[s].setdefault(number, i)
+        for s, number, i in self.marks:
+            self.ends[s].add((number, i))
         for s in sorted(range(1, len(self.step)), key=lambda x: -self.length[x]):
-            for number, i in self.ends[s].items():
-                self.ends[self.link[s]].setdefault(number, i)
+            if self.link[s] > 0:
+                self.ends[self.link[s]] |= self.ends[s]
         return self
 
     def statistics(self, tokens: list[int]) -> Iterator[tuple[int, int]]:
@@ -144,31 +152,33 @@ class Scanner:
         return out
 
     def covered(self, found: list[tuple[int, int, int]]) -> dict[str, tuple[float, list[tuple[int, int]]]]:
-        """Template -> (share of it that its best chain covers, file spans of that chain)."""
+        """Template -> (share of it that its best chain covers, file spans of that chain).
+
+        Every place that a matched string has in a template may stand in the chain; a hit may follow any one that ends
+        within the template's reach before it.
+        """
         by: dict[int, list[tuple[int, int, int, int]]] = {}
         for end, n, s in found:
-            for number, i in self.automaton.ends[s].items():
+            for number, i in sorted(self.automaton.ends[s]):
                 by.setdefault(number, []).append((end - n, end, i + 1 - n, i + 1))
         out = {}
-        for number, hits in by.items():
+        for number, places in by.items():
             reach = self.lengths[number] + MAX_GAP
-            best: list[tuple[int, int]] = []  # (tokens covered, previous hit)
-            recent: list[int] = []
-            for j, (a, b, x, y) in enumerate(hits):
-                gain, back = y - x, -1
-                recent = [p for p in recent if a - hits[p][1] <= reach]
-                for p in recent:
-                    if hits[p][3] < y and hits[p][2] < x and hits[p][0] < a:
-                        more = best[p][0] + y - max(x, hits[p][3])
-                        if more > gain:
-                            gain, back = more, p
-                best.append((gain, back)), recent.append(j)
-                recent = recent[-64:] if len(recent) > 4 * 64 else recent
-            j = max(range(len(best)), key=lambda p: best[p][0])
-            spans, share = [], best[j][0] / self.lengths[number]
+            hits = np.array(places, np.int64)
+            a, b, x, y = hits.T
+            best, back = y - x, np.full(len(hits), -1)
+            least = np.searchsorted(b, a - reach)  # hits come in the order of their ends
+            for j in range(1, len(hits)):
+                lo = int(least[j])
+                fits = (y[lo:j] < y[j]) & (x[lo:j] < x[j]) & (a[lo:j] < a[j])
+                more = np.where(fits, best[lo:j] + y[j] - np.maximum(x[j], y[lo:j]), 0)
+                if len(more) and more.max() > best[j]:
+                    best[j], back[j] = more.max(), lo + int(more.argmax())
+            j = int(best.argmax())
+            spans, share = [], float(best[j]) / self.lengths[number]
             while j != -1:
-                spans.append(hits[j][:2])
-                j = best[j][1]
+                spans.append((int(a[j]), int(b[j])))
+                j = int(back[j])
             out[self.names[number]] = (min(1.0, share), spans[::-1])
         return out
 
@@ -231,7 +241,7 @@ def scan(docs: DataFrame, templates: Mapping[str, str] = TEMPLATES, min_match: i
 def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = scan(table(spark, sf_dir, "documents").select("doc_id", "text"))
     base = F.transform("base_places", lambda x: x["label"])
-    own = F.transform(F.filter("covers", lambda x: x["share"] >= MIN_COVER), lambda x: F.regexp_replace(x["template"], "-short$", ""))
+    own = F.transform(F.filter("covers", lambda x: x["share"] >= MIN_COVER), lambda x: F.regexp_replace(x["template"], "-(short|text)$", ""))
     joined = lambda x: F.array_join(F.array_sort(F.array_distinct(x)), ",")
     return out.select(
         "doc_id",
