@@ -14,21 +14,26 @@ from pyspark.sql import functions as F
 
 from ordjoin.llm.common import settle, table
 
+#: fixed values: suffixes of several labels under which names are registered; any other suffix is the last label
+SUFFIXES = ("co.uk", "org.uk", "ac.uk", "gov.uk", "com.au", "net.au", "org.au", "com.br", "co.jp", "co.in", "co.nz", "co.za", "com.cn", "com.mx", "com.tr", "github.io", "gitlab.io", "blogspot.com", "wordpress.com", "appspot.com")
 #: (verdict, host, path)
 RULES = (("allow", "com", "/"), ("block", "example.com", "/en/"), ("allow", "www.example.com", "/en/"), ("block", "net", "/es/"), ("block", "net", "/fr/"))
 BLOCK_SHARE, SIGMAS = 0.5, 1.64
 MADE = ("host", "path", "rule", "verdict", "mean", "bound", "_url")
 
 
+def _rest(url: Column) -> Column:
+    return F.substring(url, F.locate("://", url) + 3, F.greatest(F.length(url), F.lit(1)))
+
+
 def host_of(url: Column) -> Column:
     """After the first ``://`` up to ``/``, ``?``, ``#`` or the end, A-Z lower-cased; empty for null or without ``://``."""
-    rest = F.expr("substring({0}, locate('://', {0}) + 3)".format("_url"))
-    return F.when(F.locate("://", "_url") > 0, F.translate(F.regexp_extract(rest, r"\A([^/?#]*)", 1), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")).otherwise("")
+    host = F.regexp_extract(_rest(url), r"\A([^/?#]*)", 1)
+    return F.when(F.locate("://", url) > 0, F.translate(host, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")).otherwise("")
 
 
 def path_of(url: Column) -> Column:
-    rest = F.expr("substring({0}, locate('://', {0}) + 3)".format("_url"))
-    return F.when(F.locate("://", "_url") > 0, F.regexp_extract(rest, r"\A[^/?#]*([^?#]*)", 1)).otherwise("")
+    return F.when(F.locate("://", url) > 0, F.regexp_extract(_rest(url), r"\A[^/?#]*([^?#]*)", 1)).otherwise("")
 
 
 def with_parts(pages: DataFrame) -> DataFrame:
@@ -46,21 +51,31 @@ def rule_of(rules: Sequence[tuple[str, str, str]] = RULES) -> tuple[Column, Colu
     return rule, verdict
 
 
-def levels(host: Column) -> dict[str, Column]:
-    """Suffix (last label) and registered domain (last three labels under a shared example.* domain, else the last two)."""
-    labels = F.split(host, r"\.")
+def levels(host: Column, suffixes: Sequence[str] = SUFFIXES) -> dict[str, Column]:
+    """Suffix (the longest listed one that the host ends with, else its last label) and registered domain (one label more).
+
+    A host that is an address or a suffix by itself is its own domain.
+    """
+    labels = F.split(F.regexp_replace(host, r":[0-9]*\z", ""), r"\.")
     n = F.size(labels)
-    domain = F.array_join(F.slice(labels, F.greatest(n - 2, F.lit(1)), 3), ".")
-    two = F.array_join(F.slice(labels, F.greatest(n - 1, F.lit(1)), 2), ".")
-    return {"suffix": F.element_at(labels, -1), "domain": F.when(two.rlike(r"\Aexample\."), domain).otherwise(two)}
+
+    def last(m: int) -> Column:
+        return F.array_join(F.slice(labels, F.greatest(n - (m - 1), F.lit(1)), m), ".")
+
+    address = host.rlike(r"\A[0-9.]+(:[0-9]*)?\z|\A\[")
+    suffix, domain = last(1), last(2)
+    for m in sorted({x.count(".") + 1 for x in suffixes}):
+        listed = last(m).isin([x for x in suffixes if x.count(".") + 1 == m]) & (n >= m)
+        suffix, domain = F.when(listed, last(m)).otherwise(suffix), F.when(listed, last(m + 1)).otherwise(domain)
+    return {"suffix": F.when(address, "").otherwise(suffix), "domain": F.when(address, host).otherwise(domain)}
 
 
-def reputations(hosts: DataFrame) -> DataFrame:
+def reputations(hosts: DataFrame, suffixes: Sequence[str] = SUFFIXES) -> DataFrame:
     """Per host, from (host, bad, n): posterior ``mean`` and lower ``bound`` of the share of bad pages.
 
     Parents' strengths come from the spread of their children: one aggregate a level, one row per node.
     """
-    rows = settle(hosts, "hosts").withColumns(levels(F.col("host")))
+    rows = settle(hosts, "hosts").withColumns(levels(F.col("host"), suffixes))
     m0 = rows.agg(((F.coalesce(F.sum("bad"), F.lit(0)) + 0.5) / (F.coalesce(F.sum("n"), F.lit(0)) + 1)).alias("m0")).first()["m0"]
 
     def strength(nodes: DataFrame) -> float:
@@ -93,14 +108,15 @@ def labelled_pages(pages: DataFrame, labels: DataFrame) -> DataFrame:
     return ids.join(known, "_doc", "left").groupBy("host").agg(F.sum(F.coalesce("_bad", F.lit(0))).alias("bad"), F.count("_bad").alias("n"))
 
 
-def judge(pages: DataFrame, labels: DataFrame, rules: Sequence[tuple[str, str, str]] = RULES, share: float = BLOCK_SHARE) -> DataFrame:
+def judge(pages: DataFrame, labels: DataFrame, rules: Sequence[tuple[str, str, str]] = RULES, share: float = BLOCK_SHARE, suffixes: Sequence[str] = SUFFIXES) -> DataFrame:
     """Add host, path, rule, verdict, and the host's posterior ``mean`` and ``bound`` (columns of these names are replaced).
 
     A rule's verdict stands; else a host is blocked if its bound is over ``share``, and allowed otherwise. Null urls
     have an empty host and path and are judged as that host. Repeated rows are judged alike and count as pages.
+    ``suffixes``: where a registered domain begins, for suffixes of several labels.
     """
     rows = with_parts(pages.drop(*MADE))
-    found = reputations(labelled_pages(rows, labels))
+    found = reputations(labelled_pages(rows, labels), suffixes)
     rule, verdict = rule_of(rules)
     joined = rows.join(found, "host")
     return joined.withColumns({"rule": rule, "verdict": F.coalesce(verdict, F.when(F.col("bound") > share, "block").otherwise("allow"))})
