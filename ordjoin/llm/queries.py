@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ordjoin.llm import quality_rules
+from ordjoin.llm import oracles, quality_rules
 from ordjoin.llm.class_lm import op5_brown_class_bigrams
 from ordjoin.llm.decontamination import op6_latent_decontamination
 from ordjoin.llm.host_reputation import op9_host_reputation
@@ -33,4 +33,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         op10_count_vector_join,
     )
 }
-ORACLES: dict[str, str] = {"op1_quality_rules": quality_rules.ORACLE}
+ORACLES: dict[str, str] = {
+    "op1_quality_rules": quality_rules.ORACLE,
+    "op2_substring_dedup": oracles.substring_dedup(),
+    "op3_suffix_array_dedup": oracles.suffix_dedup(),
+    "op10_count_vector_join": oracles.near_duplicates(),
+}

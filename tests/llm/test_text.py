@@ -256,6 +256,25 @@ def test_ring_moves_little(spark):
     assert sum(a[i] != s for i, s in b.items()) < 0.1 * len(b)
 
 
+def test_ring_grows(spark):
+    rows = spark.range(6000).withColumnRenamed("id", "doc_id")
+    a = {r["doc_id"]: r["shard"] for r in sharding.assign(rows, F.col("doc_id"), shards=8).collect()}
+    b = {r["doc_id"]: r["shard"] for r in sharding.assign(rows, F.col("doc_id"), shards=9).collect()}
+    assert sum(a[i] != s for i, s in b.items()) < 0.25 * len(b)  # a ninth has to move
+    assert sum(a[i] != s and s != 8 for i, s in b.items()) < 0.1 * len(b)
+
+
+def test_shards_of_a_hot_key(spark):
+    rows = spark.range(900).select(F.when(F.col("id") >= 300, F.col("id")).alias("doc_id"), F.lit("same").alias("a"), (F.col("id") % 2).alias("slot"))
+    for piece in (40, 1 << 20):
+        out = sharding.assign(rows, F.col("doc_id"), shards=7, nodes=8, cells=64, piece_rows=piece).collect()
+        by: dict = {}
+        for r in out:
+            by.setdefault(r["shard"], []).append(r["slot"])
+        assert len(out) == 900 and sum(r["doc_id"] is None for r in out) == 300
+        assert max(map(len, by.values())) - min(map(len, by.values())) <= 1 and all(sorted(v) == list(range(len(v))) for v in by.values())
+
+
 # -- licences --------------------------------------------------------------------------------------------------------
 def test_matching_statistics():
     rng = random.Random(5)
@@ -269,7 +288,7 @@ def test_matching_statistics():
         parts = {tuple(t[i:j]) for t in texts for i in range(len(t)) for j in range(i + 1, len(t) + 1)}
         for e, (n, state) in enumerate(automaton.statistics(query)):
             assert n == max((m for m in range(1, e + 2) if tuple(query[e + 1 - m : e + 1]) in parts), default=0)
-            for number, end in automaton.ends[state].items() if n else ():
+            for number, end in automaton.ends[state] if n else ():
                 assert texts[number][end + 1 - n : end + 1] == query[e + 1 - n : e + 1]
 
 
@@ -286,7 +305,29 @@ def test_license_scan(spark, corpus, empty):
     assert license_scan.scan(corpus).count() == corpus.count() and license_scan.scan(empty).collect() == []
 
 
+def test_long_template_with_repeated_clauses(spark):
+    rng = random.Random(2)
+    words = [f"w{i}" for i in range(12)]
+    clause = " ".join(rng.choice(words) for _ in range(9))
+    template = " ".join(f"{clause} " + " ".join(rng.choice(words) for _ in range(6)) for _ in range(60))
+    cut = template.split()
+    broken = [w for i, w in enumerate(cut) if i % 37 != 20]
+    rows = [(1, f"zz {template} zz"), (2, " ".join(broken)), (3, f"{clause} zz " * 400), (4, f"zz {' '.join(cut[: len(cut) // 3])}")]
+    out = {r["doc_id"]: {c["template"]: c["share"] for c in r["covers"]} for r in license_scan.scan(spark.createDataFrame(rows, "doc_id bigint, text string"), {"own": template}).collect()}
+    assert out[1]["own"] == 1.0 and out[2]["own"] > 0.85 and abs(out[4]["own"] - 1 / 3) < 0.1
+    assert out[3]["own"] <= 60 * 9.5 / len(cut) + 0.05
+
+
 # -- hosts -----------------------------------------------------------------------------------------------------------
+def test_registered_domains(spark):
+    hosts = ["a.b.example.org", "example.org", "shop.x.co.uk", "x.co.uk", "co.uk", "me.github.io", "10.0.0.1", "10.0.0.1:80", "h.net:8080", "single", ""]
+    df = spark.createDataFrame([(h,) for h in hosts], "host string")
+    got = [tuple(r) for r in df.select(*[c.alias(n) for n, c in host_reputation.levels(F.col("host")).items()]).collect()]
+    assert got == [("org", "example.org"), ("org", "example.org"), ("co.uk", "x.co.uk"), ("co.uk", "x.co.uk"), ("co.uk", "co.uk"), ("github.io", "me.github.io"), ("", "10.0.0.1"), ("", "10.0.0.1:80"), ("net", "h.net"), ("single", "single"), ("", "")]
+    own = host_reputation.levels(F.col("host"), ("b.example.org",))
+    assert df.where("host = 'a.b.example.org'").select(own["domain"]).first()[0] == "a.b.example.org"
+
+
 def test_url_parts_and_rules(spark):
     urls = ["http://A.Example.com/en/x?y", "https://www.example.com/en/", "ftp://m.net/es/1#f", "http://net", "x", None, "http://h.org?q=/en/", "http://sub.com/", "http://notcom/", "http://a.net/fr", "http://EXAMPLE.com/enx", "a://b://c/d"]
     df = spark.createDataFrame([(i, u) for i, u in enumerate(urls)], "page_id bigint, url string")
