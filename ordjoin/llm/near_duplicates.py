@@ -6,8 +6,8 @@ itself by descending into node pairs that the bound admits; surviving pairs are
 
 In so many dimensions boxes of unrelated texts overlap, so one tree over a corpus prunes too little. The corpus is
 therefore dealt into a forest without loss: under any total order of shingles, two sets that are similar enough share
-one of their first n - ceil(t n) + 1 shingles, and each of these is a block. The order puts shingles that a bounded
-sample shows to be common last; it changes the work, not the result. Then:
+one of their first n - ceil(t n) + 1 shingles, and each of these is a block. The order puts the most frequent shingles
+(by a count over a sixteenth of the texts; a list of bounded length) last; it changes the work, not the result. Then:
 
 * equal sets are one node, named by the number of the first row that has it;
 * blocks of the same nodes are one block;
@@ -32,11 +32,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ordjoin.llm import kernels as K
-from ordjoin.llm.common import LAST, Layout, bodies_of, discard, documents_of, lay_out, lean, map_arrow, settle, slices, table
+from ordjoin.llm.common import LAST, Layout, bodies_of, discard, documents_of, lay_out, lean, map_arrow, settle, slices, table, whole_groups
 from ordjoin.llm.components import components
 
 WIDTH, PERCENT, GROUPS = 4, 85, 128
-SAMPLE_ROWS, COMMON_IN, MAX_COMMON = 4096, 3, 500_000
+SAMPLE_SHARE, COMMON_IN, MAX_COMMON = 16, 2, 1_000_000
 CHUNK, LEAF, PAIRS_A_TASK = 512, 8, 64
 COUNT_CHUNK, COUNT_SHINGLES, COUNT_ROWS, COLUMNS, LIGHT = 8192, 1 << 21, 1024, 1024, 64
 
@@ -111,14 +111,14 @@ def _sets(bodies: DataFrame, width: int, percent: int, common: np.ndarray) -> Da
 
 
 def _common(bodies: DataFrame, width: int) -> np.ndarray:
-    """Shingles of several texts of a bounded sample, sorted."""
+    """The most frequent shingles of a share of the texts, sorted: those in ``COMMON_IN`` of them, ``MAX_COMMON`` at most."""
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for _, _, raw, ends in slices(batch.column(0), 1 << 18):
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.empty(0, np.uint64), *shingle_sets(raw, ends, width)]).view(np.int64))], names=["h"])
 
-    sample = bodies.where(F.pmod(F.xxhash64("row"), F.lit(8)) == 0).limit(SAMPLE_ROWS).select("body")
+    sample = bodies.where(F.pmod(F.xxhash64("row"), F.lit(SAMPLE_SHARE)) == 0).select("body")
     found = map_arrow(sample, each, "h long").groupBy("h").count().where(F.col("count") >= COMMON_IN).orderBy(F.desc("count")).limit(MAX_COMMON).select("h")
     with lean(bodies.sparkSession):
         return np.sort(found.toArrow().column("h").to_numpy().astype(np.int64).view(np.uint64))
@@ -171,28 +171,6 @@ def _admitted(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
     return map_arrow(rows, each, "a long, b long")
 
 
-def groups_of(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[list[pa.Table]]:
-    """Runs of whole groups of rows that are sorted by their first ``keys`` columns, batch after batch."""
-    rest: list[pa.Table] = []
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        t = pa.Table.from_batches([batch])
-        head = [t.column(k)[0] for k in range(keys)]
-        edge = np.flatnonzero(np.any([np.diff(t.column(k).to_numpy()) != 0 for k in range(keys)], axis=0)) + 1
-        cuts = [0, *edge.tolist(), t.num_rows]
-        if rest and any(rest[-1].column(k)[0] != h for k, h in enumerate(head)):
-            yield rest
-            rest = []
-        for x, y in zip(cuts[:-1], cuts[1:], strict=True):
-            if x:
-                yield rest
-                rest = []
-            rest.append(t.slice(x, y - x))
-    if rest:
-        yield rest
-
-
 def _tree_pairs(rows: DataFrame, percent: int) -> DataFrame:
     """Candidate pairs (a, b) of different components, from rows (block, i, j, side, node, root, n, point, blocks) sorted
     by chunk pair; ``side`` 0 holds nodes outside the block's largest component, side 1 any node of the block.
@@ -201,8 +179,7 @@ def _tree_pairs(rows: DataFrame, percent: int) -> DataFrame:
     """
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for group in groups_of(batches, 3):
-            t = pa.concat_tables(group).combine_chunks()
+        for t in whole_groups(batches, 3):
             block, side, node, root, n = int(t.column(0)[0].as_py()), *(t.column(k).to_numpy() for k in (3, 4, 5, 6))
             left, right = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
             if not len(left) or not len(right):
@@ -403,8 +380,7 @@ def link_counts(named: DataFrame, layout: Layout, width: int, percent: int) -> D
     rows = dealt.repartition("root", "i", "j").sortWithinPartitions("root", "i", "j", "side")
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for group in groups_of(batches, 3):
-            t = pa.concat_tables(group).combine_chunks()
+        for t in whole_groups(batches, 3):
             alone = t.column(1)[0] == t.column(2)[0]
             side, node, n = (t.column(k).to_numpy() for k in (3, 4, 5))
             lacks, adds = (_lists(t.column(k).chunk(0)) for k in (6, 7))
