@@ -201,6 +201,31 @@ def slices(column: pa.Array, budget: int) -> Iterator[tuple[int, int, np.ndarray
         a = b
 
 
+def whole_groups(batches: Iterator[pa.RecordBatch], keys: int, least: int = 1) -> Iterator[pa.Table]:
+    """Rows that are sorted by their first ``keys`` columns as tables of whole groups, of ``least`` rows or more each (but
+    for the last)."""
+    held: list[pa.RecordBatch] = []
+    rows = 0
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        columns = [batch.column(k).to_numpy() for k in range(keys)]
+        edge = np.flatnonzero(np.any([np.diff(c) != 0 for c in columns], axis=0)) + 1
+        if held and any(held[-1].column(k)[held[-1].num_rows - 1].as_py() != columns[k][0] for k in range(keys)):
+            edge = np.concatenate([[0], edge])
+        start = 0
+        for x in edge.tolist():
+            if rows + x - start >= least:
+                if x > start:
+                    held.append(batch.slice(start, x - start))
+                yield pa.Table.from_batches(held).combine_chunks()
+                held, rows, start = [], 0, x
+        held.append(batch.slice(start))
+        rows += batch.num_rows - start
+    if rows:
+        yield pa.Table.from_batches(held).combine_chunks()
+
+
 def ship(spark: SparkSession) -> None:
     """Send this package to the executors once per application, so that their Python workers can import it."""
     app = spark.sparkContext.applicationId

@@ -1,12 +1,10 @@
 """Removal of repeated byte strings by a prefix-free parse of the corpus.
 
-Rolling-hash triggers cut each text into phrases. A trigger is the 32-byte string with the least rolling hash in some
-window, so that every window holds one (a modulus, as in the usual parse, leaves windows without any). The dictionary
-is the set of distinct phrases with what follows them up to one window; the parse is the sequence of its entries.
-A text suffix is ordered by its dictionary suffix (up to its first trigger), then by the parse behind it: two suffixes
-agree on a window's length exactly if trigger, place before it and the bytes up to the window's end agree. Entries
-that stand twice repeat as a whole; entries that share a trigger are expanded to their suffixes and brought together
-by (trigger, hash of the window), which is that order with hashes in place of ranks; only equality is asked of it.
+Triggers (the 32-byte string with the least rolling hash in some window) cut each text into phrases. The dictionary is
+the set of distinct phrases with what surrounds them up to one window; the parse is the sequence of its entries.
+Entries that stand twice repeat as a whole. Entries that share a trigger are ordered by suffix arrays of the dictionary
+(backwards from the trigger) and of the parse (forwards from it), and the two orders together name each 200-byte string
+at stake (see ``windows``). Entries that share nothing can't repeat and are not ordered.
 """
 
 from __future__ import annotations

@@ -84,6 +84,53 @@ def test_random_small_alphabets(spark):
         assert sorted(((r["doc_id"], r["n"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in out.collect()), key=repr) == brute_bytes(rows, 10 + case)
 
 
+@pytest.mark.parametrize("hot", [1, 3])
+def test_hot_triggers_go_by_blocks(spark, corpus, monkeypatch, hot):
+    from ordjoin.llm import windows
+
+    monkeypatch.setattr(windows, "HOT", hot)
+    rng = random.Random(6)
+    rows = [(i, " ".join(rng.choice("abc") for _ in range(rng.randrange(0, 60)))) for i in range(30)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    assert got_words(S.deduplicate(df, 2, 6, 3)) == brute_words(rows, 6)
+    for docs, window, gram in ((df, 11, 4), (corpus, 200, 32)):
+        out = remove_repeats(docs, window, gram)
+        assert sorted(((r["doc_id"], r["n"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in out.collect()), key=repr) == brute_bytes(rows_of(docs), window)
+
+
+def test_whole_groups():
+    import pyarrow as pa
+
+    from ordjoin.llm.common import whole_groups
+
+    rng = random.Random(1)
+    for least in (1, 4, 100):
+        keys = sorted(rng.randrange(12) for _ in range(60))
+        table = pa.table({"k": pa.array(keys, pa.int64()), "v": pa.array(range(60))})
+        cuts = sorted(rng.sample(range(61), 8))
+        batches = [table.slice(a, b - a).to_batches()[0] for a, b in zip([0, *cuts], [*cuts, 60], strict=True) if b > a]
+        got = list(whole_groups(iter(batches), 1, least))
+        assert [v for t in got for v in t.column("v").to_pylist()] == list(range(60))
+        seen = [set(t.column("k").to_pylist()) for t in got]
+        assert all(not (a & b) for i, a in enumerate(seen) for b in seen[:i]) and all(t.num_rows >= least for t in got[:-1])
+        assert least > 1 or all(len(s) == 1 for s in seen)
+
+
+def test_orders_are_suffix_arrays():
+    import numpy as np
+
+    from ordjoin.llm import windows
+
+    rng = np.random.default_rng(3)
+    rows, group = rng.integers(0, 2, (50, 9)).astype(np.uint8), np.sort(rng.integers(0, 4, 50))
+    order, common = windows._order(rows, group)
+    listed = [(int(group[i]), bytes(rows[i])) for i in order]
+    assert listed == sorted(listed)
+    for depth in range(10):
+        names = windows._interval(order, common, depth)
+        assert all((names[i] == names[j]) == (group[i] == group[j] and (rows[i][:depth] == rows[j][:depth]).all()) for i in range(50) for j in range(50))
+
+
 def test_index_over_batches_and_compaction(spark):
     rng = random.Random(2)
     pool = [" ".join(rng.choice("abcdefgh") for _ in range(12)) for _ in range(6)]
