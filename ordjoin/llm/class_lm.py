@@ -1,13 +1,16 @@
 """Brown-style class bigram model: exchange clustering, class transitions and word emissions, smoothed perplexity.
 
-Words are lower-cased and known by a 64-bit hash. Words over a relative frequency (so at most 1 / that many) are
-clustered by exchange: each pass counts, in parallel, how often every such word stands before and after every class,
-and moves words one by one to the class that raises the likelihood of the class bigrams most. All other words belong to
-a class by their form (the last byte), which is known without a lookup, also for words never seen.
-
-P(w | v) = P(class(w) | class(v)) * P(w | class(w)). Transitions are smoothed by class frequencies; a form class keeps
-a share for unseen words as large as its words seen once would have it (one unknown word a class, as the base model has
-one for all). Counts cover every training text; the vocabulary stays distributed and is joined, never broadcast.
+Words are lower-cased and known by a 64-bit hash. Words over a relative frequency (so at most 1 / that many) are the core:
+they are clustered by exchange, where each pass counts, in parallel, how often every core word stands before and after
+every class, and moves words one by one to the class that raises the likelihood of the class bigrams most. All other
+words seen twice or more, up to a bounded list of the most frequent, join the learnt class under which their neighbours
+are most likely, in one distributed pass. Words beyond the list, seen once or never, belong to a class by their form (the
+last byte), which is known without a lookup.
+
+P(w | v) = P(class(w) | class(v)) * P(w | class(w)). Transitions are counted over all training texts with the final
+classes and smoothed by class frequencies; a form class keeps a share for unseen words as large as its words seen once
+would have it (one unknown word a class, as the base model has one for all). Counts cover every training text; the
+vocabulary stays distributed, and what the list doesn't hold is joined, never broadcast.
 """
 
 from __future__ import annotations
@@ -21,10 +24,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ordjoin.llm import kernels as K
-from ordjoin.llm.common import LAST, bodies_of, first_row, lean, map_arrow, settle, slices, table
+from ordjoin.llm.common import LAST, bodies_of, discard, first_row, lean, map_arrow, settle, slices, table, whole_groups
 
 CLASSES, FORMS, PASSES = 48, 32, 4
-FREQUENT = 5e-5  # relative frequency from which words are clustered
+FREQUENT = 5e-5  # relative frequency from which words are clustered by exchange
+LISTED = 500_000  # words, the most frequent first, that have a learnt class
 END = 0x1F3D5B79A2C4E6F8  # the end's place among word hashes
 ALPHA = 0.1
 
@@ -56,8 +60,8 @@ def vocabulary(bodies: DataFrame) -> DataFrame:
 
 
 @dataclass
-class Frequent:
-    """Words over the frequency limit, sorted by hash, the end first; ids of other words are len + form."""
+class Known:
+    """Listed words, sorted by hash, and their counts; ids of other words are len + form."""
 
     words: np.ndarray
     counts: np.ndarray
@@ -67,25 +71,84 @@ class Frequent:
         return np.where(self.words[at] == hashes, at, len(self.words) + forms)
 
 
-def neighbours(bodies: DataFrame, frequent: Frequent) -> DataFrame:
-    """(u, v, c): counts of neighbouring ids; the end also stands before each text."""
-    size = len(frequent.words) + FORMS
+def _pairs(raw: np.ndarray, ends: np.ndarray, known: Known) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Ids before, ids, and word hashes of all tokens; the end also stands before each text."""
+    hashes, forms, first = encoded(raw, ends)
+    ids = known.ids(hashes, forms)
+    before = np.empty_like(ids)
+    before[1:] = ids[:-1]
+    before[first[:-1]] = int(np.searchsorted(known.words, np.uint64(END)))
+    return before, ids, hashes
+
+
+def neighbours(bodies: DataFrame, core: Known) -> DataFrame:
+    """(u, v, c): counts of neighbouring ids."""
+    size = len(core.words) + FORMS
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        end = int(np.searchsorted(frequent.words, np.uint64(END)))
         for batch in batches:
             for _, _, raw, ends in slices(batch.column(0), 1 << 22):
-                hashes, forms, first = encoded(raw, ends)
-                ids = frequent.ids(hashes, forms)
-                before = np.empty_like(ids)
-                before[1:] = ids[:-1]
-                before[first[:-1]] = end
+                before, ids, _ = _pairs(raw, ends, core)
                 pairs, c = np.unique(before * size + ids, return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(pairs // size), pa.array(pairs % size), pa.array(c)], names=["u", "v", "c"])
 
     return map_arrow(bodies.select("body"), each, "u long, v long, c long").groupBy("u", "v").agg(F.sum("c").alias("c"))
 
 
+def joined_classes(bodies: DataFrame, core: Known, of: np.ndarray, step: np.ndarray, listed: np.ndarray, free: int) -> DataFrame:
+    """(word, class) for each listed word (sorted hashes) outside the core: the class of the first ``free`` under which the
+    classes that stand before and after it are most likely."""
+    k = len(step)
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for _, _, raw, ends in slices(batch.column(0), 1 << 22):
+                before, ids, hashes = _pairs(raw, ends, core)
+                spot = np.minimum(np.searchsorted(listed, hashes), max(len(listed) - 1, 0))
+                at = np.flatnonzero((listed[spot] == hashes) & (ids >= len(core.words))) if len(listed) else np.empty(0, np.int64)
+                next_at = at[at + 1 < len(ids)]
+                cells = np.concatenate([spot[at] * 2 * k + of[before[at]], spot[next_at] * 2 * k + k + of[ids[next_at + 1]]])
+                cells, c = np.unique(cells, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(cells // (2 * k)), pa.array((cells % (2 * k)).astype(np.int32)), pa.array(c)], names=["spot", "cell", "c"])
+
+    def choose(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        weight = np.concatenate([step[:, :free], step[:free].T])  # a class before the word, a class after it
+        for t in whole_groups(batches, 1, 1 << 16):
+            spot, cell, c = (t.column(i).to_numpy() for i in range(3))
+            words, row = np.unique(spot, return_inverse=True)
+            seen = np.zeros((len(words), 2 * k))
+            np.add.at(seen, (row, cell), c)
+            yield pa.RecordBatch.from_arrays([pa.array(K.signed(listed[words])), pa.array((seen @ weight).argmax(axis=1).astype(np.int32))], names=["word", "class"])
+
+    cells = map_arrow(bodies.select("body"), count, "spot long, cell int, c long").groupBy("spot", "cell").agg(F.sum("c").alias("c"))
+    return map_arrow(cells.repartition("spot").sortWithinPartitions("spot"), choose, "word long, class int")
+
+
+def transitions(bodies: DataFrame, known: Known, of: np.ndarray, k: int) -> np.ndarray:
+    """How often each class stands before each class in all texts: k * k numbers."""
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(k * k, np.int64)
+        for batch in batches:
+            for _, _, raw, ends in slices(batch.column(0), 1 << 22):
+                before, ids, _ = _pairs(raw, ends, known)
+                total += np.bincount(of[before] * k + of[ids], minlength=k * k)
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], names=["cell", "c"])
+
+    with lean(bodies.sparkSession):
+        got = map_arrow(bodies.select("body"), each, "cell long, c long").groupBy("cell").agg(F.sum("c").alias("c")).toArrow()
+    out = np.zeros(k * k)
+    out[got.column("cell").to_numpy()] = got.column("c").to_numpy()
+    return out.reshape(k, k)
+
+
+def smoothed(m: np.ndarray) -> np.ndarray:
+    """log10 of transition probabilities from counts; every class may follow every class."""
+    share = (m.sum(0) + 1) / (m.sum() + len(m))
+    return np.log10((m + share) / (m.sum(1, keepdims=True) + 1))
+
+
 def _by_class(pairs: DataFrame, of: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     """before[w, c], after[w, c]: how often class c stands before and after id w (bounded by ids times classes)."""
     size = len(of)
@@ -147,7 +210,7 @@ def exchange(before: np.ndarray, after: np.ndarray, of: np.ndarray, movable: np.
 class Model:
     """All that doesn't grow with the corpus: classes of ids, log10 transitions, form totals, and totals of the base."""
 
-    frequent: Frequent
+    frequent: Known
     of: np.ndarray
     step: np.ndarray
     class_total: np.ndarray
@@ -157,32 +220,29 @@ class Model:
     types: int
 
 
-def train(bodies: DataFrame, classes: int = CLASSES, passes: int = PASSES, limit: float = FREQUENT) -> tuple[Model, DataFrame]:
+def train(bodies: DataFrame, classes: int = CLASSES, passes: int = PASSES, limit: float = FREQUENT, most: int = LISTED) -> tuple[Model, DataFrame]:
     """The model and the settled vocabulary (word, form, c) of training texts."""
     words = settle(vocabulary(bodies), "vocabulary")
     total = first_row(words.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("v")))
     end = F.lit(END).cast("long")
-    top = words.where((F.col("c") >= limit * total["n"]) | (F.col("word") == end)).select("word", "c").toArrow()  # at most 1 / limit + 1 rows
+    with lean(words.sparkSession):
+        top = words.where((F.col("c") >= 2) | (F.col("word") == end)).orderBy((F.col("word") == end).desc(), F.desc("c"), "word").limit(most + 1).select("word", "c").toArrow()
     hashes, counts = top.column("word").to_numpy().astype(np.int64).view(np.uint64), top.column("c").to_numpy().astype(np.int64)
     if not total["n"]:
         hashes, counts = np.array([END], np.uint64), np.zeros(1, np.int64)
     order = np.argsort(hashes)
-    frequent = Frequent(hashes[order], counts[order])
-    f = len(frequent.words)
-    rest = words.join(F.broadcast(words.sparkSession.createDataFrame([(int(x),) for x in frequent.words.view(np.int64)], "word long")), "word", "left_anti")
-    forms = rest.groupBy("form").agg(F.sum("c").alias("c"), F.count_if(F.col("c") == 1).alias("once")).collect()  # at most FORMS rows
-    form_total, form_once = np.zeros(FORMS), np.zeros(FORMS)
-    for r in forms:
-        form_total[r["form"]], form_once[r["form"]] = r["c"], r["once"]
-    # classes: 0 .. classes-1 by exchange, then the end, then one for each form
-    k = classes + 1 + FORMS
-    by_count = np.argsort(-frequent.counts, kind="stable")
+    known = Known(hashes[order], counts[order])
+    often = (known.counts >= limit * total["n"]) | (known.words == np.uint64(END))  # at most 1 / limit + 1 words
+    core = Known(known.words[often], known.counts[often])
+    # classes: 0 .. classes-1 are learnt, then the end, then one for each form
+    f, k = len(core.words), classes + 1 + FORMS
+    by_count = np.argsort(-core.counts, kind="stable")
     of = np.empty(f + FORMS, np.int64)
     of[by_count] = np.arange(f) % classes
-    at_end = int(np.searchsorted(frequent.words, np.uint64(END)))
+    at_end = int(np.searchsorted(core.words, np.uint64(END)))
     of[at_end] = classes
     of[f:] = classes + 1 + np.arange(FORMS)
-    pairs = settle(neighbours(bodies, frequent), "neighbours")
+    pairs = settle(neighbours(bodies, core), "neighbours")
     movable = by_count[by_count != at_end]
     for _ in range(passes):
         before, after = _by_class(pairs, of, k)
@@ -191,12 +251,26 @@ def train(bodies: DataFrame, classes: int = CLASSES, passes: int = PASSES, limit
             break
         of = new
     _, after = _by_class(pairs, of, k)
+    discard(pairs)
     m = np.zeros((k, k))
     np.add.at(m, of, after)
-    share = (m.sum(0) + 1) / (m.sum() + k)
-    step = np.log10((m + share) / (m.sum(1, keepdims=True) + 1))
-    class_total = np.bincount(of[:f], weights=frequent.counts, minlength=k)
-    return Model(frequent, of, step, class_total, form_total, np.maximum(form_once, 0.5), total["n"], total["v"]), words
+    final = np.empty(len(known.words) + FORMS, np.int64)
+    final[: len(known.words)][often] = of[:f]
+    final[len(known.words) :] = of[f:]
+    if not often.all():
+        with lean(words.sparkSession):
+            got = joined_classes(bodies, core, of, smoothed(m), known.words[~often], classes).toArrow()  # at most ``most`` rows
+        at = np.searchsorted(known.words, got.column("word").to_numpy().astype(np.int64).view(np.uint64))
+        final[at] = got.column("class").to_numpy()
+        m = transitions(bodies, known, final, k)
+    rest = words.where(~((F.col("c") >= 2) | (F.col("word") == end))) if len(known.words) <= most else words.join(F.broadcast(words.sparkSession.createDataFrame(pa.table({"word": pa.array(K.signed(known.words))}))), "word", "left_anti")
+    with lean(words.sparkSession):
+        forms = rest.groupBy("form").agg(F.sum("c").alias("c"), F.count_if(F.col("c") == 1).alias("once")).collect()  # at most FORMS rows
+    form_total, form_once = np.zeros(FORMS), np.zeros(FORMS)
+    for r in forms:
+        form_total[r["form"]], form_once[r["form"]] = r["c"], r["once"]
+    class_total = np.bincount(final[: len(known.words)], weights=known.counts, minlength=k)
+    return Model(known, final, smoothed(m), class_total, form_total, np.maximum(form_once, 0.5), total["n"], total["v"]), words
 
 
 def scored(docs: DataFrame, model: Model, words: DataFrame) -> DataFrame:

@@ -368,3 +368,23 @@ def test_clashing_columns(corpus):
     assert out.columns == odd.columns and 0 < out.count() <= odd.count() and out.where("text is null").count() == corpus.where("text is null").count()
     pages = odd.select(F.col("doc_id").alias("page_id"), F.lit("http://a.org/1").alias("url"), "host", "bound")
     assert host_reputation.judge(pages, odd.select("doc_id", F.lit(1).alias("quality"), F.lit(0).alias("toxic"))).count() == odd.count()
+
+
+def test_rare_words_join_learnt_classes(spark):
+    rng = random.Random(31)
+    nouns, verbs = [f"n{i}" for i in range(12)], [f"v{i}" for i in range(12)]
+    rare_nouns, rare_verbs = [f"xr{i}q" for i in range(30)], [f"yr{i}q" for i in range(30)]  # all forms end alike
+    pick = lambda often, rare: rng.choice(rare) if rng.random() < 0.06 else rng.choice(often)
+    rows = [(i, " ".join(f"{pick(nouns, rare_nouns)} {pick(verbs, rare_verbs)} a {pick(nouns, rare_nouns)} ." for _ in range(30))) for i in range(100)]
+    model, _ = class_lm.train(class_lm.bodies_of(spark.createDataFrame(rows, "doc_id bigint, text string")), classes=5, passes=6, limit=0.01)
+    assert len(model.frequent.words) > 60 and np.allclose((10.0**model.step).sum(1), 1)
+
+    def class_of(words):
+        raw = np.frombuffer(" ".join(words).encode(), np.uint8)
+        hashes, forms, _ = class_lm.encoded(raw, np.array([0, len(raw)]))
+        return Counter(model.of[model.frequent.ids(hashes, forms)][:-1].tolist())
+
+    for often, rare in ((nouns, rare_nouns), (verbs, rare_verbs)):
+        seen = class_of(often)
+        assert sum(n for c, n in class_of(rare).items() if c in seen) >= 0.8 * len(rare)
+    assert not set(class_of(rare_nouns)) & set(class_of(verbs))
