@@ -264,6 +264,14 @@ def frontier_rounds(spark: SparkSession, sf: str) -> DataFrame:
     return low.unionByName(cursor.answers_within(p, 6, 4)).unionByName(cursor.answers_within(p, 8, 6))
 
 
+@query(f"WITH {EDGE} SELECT {NODES3}, {SUM3} AS weight, CASE WHEN {SUM3} <= 4 THEN 1 WHEN {SUM3} <= 6 THEN 2 ELSE 3 END AS batch FROM {PATH3} WHERE {SUM3} <= 8")
+def rising_bound(spark: SparkSession, sf: str) -> DataFrame:
+    """The same rounds from kept prefixes: no round makes an earlier answer anew."""
+    rounds = cursor.RisingBound(W.chain(spark, sf, 3), W.chain_sum(3))
+    out = [rounds.up_to(tau).withColumn("batch", F.lit(n)) for n, tau in enumerate((4, 6, 8), 1)]
+    return out[0].unionByName(out[1]).unionByName(out[2])
+
+
 @query(top(EDGE, NODES3, PATH3, SUM3, TIES3))
 def sum_sql_front(spark: SparkSession, sf: str) -> DataFrame:
     T.edges(spark, sf).createOrReplaceTempView("ordjoin_edge")

@@ -122,6 +122,27 @@ def test_choices_switched_off(spark):
     assert groups == {"r": (2, 1, 2), "s": (5, 3, 2), "t": (2, 2, 1), "u": (4, 2, 2)}
 
 
+def test_rising_bound(spark):
+    from ordjoin.operators.cursor import RisingBound, frontier_rounds
+
+    rng = random.Random(17)
+    rows = [(rng.randrange(6), rng.randrange(6), rng.randrange(9)) for _ in range(30)]
+    e = spark.createDataFrame(rows, "x bigint, y bigint, w bigint")
+    q = cq([atom("e", e, [f"v{i}", f"v{i + 1}", f"w{i}"]) for i in range(3)], ["v0", "w0", "v1", "w1", "v2", "w2", "v3"], ["e"] * 3)
+    rank = Rank.sum(["w0", "w1", "w2"])
+    want = Counter((u + v + w, a, u, b, v, c, w, d) for a, b, u in rows for b2, c, v in rows if b2 == b for c2, d, w in rows if c2 == c)
+    shown = lambda df: Counter((r["weight"], *(r[x] for x in q.head)) for r in df.collect())
+    with RisingBound(q, rank) as rounds:
+        low = -1
+        for tau in (0, 3, 4, 9, 40):
+            assert shown(rounds.up_to(tau)) == Counter({k: n for k, n in want.items() if low < k[0] <= tau}), tau
+            low = tau
+    got = Counter()
+    for part in frontier_rounds(q, rank, 2, 3, most=5):
+        got += shown(part)
+    assert got == Counter({k: n for k, n in want.items() if k[0] <= 2 + 3 + 6 + 12 + 24})
+
+
 def test_engine_measures(spark):
     before = measures.last_job(spark)
     spark.range(100_000).repartition(3, "id").groupBy((F.col("id") % 7).alias("g")).count().collect()
