@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ordjoin.operators.dp import semijoin_reduce
-from ordjoin.operators.levels import full_join
+from ordjoin.operators.levels import _keep, full_join
 from ordjoin.plans.jointree import join_tree
 from ordjoin.plans.model import ConjunctiveQuery
 from ordjoin.plans.ranking import Rank
@@ -29,35 +29,35 @@ def batch_reduce_join_sort(q: ConjunctiveQuery, rank: Rank) -> DataFrame:
     return _shown(out, q, rank)
 
 
-def engine_join_sort(q: ConjunctiveQuery, rank: Rank) -> DataFrame:
-    """Plain joins in the order written and a sort: the engine's own plan."""
-    return _shown(_weighted(_plain(q), rank).orderBy("_state", *q.variables), q, rank)
+def engine_join_sort(q: ConjunctiveQuery, rank: Rank, hint: str | None = None) -> DataFrame:
+    """Plain joins in the order written and a sort: the engine's own plan. ``hint``: a join hint for every join, such as
+    ``merge``, ``shuffle_hash`` or ``broadcast`` (for relations of a known size)."""
+    return _shown(_weighted(_plain(q, hint), rank).orderBy("_state", *q.variables), q, rank)
 
 
-def _plain(q: ConjunctiveQuery) -> DataFrame:
+def _plain(q: ConjunctiveQuery, hint: str | None = None) -> DataFrame:
     out = q.atoms[0].frame
     for a in q.atoms[1:]:
         on = [v for v in a.variables if v in out.columns]
-        out = out.join(a.frame, on) if on else out.crossJoin(a.frame)
+        right = a.frame.hint(hint) if hint else a.frame
+        out = out.join(right, on) if on else out.crossJoin(a.frame)
     return out
 
 
-def engine_topk(q: ConjunctiveQuery, rank: Rank, k: int, ids: list[str] | None = None) -> DataFrame:
+def engine_topk(q: ConjunctiveQuery, rank: Rank, k: int, ids: list[str] | None = None, hint: str | None = None) -> DataFrame:
     """The same with a limit, and ``rnk``."""
     by = ids or list(join_tree(q).met())
-    top = _weighted(_plain(q), rank).orderBy("_state", *by).limit(k)
+    top = _weighted(_plain(q, hint), rank).orderBy("_state", *by).limit(k)
     numbered = top.withColumn("rnk", F.row_number().over(Window.orderBy("_state", *by)).cast("long"))  # k rows
     return numbered.select(*q.head, (F.col("_state") if rank.kind == "black_box" else rank.decode(F.col("_state"))).alias("weight"), "rnk")
 
 
 def batch_incremental_sort(q: ConjunctiveQuery, rank: Rank, parts: int = 64) -> Iterator[DataFrame]:
-    """Complete result, range partitioned by weight; a partition is sorted only when it is asked for."""
-    rows = _weighted(full_join(q, semijoin_reduce(q, full=True)), rank).repartitionByRange(parts, "_state").withColumn("_part", F.spark_partition_id()).persist()
-    try:
-        for part in range(parts):
-            yield _shown(rows.where(F.col("_part") == part).orderBy("_state", *q.variables), q, rank)
-    finally:
-        rows.unpersist()
+    """Complete result, range partitioned by weight; a partition is sorted only when it is asked for. The partitions stay
+    persisted until ``levels.release()``."""
+    rows = _keep(_weighted(full_join(q, semijoin_reduce(q, full=True)), rank).repartitionByRange(parts, "_state").withColumn("_part", F.spark_partition_id()))
+    for part in range(parts):
+        yield _shown(rows.where(F.col("_part") == part).orderBy("_state", *q.variables), q, rank)
 
 
 def naive_product(q: ConjunctiveQuery) -> DataFrame:

@@ -274,8 +274,8 @@ def lex_all(q: ConjunctiveQuery, order: Sequence[str | tuple[str, bool]]) -> Dat
     return out.orderBy(*_sorts(names, [*names, *[v for v in q.variables if v not in names]], dict(rank.order))).select(*q.head)
 
 
-def full_join(q: ConjunctiveQuery, frames: dict[int, DataFrame] | None = None) -> DataFrame:
-    """The full join result along the tree (all variables)."""
+def full_join(q: ConjunctiveQuery, frames: dict[int, DataFrame] | None = None, hint: str | None = None) -> DataFrame:
+    """The full join result along the tree (all variables); ``hint``: a join hint for each relation that is added."""
     tree = join_tree(q)
     frames = frames or {i: a.frame for i, a in enumerate(q.atoms)}
     out: DataFrame | None = None
@@ -285,7 +285,7 @@ def full_join(q: ConjunctiveQuery, frames: dict[int, DataFrame] | None = None) -
         else:
             left, keys = with_all(out, tree.shared(i))
             right, _ = with_all(frames[i].select(*q.atoms[i].variables), tree.shared(i))
-            out = left.join(right, keys).drop(ALL)
+            out = left.join(right.hint(hint) if hint else right, keys).drop(ALL)
     return out
 
 

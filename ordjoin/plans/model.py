@@ -86,6 +86,16 @@ def atom(name: str, frame: DataFrame, columns: Mapping[str, object] | Sequence[o
     return Atom(name, out if keep_nulls else out.dropna(), tuple(first))
 
 
+def split_self_joins(q: ConjunctiveQuery) -> ConjunctiveQuery:
+    """The same query with a relation name of its own for every use: ``e`` in two atoms becomes ``e#1`` and ``e#2``."""
+    seen: dict[str, int] = {}
+    names = []
+    for name in q.relations:
+        seen[name] = seen.get(name, 0) + 1
+        names.append(f"{name}#{seen[name]}" if q.relations.count(name) > 1 else name)
+    return ConjunctiveQuery(q.atoms, q.head, tuple(names))
+
+
 def cq(atoms: Sequence[Atom], head: Sequence[str] | None = None, relations: Sequence[str] = ()) -> ConjunctiveQuery:
     """A query; without a head all variables are free. Atom names are made distinct (self-joins by renamed copies)."""
     seen: dict[str, int] = {}

@@ -210,3 +210,38 @@ def test_best_k_in_a_stream(spark, tmp_path):
     for g, seen in last.items():
         want = [(w, i, n + 1) for n, (w, i) in enumerate(sorted((w, i) for x, w, i in rows if x == g)[:4])]
         assert set(want) <= set(seen)
+
+
+def test_merged_cursors(spark):
+    from ordjoin.operators.cursor import OrderedCursor
+    from ordjoin.operators.union import merge_cursors
+
+    a = spark.createDataFrame([(1, 2, 5), (1, 3, 1), (2, 3, 4)], "x bigint, y bigint, w bigint")
+    b = spark.createDataFrame([(1, 3, 1), (4, 4, 2)], "x bigint, y bigint, w bigint")
+    queries = [cq([atom("e", e, ["x", "y", "w"])], ["x", "y"]) for e in (a, b)]
+    for dedup, want in ((True, [(1, 1, 3), (2, 4, 4), (4, 2, 3), (5, 1, 2)]), (False, [(1, 1, 3), (1, 1, 3), (2, 4, 4), (4, 2, 3), (5, 1, 2)])):
+        with OrderedCursor(queries[0], Rank.sum(["w"]), 2) as p, OrderedCursor(queries[1], Rank.sum(["w"]), 2) as q:
+            assert [(r["weight"], r["x"], r["y"]) for r in merge_cursors([p, q], dedup)] == want
+
+
+def test_join_hints(spark):
+    from ordjoin.operators import baselines
+
+    q, rank = mini(spark), Rank.sum(["x1", "x2", "x3", "x4", "x5"])
+    want = baselines.engine_topk(q, rank, 8).orderBy("rnk").collect()
+    for hint, node in (("merge", "SortMergeJoin"), ("shuffle_hash", "ShuffledHashJoin"), ("broadcast", "BroadcastHashJoin")):
+        df = baselines.engine_topk(q, rank, 8, hint=hint)
+        assert node in df._jdf.queryExecution().executedPlan().toString()
+        assert df.orderBy("rnk").collect() == want
+        assert node in levels.full_join(q, hint=hint)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_self_joins_split(spark):
+    from ordjoin.plans.model import split_self_joins
+
+    e = spark.createDataFrame([(1, 2), (2, 3)], "x bigint, y bigint")
+    q = cq([atom("e", e, ["a", "b"]), atom("e", e, ["b", "c"])], ["a", "b", "c"], ["e", "e"])
+    assert not q.is_self_join_free() and split_self_joins(q).is_self_join_free()
+    assert [tuple(r) for r in levels.lex_topk(split_self_joins(q), ["a", "b", "c"], 3).select("a", "b", "c").collect()] == [(1, 2, 3)]
+    single = cq([atom("e", e, ["a", "b"])], ["a", "b"], ["e"])
+    assert split_self_joins(single).relations == ("e",)
