@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 
 _OWN: dict[str, str] = {}
 _SENT: dict[str, str] = {}
+_ALIVE: dict[str, Callable[[], None]] = {}  # intermediate tables that have not been deleted: path -> how to
 BATCH_ROWS = 512
 LAST = 2**63 - 1  # where a null id stands in the order
 MAX_BUCKETS = 100_000  # Spark's own limit for a bucketed table
@@ -63,12 +64,14 @@ def settle(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
         df.write.option("compression", codec).parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._settled_at = path
+    _ALIVE[path] = lambda: delete(spark, path)
     return out
 
 
 def delete(spark: SparkSession, path: str) -> None:
     at = spark._jvm.org.apache.hadoop.fs.Path(path)
     at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+    _ALIVE.pop(path, None)
 
 
 def discard(*frames: DataFrame) -> None:
@@ -77,6 +80,17 @@ def discard(*frames: DataFrame) -> None:
         delete(df.sparkSession, df._settled_at)
 
 
+def alive() -> set[str]:
+    """Paths of intermediate tables that still exist. A result that an operator has returned may read some of them."""
+    return set(_ALIVE)
+
+
+def sweep(paths: set[str]) -> None:
+    """Delete these tables, once all results that read them have been written or dropped."""
+    for path in paths & set(_ALIVE):
+        _ALIVE[path]()
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -134,6 +148,10 @@ class Layout:
         dealt = small.withColumn("slot", self.slot(F.col("row"))).repartition(self.buckets, "slot")
         return dealt.groupBy("slot", "row").agg(*lists).drop("slot")
 
+    def beside(self, rows: DataFrame) -> Layout:
+        """Rows made from this layout's (with ``slot`` and ``row``), written to lie as these do."""
+        return _written(rows, self.buckets)
+
     def drop(self) -> None:
         spark = self.frame.sparkSession
         spark.sql(f"drop table if exists {self.name}")
@@ -154,12 +172,18 @@ def lay_out(df: DataFrame) -> Layout:
     spark = df.sparkSession
     spark.conf.set(_SUBSET_KEYS, "false")
     buckets = max(1, min(df.rdd.getNumPartitions(), MAX_BUCKETS))
+    return _written(df.select(_slot(F.spark_partition_id(), buckets).alias("slot"), F.monotonically_increasing_id().alias("row"), "*"), buckets)
+
+
+def _written(rows: DataFrame, buckets: int) -> Layout:
+    spark = rows.sparkSession
     name = f"layout_{uuid.uuid4().hex}"
     path = f"{shared_folder(spark)}/{name}"
-    rows = df.select(_slot(F.spark_partition_id(), buckets).alias("slot"), F.monotonically_increasing_id().alias("row"), "*")
     with lean(spark):
         rows.write.format("parquet").option("compression", "zstd").option("path", path).bucketBy(buckets, "slot").saveAsTable(name)
-    return Layout(spark.table(name), buckets, name, path)
+    out = Layout(spark.table(name), buckets, name, path)
+    _ALIVE[path] = out.drop
+    return out
 
 
 def bodies_of(docs: DataFrame) -> DataFrame:

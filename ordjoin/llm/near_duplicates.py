@@ -13,9 +13,9 @@ one of their first n - ceil(t n) + 1 shingles, and each of these is a block. The
 * blocks of the same nodes are one block;
 * in each block, nodes of about one size are paired with the first and the last of them, and these pairs are bounded and
   verified first: a group of copies is joined by a few pairs for each of its nodes;
-* in blocks that still hold several components, the nodes outside the block's largest component are joined with all of
-  the block, by R-trees of chunks, for pairs of different components only: rows and tasks follow the nodes that are not
-  yet joined, not the square of the block. Each pair is made in its least common block alone;
+* blocks that still hold several components are dealt by size class, and what still does in a class is joined: the nodes
+  outside its largest component with all of it, by R-trees of chunks, for pairs of different components only. Rows and
+  tasks follow the nodes that are not yet joined, not the square of the block. Each pair is made in one place alone;
 * where the number of links is asked for, it is counted inside components, where all links are: each set is reduced to
   how it differs from its component's first set, chunks of these differences are compared by products of incidence
   matrices, and only counts leave a task, never pairs.
@@ -82,11 +82,11 @@ def bound(p: bytes, q: bytes) -> int:
 
 
 def _sets(bodies: DataFrame, width: int, percent: int, common: np.ndarray) -> DataFrame:
-    """(ord, row, n, sid, check, point, keys): sid and check are hashes of the set, keys its first shingles under the order."""
+    """(slot, row, ord, n, sid, check, point, keys): sid and check are hashes of the set, keys its first shingles under the order."""
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for a, b, raw, ends in slices(batch.column(2), 1 << 18):
+            for a, b, raw, ends in slices(batch.column(3), 1 << 18):
                 ns, sids, checks, points, keys = [], [], [], [], []
                 for s in shingle_sets(raw, ends, width):
                     n = len(s)
@@ -103,11 +103,11 @@ def _sets(bodies: DataFrame, width: int, percent: int, common: np.ndarray) -> Da
                         keys.append(np.empty(0, np.int64))
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(k) for k in keys])]).astype(np.int32)), pa.array(np.concatenate(keys)))
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(a, b - a), batch.column(1).slice(a, b - a), pa.array(ns, pa.int64()), pa.array(sids, pa.int64()), pa.array(checks, pa.int64()), pa.array(points, pa.binary()), lists],
-                    names=["ord", "row", "n", "sid", "check", "point", "keys"],
+                    [*(batch.column(i).slice(a, b - a) for i in range(3)), pa.array(ns, pa.int64()), pa.array(sids, pa.int64()), pa.array(checks, pa.int64()), pa.array(points, pa.binary()), lists],
+                    names=["slot", "row", "ord", "n", "sid", "check", "point", "keys"],
                 )
 
-    return map_arrow(bodies.select("ord", "row", "body"), each, "ord long, row long, n long, sid long, check long, point binary, keys array<long>")
+    return map_arrow(bodies.select("slot", "row", "ord", "body"), each, "slot int, row long, ord long, n long, sid long, check long, point binary, keys array<long>")
 
 
 def _common(bodies: DataFrame, width: int) -> np.ndarray:
@@ -173,7 +173,7 @@ def _admitted(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
 
 def _tree_pairs(rows: DataFrame, percent: int) -> DataFrame:
     """Candidate pairs (a, b) of different components, from rows (block, i, j, side, node, root, n, point, blocks) sorted
-    by chunk pair; ``side`` 0 holds nodes outside the block's largest component, side 1 any node of the block.
+    by chunk pair; ``side`` 0 or 2 holds nodes outside the block's largest component, side 1 or 2 any node of the block.
 
     ``blocks``: all mixed blocks of a node, ascending; a pair is given in the least that both have.
     """
@@ -181,7 +181,7 @@ def _tree_pairs(rows: DataFrame, percent: int) -> DataFrame:
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in whole_groups(batches, 3):
             block, side, node, root, n = int(t.column(0)[0].as_py()), *(t.column(k).to_numpy() for k in (3, 4, 5, 6))
-            left, right = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
+            left, right = np.flatnonzero(side != 1), np.flatnonzero(side != 0)
             if not len(left) or not len(right):
                 continue
             exact = t.column(7).to_pylist()
@@ -236,19 +236,20 @@ def _verified(pairs: DataFrame, layout: Layout, width: int, percent: int) -> Dat
     return links
 
 
-def _stars(members: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b): blocks of two, and each larger block's nodes with the first and the last of their size class in it.
-
-    Two grids of classes lie half a step apart, with a step of twice the largest admissible ratio of sizes; a finer grid
-    comes beside them.
-    """
-    two = members.where("many = 2").groupBy("block").agg(F.min(F.struct("node", "n")).alias("x"), F.max(F.struct("node", "n")).alias("y"))
-    two = two.where(100 * F.least("x.n", "y.n") >= percent * F.greatest("x.n", "y.n")).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"))
+def _classes(percent: int, finer: bool = False) -> Column:
+    """Size classes of ``n``: two grids that lie half a step apart, with a step of twice the largest admissible ratio of
+    sizes, so that sizes of an admissible ratio share a class; and a finer grid where it is asked for."""
     ratio = 1.001 * math.log(100 / percent) or 1.0  # a little more, for rounding
     size = F.log("n")
     wide = [3 * F.floor(size / F.lit(2 * ratio) + F.lit(shift)) + F.lit(odd) for odd, shift in ((0, 0.0), (1, 0.5))]
-    fine = 3 * F.floor(size / F.lit(ratio / 4)) + F.lit(2)
-    rows = members.where("many > 2").withColumn("class", F.explode(F.array(*wide, fine)))
+    return F.array(*wide, *([3 * F.floor(size / F.lit(ratio / 4)) + F.lit(2)] if finer else []))
+
+
+def _stars(members: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b): blocks of two, and each larger block's nodes with the first and the last of their size class in it."""
+    two = members.where("many = 2").groupBy("block").agg(F.min(F.struct("node", "n")).alias("x"), F.max(F.struct("node", "n")).alias("y"))
+    two = two.where(100 * F.least("x.n", "y.n") >= percent * F.greatest("x.n", "y.n")).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"))
+    rows = members.where("many > 2").withColumn("class", F.explode(_classes(percent, finer=True)))
     heads = rows.groupBy("block", "class").agg(F.min("node").alias("x"), F.max("node").alias("y")).where("x <> y")
     pairs = rows.join(heads, ["block", "class"]).select("node", F.explode(F.array("x", "y")).alias("head")).where("node <> head")
     return two.unionByName(pairs.select(F.least("node", "head").alias("a"), F.greatest("node", "head").alias("b"))).distinct()
@@ -257,49 +258,62 @@ def _stars(members: DataFrame, percent: int) -> DataFrame:
 def _blocks(nodes: DataFrame) -> DataFrame:
     """(block, node, n, many) of all blocks of two nodes or more; of blocks of the same nodes only one. Settled."""
     keys = nodes.select(F.explode("keys").alias("block"), "node", F.col("n").cast("int").alias("n"))
+    several = keys.groupBy("block").agg(F.count(F.lit(1)).cast("int").alias("many")).where("many > 1")
+    all_of_them = settle(keys.join(several, "block"), "all-blocks")
     who = [F.bit_xor(F.xxhash64("node", F.lit(i))).alias(f"who{i}") for i in (0, 1)]
-    held = keys.groupBy("block").agg(F.count(F.lit(1)).cast("int").alias("many"), *who).where("many > 1")
-    chosen = settle(held.groupBy("many", "who0", "who1").agg(F.min("block").alias("block")).select("block", "many"), "chosen")
-    members = settle(keys.join(chosen, "block"), "blocks")
-    discard(chosen)
+    held = all_of_them.groupBy("block", "many").agg(*who)
+    chosen = held.groupBy("many", "who0", "who1").agg(F.min("block").alias("block")).select("block")
+    members = settle(all_of_them.join(chosen, "block"), "blocks")
+    discard(all_of_them)
     return members
 
 
-def _unjoined(members: DataFrame, root: DataFrame, nodes: DataFrame) -> tuple[DataFrame, list[DataFrame]]:
-    """Rows for ``_tree_pairs`` (chunks of the nodes outside a block's largest component against chunks of all its nodes),
-    and the settled tables that they read."""
-    rooted = members.where("many > 2").join(root, "node", "left").select("block", "node", F.coalesce("root", "node").alias("root"))
+def _unjoined(members: DataFrame, root: DataFrame, nodes: DataFrame, percent: int) -> tuple[DataFrame, list[DataFrame]]:
+    """Rows for ``_tree_pairs``, and the settled tables that they read.
+
+    A block's size class that holds several components is a cell. Chunks of the nodes outside a cell's largest component
+    meet chunks of all its nodes; a cell of one chunk is one group, in which each node stands once (side 2).
+    """
+    rooted = members.where("many > 2").join(root, "node", "left").select("block", "node", "n", F.coalesce("root", "node").alias("root"))
+    rooted = rooted.withColumn("class", F.explode(_classes(percent))).select(F.xxhash64("block", "class").alias("block"), "node", "root")
     rooted = settle(rooted, "rooted")
     per = rooted.groupBy("block", "root").agg(F.count(F.lit(1)).alias("c"))
     mixed = per.groupBy("block").agg(F.max(F.struct("c", "root")).alias("top"), F.sum("c").alias("many"), F.count(F.lit(1)).alias("roots")).where("roots > 1")
     cuts = mixed.select("block", F.col("top.root").alias("top"), F.ceil((F.col("many") - F.col("top.c")) / CHUNK).cast("int").alias("some"), F.ceil(F.col("many") / CHUNK).cast("int").alias("all"))
     mine = settle(rooted.join(cuts, "block"), "mixed")
     discard(rooted)
-    spread = F.xxhash64("node")
-    whole = mine.select("block", F.explode(F.sequence(F.lit(0), F.col("some") - 1)).alias("i"), F.pmod(spread, F.col("all")).cast("int").alias("j"), F.lit(1).alias("side"), "node", "root")
-    apart = mine.where("root <> top").select("block", F.pmod(spread, F.col("some")).cast("int").alias("i"), F.explode(F.sequence(F.lit(0), F.col("all") - 1)).alias("j"), F.lit(0).alias("side"), "node", "root")
-    own = mine.groupBy("node").agg(F.sort_array(F.collect_list("block")).alias("blocks"))  # a node's own blocks: no more than its shingles
+    spread, large, apart = F.xxhash64("node"), mine.where(F.col("all") > 1), F.col("root") != F.col("top")
+    small = mine.where(F.col("all") == 1).select("block", F.lit(0).alias("i"), F.lit(0).alias("j"), F.when(apart, 2).otherwise(1).alias("side"), "node", "root")
+    whole = large.select("block", F.explode(F.sequence(F.lit(0), F.col("some") - 1)).alias("i"), F.pmod(spread, F.col("all")).cast("int").alias("j"), F.lit(1).alias("side"), "node", "root")
+    rest = large.where(apart).select("block", F.pmod(spread, F.col("some")).cast("int").alias("i"), F.explode(F.sequence(F.lit(0), F.col("all") - 1)).alias("j"), F.lit(0).alias("side"), "node", "root")
+    own = mine.groupBy("node").agg(F.sort_array(F.collect_list("block")).alias("blocks"))  # a node's own cells: two for each of its shingles at most
     about = settle(nodes.select("node", "n", "point").join(own, "node"), "points")
-    rows = whole.unionByName(apart).join(about, "node").select("block", "i", "j", "side", "node", "root", "n", "point", "blocks")
+    rows = small.unionByName(whole).unionByName(rest).join(about, "node").select("block", "i", "j", "side", "node", "root", "n", "point", "blocks")
     return rows.repartition("block", "i", "j").sortWithinPartitions("block", "i", "j"), [mine, about]
 
 
 def linked_sets(layout: Layout, width: int, percent: int) -> tuple[DataFrame, DataFrame]:
     """(ord, row, n, node) of each text, node null where it has no shingle, and (node, ord, n, root) of each distinct set; settled."""
-    sets = settle(_sets(layout.frame, width, percent, _common(layout.frame, width)), "sets")
-    first = F.min(F.struct("ord", "row", "n", "point", "keys")).alias("f")
-    nodes = settle(sets.where("n > 0").groupBy("sid", "check").agg(first).select("sid", "check", F.col("f.row").alias("node"), "f.ord", "f.n", "f.point", "f.keys"), "nodes")
+    sets = layout.beside(_sets(layout.frame, width, percent, _common(layout.frame, width)))
+    first = F.min(F.struct("ord", "row")).alias("f")
+    same = settle(sets.frame.where("n > 0").groupBy("sid", "check").agg(first).select("sid", "check", F.col("f.row").alias("node")), "same")
+    texts = sets.frame.select("sid", "check", "ord", "row", "n").join(same, ["sid", "check"], "left")
+    texts = settle(texts.select("ord", "row", "n", F.when(F.col("n") > 0, F.col("node")).alias("node")), "texts")
+    nodes = settle(sets.meet(same.select(F.col("node").alias("row")), ["ord", "n", "point", "keys"]).withColumnRenamed("row", "node"), "nodes")
+    sets.drop()
+    discard(same)
     members = _blocks(nodes)
     star = settle(_stars(members, percent), "star")
     links = _verified(_admitted(star, nodes, percent), layout, width, percent)
     root = components(links)
-    rows, read = _unjoined(members, root, nodes)
+    discard(links)
+    rows, read = _unjoined(members, root, nodes, percent)
     more = settle(_tree_pairs(rows, percent).distinct().join(star, ["a", "b"], "left_anti"), "more")
+    discard(members, star, *read)
     extra = _verified(more, layout, width, percent)
     joined = components(root.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(extra))
-    texts = settle(sets.join(nodes.select("sid", "check", "node"), ["sid", "check"], "left").select("ord", "row", "n", F.when(F.col("n") > 0, F.col("node")).alias("node")), "texts")
     named = settle(nodes.select("node", "ord", "n").join(joined, "node", "left").select("node", "ord", "n", F.coalesce("root", "node").alias("root")), "named")
-    discard(sets, nodes, members, star, links, root, more, extra, joined, *read)
+    discard(nodes, root, more, extra, joined)
     return texts, named
 
 
