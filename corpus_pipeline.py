@@ -8,7 +8,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ordjoin.llm import decontamination, near_duplicates, packing, quality_rules, substring_dedup
-from ordjoin.llm.common import discard, settle, table
+from ordjoin.llm.common import alive, discard, settle, sweep, table
+
+_LEFT: set[str] = set()  # tables that the last stage's result read
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -45,12 +47,28 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packing.pack(docs, public_tokenizers.path("word_bpe_49k.json")).withColumn("ids_crc32", F.crc32("ids"))
 
 
+def _in_turn(stage: Callable[[SparkSession, DataFrame, str], DataFrame], first: bool = False) -> Callable[[SparkSession, DataFrame, str], DataFrame]:
+    """A stage that first deletes the intermediate tables of the stage before it, whose result has been written by then.
+    The first stage deletes nothing, as the last one's result may still be read."""
+
+    def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        if not first:
+            sweep(_LEFT)
+        _LEFT.clear()
+        before = alive()
+        out = stage(spark, docs, sf_dir)
+        _LEFT.update(alive() - before)
+        return out
+
+    return run_stage
+
+
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
-    ("quality_rules", quality),
-    ("near_duplicates", near_duplicate),
-    ("substring_dedup", substrings),
-    ("decontamination", decontaminate),
-    ("packing", pack),
+    ("quality_rules", _in_turn(quality, first=True)),
+    ("near_duplicates", _in_turn(near_duplicate)),
+    ("substring_dedup", _in_turn(substrings)),
+    ("decontamination", _in_turn(decontaminate)),
+    ("packing", _in_turn(pack)),
 ]
 ORACLE_SQL = None
 
