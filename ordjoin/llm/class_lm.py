@@ -20,6 +20,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -67,18 +68,18 @@ class Known:
     counts: np.ndarray
 
     def ids(self, hashes: np.ndarray, forms: np.ndarray) -> np.ndarray:
-        at = np.minimum(np.searchsorted(self.words, hashes), len(self.words) - 1)
-        return np.where(self.words[at] == hashes, at, len(self.words) + forms)
+        at = pc.index_in(pa.array(hashes), value_set=pa.array(self.words)).fill_null(-1).to_numpy().astype(np.int64)
+        return np.where(at >= 0, at, len(self.words) + forms)
 
 
 def _pairs(raw: np.ndarray, ends: np.ndarray, known: Known) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Ids before, ids, and word hashes of all tokens; the end also stands before each text."""
+    """Ids before, ids, and forms of all tokens; the end also stands before each text."""
     hashes, forms, first = encoded(raw, ends)
     ids = known.ids(hashes, forms)
     before = np.empty_like(ids)
     before[1:] = ids[:-1]
     before[first[:-1]] = int(np.searchsorted(known.words, np.uint64(END)))
-    return before, ids, hashes
+    return before, ids, forms
 
 
 def neighbours(bodies: DataFrame, core: Known) -> DataFrame:
@@ -95,19 +96,26 @@ def neighbours(bodies: DataFrame, core: Known) -> DataFrame:
     return map_arrow(bodies.select("body"), each, "u long, v long, c long").groupBy("u", "v").agg(F.sum("c").alias("c"))
 
 
-def joined_classes(bodies: DataFrame, core: Known, of: np.ndarray, step: np.ndarray, listed: np.ndarray, free: int) -> DataFrame:
-    """(word, class) for each listed word (sorted hashes) outside the core: the class of the first ``free`` under which the
-    classes that stand before and after it are most likely."""
-    k = len(step)
+def joined_classes(bodies: DataFrame, known: Known, core: np.ndarray, of: np.ndarray, step: np.ndarray, free: int) -> DataFrame:
+    """(spot, class) for each known word that isn't ``core``, by its place: the class of the first ``free`` under which the
+    classes that stand before and after it are most likely. ``of``: classes of core words and forms, by id; what stands
+    for other words there isn't read."""
+    k, size = len(step), len(known.words)
+    fixed = np.append(core, np.ones(FORMS, bool))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for _, _, raw, ends in slices(batch.column(0), 1 << 22):
-                before, ids, hashes = _pairs(raw, ends, core)
-                spot = np.minimum(np.searchsorted(listed, hashes), max(len(listed) - 1, 0))
-                at = np.flatnonzero((listed[spot] == hashes) & (ids >= len(core.words))) if len(listed) else np.empty(0, np.int64)
-                next_at = at[at + 1 < len(ids)]
-                cells = np.concatenate([spot[at] * 2 * k + of[before[at]], spot[next_at] * 2 * k + k + of[ids[next_at + 1]]])
+                before, ids, forms = _pairs(raw, ends, known)
+                at = np.flatnonzero(~fixed[ids])
+                classes = of[ids]
+                classes[at] = of[size + forms[at]]  # a neighbour whose class isn't known yet counts by its form
+                last = np.empty_like(classes)
+                last[1:] = classes[:-1]
+                start = np.flatnonzero(before != np.append(-1, ids[:-1]))  # heads of texts, where the end stands before
+                last[start] = of[before[start]]
+                ahead = at[at + 1 < len(ids)]
+                cells = np.concatenate([ids[at] * 2 * k + last[at], ids[ahead] * 2 * k + k + classes[ahead + 1]])
                 cells, c = np.unique(cells, return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(cells // (2 * k)), pa.array((cells % (2 * k)).astype(np.int32)), pa.array(c)], names=["spot", "cell", "c"])
 
@@ -118,10 +126,10 @@ def joined_classes(bodies: DataFrame, core: Known, of: np.ndarray, step: np.ndar
             words, row = np.unique(spot, return_inverse=True)
             seen = np.zeros((len(words), 2 * k))
             np.add.at(seen, (row, cell), c)
-            yield pa.RecordBatch.from_arrays([pa.array(K.signed(listed[words])), pa.array((seen @ weight).argmax(axis=1).astype(np.int32))], names=["word", "class"])
+            yield pa.RecordBatch.from_arrays([pa.array(words), pa.array((seen @ weight).argmax(axis=1).astype(np.int32))], names=["spot", "class"])
 
     cells = map_arrow(bodies.select("body"), count, "spot long, cell int, c long").groupBy("spot", "cell").agg(F.sum("c").alias("c"))
-    return map_arrow(cells.repartition("spot").sortWithinPartitions("spot"), choose, "word long, class int")
+    return map_arrow(cells.repartition("spot").sortWithinPartitions("spot"), choose, "spot long, class int")
 
 
 def transitions(bodies: DataFrame, known: Known, of: np.ndarray, k: int) -> np.ndarray:
@@ -254,14 +262,13 @@ def train(bodies: DataFrame, classes: int = CLASSES, passes: int = PASSES, limit
     discard(pairs)
     m = np.zeros((k, k))
     np.add.at(m, of, after)
-    final = np.empty(len(known.words) + FORMS, np.int64)
+    final = np.zeros(len(known.words) + FORMS, np.int64)
     final[: len(known.words)][often] = of[:f]
     final[len(known.words) :] = of[f:]
     if not often.all():
         with lean(words.sparkSession):
-            got = joined_classes(bodies, core, of, smoothed(m), known.words[~often], classes).toArrow()  # at most ``most`` rows
-        at = np.searchsorted(known.words, got.column("word").to_numpy().astype(np.int64).view(np.uint64))
-        final[at] = got.column("class").to_numpy()
+            got = joined_classes(bodies, known, often, final, smoothed(m), classes).toArrow()  # at most ``most`` rows
+        final[got.column("spot").to_numpy()] = got.column("class").to_numpy()
         m = transitions(bodies, known, final, k)
     rest = words.where(~((F.col("c") >= 2) | (F.col("word") == end))) if len(known.words) <= most else words.join(F.broadcast(words.sparkSession.createDataFrame(pa.table({"word": pa.array(K.signed(known.words))}))), "word", "left_anti")
     with lean(words.sparkSession):
