@@ -304,16 +304,27 @@ def _search(slots: Slots, weight: np.ndarray, v: np.ndarray, ids: list, words: l
                 flat, _ = _pairs_of_blocks(_block_sums(turn[slot], block, n), squares, owner)
                 close = flat @ latent >= topic * np.maximum(np.linalg.norm(flat, axis=1, keepdims=True), 1e-9)
                 close[rows_at] |= near >= cosine * np.minimum(length[rows_at, None], heavy)
-                # words that don't stand in the stretch around can't be in a common subsequence
+                passages, wanted_items = np.nonzero(close)
+                if not len(passages):
+                    continue
+                # words that don't stand in the stretches around can't be in a common subsequence
                 stretch, of_doc = stretches(owner, place, wide)
-                there = np.zeros((len(of_doc), len(best)), np.float32)
-                there[stretch[block[at]], own] = 1
-                around, same = there.copy(), of_doc[1:] == of_doc[:-1]
-                around[1:] = np.maximum(around[1:], there[:-1] * same[:, None])
-                around[:-1] = np.maximum(around[:-1], there[1:] * same[:, None])
-                close &= (around @ part_of >= 0.999 * lcs)[stretch]
+                near_by = np.unique(stretch[passages])
+                read = np.unique(np.clip(np.concatenate([near_by - 1, near_by, near_by + 1]), 0, len(of_doc) - 1))
+                spot = np.full(len(of_doc), -1)
+                spot[read] = np.arange(len(read))
+                row = spot[stretch[block[at]]]
+                there = np.zeros((len(read), len(best)), np.float32)
+                there[row[row >= 0], own[row >= 0]] = 1
+                words_near = there[spot[near_by]]
+                for step in (-1, 1):
+                    beside = np.clip(near_by + step, 0, len(of_doc) - 1)
+                    same = of_doc[beside] == of_doc[near_by]
+                    words_near[same] = np.maximum(words_near[same], there[spot[beside[same]]])
+                enough = words_near @ part_of >= 0.999 * lcs
+                use = enough[np.searchsorted(near_by, stretch[passages]), wanted_items]
                 found: dict[tuple[int, int], tuple] = {}
-                for p, i in zip(*(x.tolist() for x in np.nonzero(close)), strict=True):
+                for p, i in zip(passages[use].tolist(), wanted_items[use].tolist(), strict=True):
                     d = int(owner[p])
                     lo = int(first[d]) + int(place[p]) * BLOCK
                     reach = 2 * len(words[i]) + BLOCK
