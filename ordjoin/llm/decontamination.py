@@ -267,7 +267,7 @@ def _search(slots: Slots, weight: np.ndarray, v: np.ndarray, ids: list, words: l
     best, best_share = gain.max(axis=1), (gain / heavy).max(axis=1)
     latent = rows @ v[DIMS:]
     latent = (latent / np.maximum(np.linalg.norm(latent, axis=1, keepdims=True), 1e-9)).T
-    turn = v * weight[:, None]  # what a word adds to a passage's place in the latent space
+    turn = np.concatenate([v * weight[:, None], np.zeros((1, v.shape[1]), np.float32)])  # what a word adds to a passage's place in the latent space
     part_of = np.ascontiguousarray((rows / rows.sum(axis=1, keepdims=True)).T)  # what a word is of each item's weight
     wide = -(-(2 * max(map(len, words)) + 3 * BLOCK) // BLOCK)  # blocks: what is read around a passage reaches no further
     del rows, v
@@ -301,7 +301,12 @@ def _search(slots: Slots, weight: np.ndarray, v: np.ndarray, ids: list, words: l
                 rows_at = np.flatnonzero(hope)
                 # the product by the lighter length: a whole item counts among heavier words, a part of it alone as well
                 near = sums[rows_at]
-                flat, _ = _pairs_of_blocks(_block_sums(turn[slot], block, n), squares, owner)
+                grid = np.full((n, BLOCK), len(slots))  # a row of slots a block; short ones end in a slot of no weight
+                grid[block, (np.arange(len(slot)) - np.repeat(first[:-1], np.diff(first))) % BLOCK] = slot
+                flat = np.zeros((n, turn.shape[1]), np.float32)
+                for column in grid.T:
+                    flat += np.take(turn, column, axis=0)
+                flat, _ = _pairs_of_blocks(flat, squares, owner)
                 close = flat @ latent >= topic * np.maximum(np.linalg.norm(flat, axis=1, keepdims=True), 1e-9)
                 close[rows_at] |= near >= cosine * np.minimum(length[rows_at, None], heavy)
                 passages, wanted_items = np.nonzero(close)
