@@ -34,14 +34,32 @@ def _is_plain(t: str) -> bool:
     return _PLAIN.search(t) is None
 
 
+class _Memo(dict):
+    """Ids by word, in two generations. A word that neither has gets an empty bytearray, noted in ``new``, which is filled
+    after the look-up: so a word is looked up once, also where it is met first."""
+
+    __slots__ = ("new", "old")
+
+    def __init__(self, old: dict[str, bytes] | None = None) -> None:
+        super().__init__()
+        self.old, self.new = old or {}, {}
+
+    def __missing__(self, w: str) -> bytes | bytearray:
+        found = self.old.get(w)
+        if found is None:
+            found = self.new[w] = bytearray()
+        self[w] = found
+        return found
+
+
 class WordTokenizer:
     """The tokenizers file's ids, with a memo by word.
 
     The memo is used where normalisation and splitting are the same in Python: texts of characters below U+0250 without
     control separators or special-token strings. Any other text goes through the library as a whole. Nothing crosses
     white space, so a text's ids are those of its words in turn. A new word is split into pieces (most are letters
-    alone, or with a mark behind), and pieces that are new are encoded together, parted by spaces. A full memo starts
-    anew.
+    alone, or with a mark behind), and pieces that are new are encoded together, parted by spaces. A memo that is half
+    full becomes the old generation, from which words are taken over when they are met again.
     """
 
     def __init__(self, path: str) -> None:
@@ -52,7 +70,7 @@ class WordTokenizer:
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         self.model, self.split = Tokenizer.from_file(path), regex.compile(PIECES).findall
-        self.memo: dict[str, bytes] = {}
+        self.memo = _Memo()
 
     def _learn_pieces(self, order: list[str]) -> None:
         found = self.model.encode(" ".join(order), add_special_tokens=False)
@@ -66,8 +84,10 @@ class WordTokenizer:
         cuts = (bounds * 4).tolist()
         self.memo.update((w, raw[x:y]) for w, x, y in zip(order, cuts, cuts[1:], strict=False))
 
-    def _learn(self, new: set[str]) -> None:
-        memo, unknown, composed = self.memo, set(), []
+    def _learn(self) -> None:
+        """Fill in the words that the last look-up has noted."""
+        memo, new, unknown, composed = self.memo, self.memo.new, set(), []
+        have = memo.get
         for w in new:
             if w.isalpha():
                 unknown.add(w)
@@ -77,23 +97,30 @@ class WordTokenizer:
             else:
                 parts = self.split(w)
             composed.append((w, parts))
-            unknown.update(p for p in parts if p not in memo)
+            unknown.update(p for p in parts if type(have(p)) is not bytes)
         if unknown:
             self._learn_pieces(list(unknown))
         get = memo.__getitem__
-        for w, parts in composed:
-            memo[w] = b"".join(map(get, parts))
+        whole = [b"".join(map(get, parts)) for _, parts in composed]
+        memo.update(zip((w for w, _ in composed), whole, strict=True))
+        for w, slot in new.items():
+            slot += memo[w]
+        memo.new = {}
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Little-endian 32-bit ids of each text."""
-        if len(self.memo) > _MEMO:
-            self.memo.clear()
-        plain = [t.lower().split() if _is_plain(t) else None for t in texts]
-        new = set().union(*filter(None, plain)) - self.memo.keys()
-        if new:
-            self._learn(new)
+        if len(self.memo) > _MEMO // 2:
+            self.memo = _Memo(dict(self.memo))
         get = self.memo.__getitem__
-        return [b"".join(map(get, words)) if words is not None else np.array(self.model.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t, words in zip(texts, plain, strict=True)]
+        try:
+            found = [list(map(get, t.lower().split())) if _is_plain(t) else None for t in texts]
+            if self.memo.new:
+                self._learn()
+        except BaseException:
+            self.memo = _Memo()  # no half-filled word may stay
+            raise
+        join = b"".join
+        return [join(ids) if ids is not None else np.array(self.model.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t, ids in zip(texts, found, strict=True)]
 
 
 _TOKENIZERS: dict[str, WordTokenizer] = {}

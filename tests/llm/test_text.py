@@ -76,6 +76,23 @@ def test_tokenizer_equals_the_library():
             assert np.frombuffer(ids, "<u4").tolist() == library.encode(t, add_special_tokens=False).ids, t
 
 
+def test_tokenizer_keeps_words_that_come_again(monkeypatch):
+    """A full memo isn't emptied: words of every batch are learnt once, and ids stay those of the library."""
+    from tokenizers import Tokenizer
+
+    monkeypatch.setattr(packing, "_MEMO", 40)
+    path, rng, asked = tokenizer_path(), random.Random(2), []
+    library, ours = Tokenizer.from_file(path), packing.WordTokenizer(path)
+    learn = ours._learn_pieces
+    monkeypatch.setattr(ours, "_learn_pieces", lambda order: (asked.extend(order), learn(order))[1])
+    for _ in range(30):
+        fresh = ["".join(rng.choices("aeiouklmnrst", k=9)) for _ in range(6)]
+        texts = ["again and again, it's again", " ".join(f"{w}. '{w} {w}#" for w in fresh), "''' # ' again\x1c"]
+        for t, ids in zip(texts, ours.encode(texts), strict=True):
+            assert np.frombuffer(ids, "<u4").tolist() == library.encode(t, add_special_tokens=False).ids, t
+    assert asked.count("again") == 1
+
+
 @pytest.mark.parametrize("window", [16, 4096])
 def test_packing_round_trip(corpus, empty, window):
     from tokenizers import Tokenizer
