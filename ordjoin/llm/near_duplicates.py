@@ -30,6 +30,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from ordjoin.llm import kernels as K
 from ordjoin.llm.common import LAST, Layout, bodies_of, discard, documents_of, lay_out, lean, map_arrow, settle, slices, table, whole_groups
@@ -258,8 +259,8 @@ def _stars(members: DataFrame, percent: int) -> DataFrame:
 def _blocks(nodes: DataFrame) -> DataFrame:
     """(block, node, n, many) of all blocks of two nodes or more; of blocks of the same nodes only one. Settled."""
     keys = nodes.select(F.explode("keys").alias("block"), "node", F.col("n").cast("int").alias("n"))
-    several = keys.groupBy("block").agg(F.count(F.lit(1)).cast("int").alias("many")).where("many > 1")
-    all_of_them = settle(keys.join(several, "block"), "all-blocks")
+    many = F.count(F.lit(1)).over(Window.partitionBy("block")).cast("int")  # counted where they lie, so that keys move once
+    all_of_them = settle(keys.withColumn("many", many).where("many > 1"), "all-blocks")
     who = [F.bit_xor(F.xxhash64("node", F.lit(i))).alias(f"who{i}") for i in (0, 1)]
     held = all_of_them.groupBy("block", "many").agg(*who)
     chosen = held.groupBy("many", "who0", "who1").agg(F.min("block").alias("block")).select("block")

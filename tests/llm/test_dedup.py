@@ -199,6 +199,20 @@ def test_classes_of_many_near_sets(spark):
         assert sorted((r["doc_id"], r["n_shingles"], r["component_id"]) for r in N.classes(df, 1, percent).collect()) == sorted(want)
 
 
+def test_keys_move_once_to_their_blocks(spark, monkeypatch):
+    plans, write, limit = {}, N.settle, "spark.sql.autoBroadcastJoinThreshold"
+    monkeypatch.setattr(N, "settle", lambda df, name: (plans.update({name: df._jdf.queryExecution().executedPlan().toString()}), write(df, name))[1])
+    nodes = spark.createDataFrame([(1, 5, [10, 11, 12]), (2, 6, [11, 13]), (3, 7, [11, 10]), (4, 8, [])], "node long, n long, keys array<long>")
+    before = spark.conf.get(limit)
+    spark.conf.set(limit, "-1")
+    try:
+        got = sorted(tuple(r) for r in N._blocks(nodes).select("block", "node", "n", "many").collect())
+    finally:
+        spark.conf.set(limit, before)
+    assert got == [(10, 1, 5, 2), (10, 3, 7, 2), (11, 1, 5, 3), (11, 2, 6, 3), (11, 3, 7, 3)]
+    assert plans["all-blocks"].count("Exchange hashpartitioning(block") == 1
+
+
 def test_numbers_of_links(spark, corpus):
     rng = random.Random(12)
     words = [f"v{i}" for i in range(90)]
