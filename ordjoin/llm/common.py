@@ -139,8 +139,9 @@ class Layout:
         return _slot(F.shiftright(row, 33), self.buckets)
 
     def meet(self, small: DataFrame, columns: list[str], how: str = "inner") -> DataFrame:
-        """``columns`` of the rows, joined on ``row`` with a table of row numbers, which alone is moved."""
-        numbered = small.withColumn("slot", self.slot(F.col("row")))
+        """``columns`` of the rows, joined on ``row`` with a table of row numbers, which alone is moved (and not even that
+        where it has been dealt by a ``slot`` of its own)."""
+        numbered = small if "slot" in small.columns else small.withColumn("slot", self.slot(F.col("row")))
         return self.frame.select("slot", "row", *columns).join(numbered.hint("shuffle_hash"), ["slot", "row"], how).drop("slot")
 
     def gathered(self, small: DataFrame, *lists: Column) -> DataFrame:

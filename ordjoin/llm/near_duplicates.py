@@ -33,12 +33,12 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ordjoin.llm import kernels as K
-from ordjoin.llm.common import LAST, Layout, bodies_of, discard, documents_of, lay_out, lean, map_arrow, settle, slices, table, whole_groups
+from ordjoin.llm.common import LAST, Layout, bodies_of, discard, documents_of, lay_out, map_arrow, settle, slices, table, whole_groups
 from ordjoin.llm.components import components
 
 WIDTH, PERCENT, GROUPS = 4, 85, 128
 SAMPLE_SHARE, COMMON_IN, MAX_COMMON = 16, 2, 1_000_000
-CHUNK, LEAF, PAIRS_A_TASK = 512, 8, 64
+CHUNK, LEAF, PAIRS_A_TASK, LEAST_CELLS = 512, 8, 64, 8
 COUNT_CHUNK, COUNT_SHINGLES, COUNT_ROWS, COLUMNS, LIGHT = 8192, 1 << 21, 1024, 1024, 64
 
 
@@ -61,22 +61,33 @@ def shingle_sets(raw: np.ndarray, ends: np.ndarray, width: int) -> list[np.ndarr
 
 def count_vector(s: np.ndarray) -> bytes:
     """Counts of shingles by the leading bits of their hash: 128 groups, or more for large sets, so that a group holds
-    few shingles and the bound stays sharp. Neighbouring groups add up to coarser ones."""
+    few shingles and the bound stays sharp. Neighbouring groups add up to coarser ones. The first byte says how they are
+    kept: half a byte each, or one or four bytes where a group holds more."""
     bits = min(max(7, (len(s) // 4).bit_length()), 14)
-    return np.bincount((s >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits).astype("<u2").tobytes()
+    counts = np.bincount((s >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits)
+    if (most := counts.max()) < 16:
+        return b"\0" + (counts[0::2] | counts[1::2] << 4).astype(np.uint8).tobytes()
+    return b"\1" + counts.astype(np.uint8).tobytes() if most < 256 else b"\2" + counts.astype("<u4").tobytes()
 
 
-def coarse(points: list[bytes]) -> np.ndarray:
+def counts_of(point: bytes) -> np.ndarray:
+    """The counts in a vector."""
+    if point[0]:
+        return np.frombuffer(point, np.uint8 if point[0] == 1 else "<u4", offset=1)
+    pairs = np.frombuffer(point, np.uint8, offset=1)
+    return np.stack([pairs & 15, pairs >> 4], 1).ravel()
+
+
+def coarse(points: list[np.ndarray]) -> np.ndarray:
     """Vectors of 128 groups, a row each (sums over four bytes, as a group may hold many)."""
     out = np.empty((len(points), GROUPS), np.int32)
     for i, p in enumerate(points):
-        out[i] = np.frombuffer(p, "<u2").reshape(GROUPS, -1).sum(axis=1)
+        out[i] = p.reshape(GROUPS, -1).sum(axis=1)
     return out
 
 
-def bound(p: bytes, q: bytes) -> int:
+def bound(a: np.ndarray, b: np.ndarray) -> int:
     """Largest overlap that two vectors admit, on the finer groups that both have."""
-    a, b = np.frombuffer(p, "<u2"), np.frombuffer(q, "<u2")
     if len(a) > len(b):
         a, b = b, a
     return int(np.minimum(a, b.reshape(len(a), -1).sum(axis=1)).sum())
@@ -121,8 +132,10 @@ def _common(bodies: DataFrame, width: int) -> np.ndarray:
 
     sample = bodies.where(F.pmod(F.xxhash64("row"), F.lit(SAMPLE_SHARE)) == 0).select("body")
     found = map_arrow(sample, each, "h long").groupBy("h").count().where(F.col("count") >= COMMON_IN).orderBy(F.desc("count")).limit(MAX_COMMON).select("h")
-    with lean(bodies.sparkSession):
-        return np.sort(found.toArrow().column("h").to_numpy().astype(np.int64).view(np.uint64))
+    found = settle(found, "common")  # a plain write leaves no shuffle files behind
+    out = np.sort(found.toArrow().column("h").to_numpy().astype(np.int64).view(np.uint64))
+    discard(found)
+    return out
 
 
 def needed(n: np.ndarray, m: np.ndarray, percent: int) -> np.ndarray:
@@ -155,28 +168,51 @@ class CountTree:
                     yield self.order[mine][x], other.order[theirs][y]
 
 
-def _admitted(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) whose sizes and summed coordinate minima admit enough overlap."""
-    left = nodes.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("point").alias("pa"))
-    right = nodes.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("point").alias("pb"))
-    near = 100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")
-    rows = pairs.join(left, "a").join(right, "b").where(near).select("a", "b", "na", "nb", "pa", "pb")
+def _facing(pairs: DataFrame, layout: Layout, columns: list[str]) -> tuple[DataFrame, DataFrame]:
+    """Rows (a, salt, role, row, columns) of a layout that bring each of the settled ``pairs`` (a, b) together, and the
+    settled table that they read.
+
+    Pairs of one ``a`` are dealt into tasks of bounded size; ``a``'s own row (role 0) goes to each of them, and every
+    other one streams by. What is moved follows the pairs, never the layout.
+    """
+    per = pairs.groupBy("a").agg(F.count(F.lit(1)).alias("many"))
+    dealt = pairs.join(per, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.ceil(F.col("many") / PAIRS_A_TASK)).cast("int").alias("salt"))
+    dealt = settle(dealt, "candidates")
+    wanted = dealt.select("a", "salt", F.lit(1).alias("role"), F.col("b").alias("row")).unionByName(dealt.select("a", "salt", F.lit(0).alias("role"), F.col("a").alias("row")).distinct())
+    rows = layout.meet(wanted, columns).select("a", "salt", "role", "row", *columns)
+    return rows.repartition("a", "salt").sortWithinPartitions("a", "salt", "role"), dealt
+
+
+def _admitted(pairs: DataFrame, sets: Layout, percent: int) -> DataFrame:
+    """Those of the settled ``pairs`` (a, b) whose summed coordinate minima admit enough overlap; settled."""
+    rows, dealt = _facing(pairs, sets, ["n", "point"])
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, size, own = None, 0, np.empty(0, np.uint8)
         for batch in batches:
-            a, b, na, nb = (batch.column(i).to_numpy() for i in range(4))
-            roof = [bound(p, q) for p, q in zip(batch.column(4).to_pylist(), batch.column(5).to_pylist(), strict=True)]
-            keep = np.array(roof, np.int64) >= needed(na, nb, percent)
-            yield pa.RecordBatch.from_arrays([pa.array(a[keep]), pa.array(b[keep])], names=["a", "b"])
-
-    return map_arrow(rows, each, "a long, b long")
+            a, role, node, n = (batch.column(k).to_numpy() for k in (0, 2, 3, 4))
+            roof = np.full(len(a), -1, np.int64)
+            least = np.zeros(len(a), np.int64)
+            for k, p in enumerate(batch.column(5).to_pylist()):
+                if role[k] == 0:
+                    now, size, own = a[k], n[k], counts_of(p)
+                elif a[k] == now:
+                    least[k] = needed(n[k], size, percent)
+                    roof[k] = bound(own, counts_of(p))
+            keep = roof >= least
+            yield pa.RecordBatch.from_arrays([pa.array(a[keep]), pa.array(node[keep])], names=["a", "b"])
+
+    out = settle(map_arrow(rows, each, "a long, b long"), "pairs")
+    discard(dealt)
+    return out
 
 
 def _tree_pairs(rows: DataFrame, percent: int) -> DataFrame:
     """Candidate pairs (a, b) of different components, from rows (block, i, j, side, node, root, n, point, blocks) sorted
     by chunk pair; ``side`` 0 or 2 holds nodes outside the block's largest component, side 1 or 2 any node of the block.
 
-    ``blocks``: all mixed blocks of a node, ascending; a pair is given in the least that both have.
+    ``blocks``: a node's least mixed blocks; a pair is left to a lesser block where these tell that both have one. The
+    least block that both have always gives it, so none is lost, and some are given more than once.
     """
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -185,7 +221,7 @@ def _tree_pairs(rows: DataFrame, percent: int) -> DataFrame:
             left, right = np.flatnonzero(side != 1), np.flatnonzero(side != 0)
             if not len(left) or not len(right):
                 continue
-            exact = t.column(7).to_pylist()
+            exact = list(map(counts_of, t.column(7).to_pylist()))
             points = coarse(exact)
             found = [np.stack([left[x], right[y]], 1) for x, y in CountTree(points[left], n[left]).join(CountTree(points[right], n[right]), percent)]
             if not found:
@@ -193,10 +229,10 @@ def _tree_pairs(rows: DataFrame, percent: int) -> DataFrame:
             at = np.concatenate(found)
             at = at[root[at[:, 0]] != root[at[:, 1]]]
             least = needed(n[at[:, 0]], n[at[:, 1]], percent)
-            at = at[[len(exact[x]) == 2 * GROUPS or bound(exact[x], exact[y]) >= m for (x, y), m in zip(at.tolist(), least.tolist(), strict=True)]] if len(at) else at
+            at = at[[len(exact[x]) == len(exact[y]) == GROUPS or bound(exact[x], exact[y]) >= m for (x, y), m in zip(at.tolist(), least.tolist(), strict=True)]] if len(at) else at
             if len(at):
-                own = [frozenset(b) for b in t.column(8).to_pylist()]
-                at = at[[block == min(own[x] & own[y]) for x, y in at.tolist()]]
+                lesser = [frozenset(k for k in b if k < block) for b in t.column(8).to_pylist()]
+                at = at[[lesser[x].isdisjoint(lesser[y]) for x, y in at.tolist()]]
             if len(at):
                 p = np.unique(np.sort(node[at], axis=1), axis=0)
                 yield pa.RecordBatch.from_arrays([pa.array(p[:, 0]), pa.array(p[:, 1])], names=["a", "b"])
@@ -205,17 +241,8 @@ def _tree_pairs(rows: DataFrame, percent: int) -> DataFrame:
 
 
 def _verified(pairs: DataFrame, layout: Layout, width: int, percent: int) -> DataFrame:
-    """Those of ``pairs`` (a, b: nodes) whose sets are similar enough, by whole texts; settled.
-
-    Pairs of one ``a`` are dealt into tasks of bounded size; ``a``'s text goes to each of them, and every other text is
-    compared as it streams by.
-    """
-    pairs = settle(pairs, "pairs")
-    per = pairs.groupBy("a").agg(F.count(F.lit(1)).alias("many"))
-    dealt = pairs.join(per, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.ceil(F.col("many") / PAIRS_A_TASK)).cast("int").alias("salt"))
-    dealt = settle(dealt, "candidates")
-    wanted = dealt.select("a", "salt", F.lit(1).alias("role"), F.col("b").alias("row")).unionByName(dealt.select("a", "salt", F.lit(0).alias("role"), F.col("a").alias("row")).distinct())
-    rows = layout.meet(wanted, ["body"]).select("a", "salt", "role", "row", "body").repartition("a", "salt").sortWithinPartitions("a", "salt", "role")
+    """Those of the settled ``pairs`` (a, b: nodes) whose sets are similar enough, by whole texts; settled."""
+    rows, dealt = _facing(pairs, layout, ["body"])
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, own = None, np.empty(0, np.uint64)
@@ -233,7 +260,7 @@ def _verified(pairs: DataFrame, layout: Layout, width: int, percent: int) -> Dat
             yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in out], pa.int64()), pa.array([p[1] for p in out], pa.int64())], names=["a", "b"])
 
     links = settle(map_arrow(rows, each, "a long, b long"), "links")
-    discard(pairs, dealt)
+    discard(dealt)
     return links
 
 
@@ -251,8 +278,11 @@ def _stars(members: DataFrame, percent: int) -> DataFrame:
     two = members.where("many = 2").groupBy("block").agg(F.min(F.struct("node", "n")).alias("x"), F.max(F.struct("node", "n")).alias("y"))
     two = two.where(100 * F.least("x.n", "y.n") >= percent * F.greatest("x.n", "y.n")).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"))
     rows = members.where("many > 2").withColumn("class", F.explode(_classes(percent, finer=True)))
-    heads = rows.groupBy("block", "class").agg(F.min("node").alias("x"), F.max("node").alias("y")).where("x <> y")
-    pairs = rows.join(heads, ["block", "class"]).select("node", F.explode(F.array("x", "y")).alias("head")).where("node <> head")
+    ends = [(F.min("node"), F.min_by("n", "node")), (F.max("node"), F.max_by("n", "node"))]
+    heads = rows.groupBy("block", "class").agg(*[c.alias(f"{what}{k}") for k, end in enumerate(ends) for what, c in zip(("x", "n"), end, strict=True)]).where("x0 <> x1")
+    both = F.explode(F.array(*[F.struct(F.col(f"x{k}").alias("x"), F.col(f"n{k}").alias("n")) for k in (0, 1)])).alias("h")
+    near = 100 * F.least("n", "h.n") >= percent * F.greatest("n", "h.n")
+    pairs = rows.join(heads, ["block", "class"]).select("node", "n", both).where(near & (F.col("node") != F.col("h.x"))).select("node", F.col("h.x").alias("head"))
     return two.unionByName(pairs.select(F.least("node", "head").alias("a"), F.greatest("node", "head").alias("b"))).distinct()
 
 
@@ -269,11 +299,12 @@ def _blocks(nodes: DataFrame) -> DataFrame:
     return members
 
 
-def _unjoined(members: DataFrame, root: DataFrame, nodes: DataFrame, percent: int) -> tuple[DataFrame, list[DataFrame]]:
+def _unjoined(members: DataFrame, root: DataFrame, sets: Layout, percent: int) -> tuple[DataFrame, list[DataFrame]]:
     """Rows for ``_tree_pairs``, and the settled tables that they read.
 
     A block's size class that holds several components is a cell. Chunks of the nodes outside a cell's largest component
-    meet chunks of all its nodes; a cell of one chunk is one group, in which each node stands once (side 2).
+    meet chunks of all its nodes; a cell of one chunk is one group, in which each node stands once (side 2). A node's
+    cells go to where its set lies and leave from there with its vector.
     """
     rooted = members.where("many > 2").join(root, "node", "left").select("block", "node", "n", F.coalesce("root", "node").alias("root"))
     rooted = rooted.withColumn("class", F.explode(_classes(percent))).select(F.xxhash64("block", "class").alias("block"), "node", "root")
@@ -281,16 +312,21 @@ def _unjoined(members: DataFrame, root: DataFrame, nodes: DataFrame, percent: in
     per = rooted.groupBy("block", "root").agg(F.count(F.lit(1)).alias("c"))
     mixed = per.groupBy("block").agg(F.max(F.struct("c", "root")).alias("top"), F.sum("c").alias("many"), F.count(F.lit(1)).alias("roots")).where("roots > 1")
     cuts = mixed.select("block", F.col("top.root").alias("top"), F.ceil((F.col("many") - F.col("top.c")) / CHUNK).cast("int").alias("some"), F.ceil(F.col("many") / CHUNK).cast("int").alias("all"))
-    mine = settle(rooted.join(cuts, "block"), "mixed")
-    discard(rooted)
-    spread, large, apart = F.xxhash64("node"), mine.where(F.col("all") > 1), F.col("root") != F.col("top")
-    small = mine.where(F.col("all") == 1).select("block", F.lit(0).alias("i"), F.lit(0).alias("j"), F.when(apart, 2).otherwise(1).alias("side"), "node", "root")
-    whole = large.select("block", F.explode(F.sequence(F.lit(0), F.col("some") - 1)).alias("i"), F.pmod(spread, F.col("all")).cast("int").alias("j"), F.lit(1).alias("side"), "node", "root")
-    rest = large.where(apart).select("block", F.pmod(spread, F.col("some")).cast("int").alias("i"), F.explode(F.sequence(F.lit(0), F.col("all") - 1)).alias("j"), F.lit(0).alias("side"), "node", "root")
-    own = mine.groupBy("node").agg(F.sort_array(F.collect_list("block")).alias("blocks"))  # a node's own cells: two for each of its shingles at most
-    about = settle(nodes.select("node", "n", "point").join(own, "node"), "points")
-    rows = small.unionByName(whole).unionByName(rest).join(about, "node").select("block", "i", "j", "side", "node", "root", "n", "point", "blocks")
-    return rows.repartition("block", "i", "j").sortWithinPartitions("block", "i", "j"), [mine, about]
+    cell = F.struct("block", (F.col("root") != F.col("top")).alias("apart"), "some", "all")
+    mine = rooted.join(cuts, "block").select(F.col("node").alias("row"), "root", cell.alias("cell"))
+    dealt = mine.withColumn("slot", sets.slot(F.col("row"))).repartition(sets.buckets, "slot")
+    own = dealt.groupBy("slot", "row").agg(F.first("root").alias("root"), F.sort_array(F.collect_list("cell")).alias("cells"))  # two for each of its shingles at most
+    about = sets.meet(own, ["n", "point"]).withColumn("blocks", F.slice("cells.block", 1, LEAST_CELLS)).withColumn("cell", F.explode("cells"))
+
+    def at(i: Column, j: Column, side: Column) -> Column:
+        return F.struct(i.cast("int").alias("i"), j.cast("int").alias("j"), side.cast("int").alias("side"))
+
+    spread, some, every, apart = F.xxhash64("row"), F.col("cell.some"), F.col("cell.all"), F.col("cell.apart")
+    whole = F.transform(F.sequence(F.lit(0), some - 1), lambda i: at(i, F.pmod(spread, every), F.lit(1)))
+    rest = F.when(apart, F.transform(F.sequence(F.lit(0), every - 1), lambda j: at(F.pmod(spread, some), j, F.lit(0))))
+    places = F.when(every == 1, F.array(at(F.lit(0), F.lit(0), F.when(apart, 2).otherwise(1)))).when(apart, F.concat(whole, rest)).otherwise(whole)
+    rows = about.withColumn("at", F.explode(places)).select("cell.block", "at.i", "at.j", "at.side", F.col("row").alias("node"), "root", "n", "point", "blocks")
+    return rows.repartition("block", "i", "j").sortWithinPartitions("block", "i", "j"), [rooted]
 
 
 def linked_sets(layout: Layout, width: int, percent: int) -> tuple[DataFrame, DataFrame]:
@@ -300,21 +336,22 @@ def linked_sets(layout: Layout, width: int, percent: int) -> tuple[DataFrame, Da
     same = settle(sets.frame.where("n > 0").groupBy("sid", "check").agg(first).select("sid", "check", F.col("f.row").alias("node")), "same")
     texts = sets.frame.select("sid", "check", "ord", "row", "n").join(same, ["sid", "check"], "left")
     texts = settle(texts.select("ord", "row", "n", F.when(F.col("n") > 0, F.col("node")).alias("node")), "texts")
-    nodes = settle(sets.meet(same.select(F.col("node").alias("row")), ["ord", "n", "point", "keys"]).withColumnRenamed("row", "node"), "nodes")
-    sets.drop()
+    nodes = texts.where("row = node").select("node", "ord", "n")
+    members = _blocks(sets.meet(same.select(F.col("node").alias("row")), ["n", "keys"]).withColumnRenamed("row", "node"))
     discard(same)
-    members = _blocks(nodes)
     star = settle(_stars(members, percent), "star")
-    links = _verified(_admitted(star, nodes, percent), layout, width, percent)
+    pairs = _admitted(star, sets, percent)
+    links = _verified(pairs, layout, width, percent)
     root = components(links)
-    discard(links)
-    rows, read = _unjoined(members, root, nodes, percent)
+    discard(pairs, links)
+    rows, read = _unjoined(members, root, sets, percent)
     more = settle(_tree_pairs(rows, percent).distinct().join(star, ["a", "b"], "left_anti"), "more")
     discard(members, star, *read)
+    sets.drop()
     extra = _verified(more, layout, width, percent)
     joined = components(root.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(extra))
     named = settle(nodes.select("node", "ord", "n").join(joined, "node", "left").select("node", "ord", "n", F.coalesce("root", "node").alias("root")), "named")
-    discard(nodes, root, more, extra, joined)
+    discard(root, more, extra, joined)
     return texts, named
 
 

@@ -213,6 +213,63 @@ def test_keys_move_once_to_their_blocks(spark, monkeypatch):
     assert plans["all-blocks"].count("Exchange hashpartitioning(block") == 1
 
 
+def test_vectors_move_with_pairs_alone(spark, monkeypatch):
+    from ordjoin.operators.measures import last_job, spark_metrics
+
+    rng, moved, write, limit = random.Random(21), {}, N.settle, "spark.sql.autoBroadcastJoinThreshold"
+
+    def measured(df, name):
+        start, out = last_job(spark) + 1, write(df, name)
+        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
+        moved[name] = moved.get(name, 0) + spark_metrics(spark, start)["shuffle_bytes"]
+        return out
+
+    monkeypatch.setattr(N, "settle", measured)
+    rows = [(i, " ".join(f"w{rng.randrange(10**6)}" for _ in range(150))) for i in range(400)]
+    rows += [(400 + i, f"{rows[i][1]} more") for i in range(4)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    before = spark.conf.get(limit)
+    spark.conf.set(limit, "-1")
+    try:
+        got = {r["doc_id"]: r["component_id"] for r in N.classes(df, 4, 85).collect()}
+    finally:
+        spark.conf.set(limit, before)
+    assert got == {i: i if i < 400 else i - 400 for i in range(404)}
+    assert moved["pairs"] + moved["more"] < 404 * 40  # 128 groups and more of each text would be over 404 * 64
+
+
+def test_count_vectors():
+    import numpy as np
+
+    rng = np.random.default_rng(5)
+    top = np.uint64(1 << 63)
+    for s in (np.arange(1, 2, dtype=np.uint64), np.unique(rng.integers(0, 1 << 63, 900, np.uint64) * 2), np.arange(900, dtype=np.uint64), np.arange(70_000, dtype=np.uint64) + top):
+        point = N.count_vector(s)
+        counts = N.counts_of(point)
+        groups, many = np.unique(s >> np.uint64(64 - int(len(counts)).bit_length() + 1), return_counts=True)
+        assert counts.sum(dtype=np.int64) == len(s) and (counts[groups] == many).all()
+        assert point[0] == (0 if many.max() < 16 else 2)
+        assert N.bound(counts, counts) == len(s) and N.coarse([counts]).sum() == len(s)
+        assert N.bound(counts, N.counts_of(N.count_vector(s[: len(s) // 2 + 1]))) == len(s) // 2 + 1
+    mid = N.count_vector(np.arange(100, dtype=np.uint64))
+    assert mid[0] == 1 and N.counts_of(mid)[0] == 100 and N.counts_of(mid).sum() == 100
+
+
+def test_classes_whatever_cells_are_told(spark, monkeypatch):
+    rng = random.Random(9)
+    words = [f"v{i}" for i in range(60)]
+    rows = []
+    for i in range(120):
+        base = words[(i % 4) * 12 : (i % 4) * 12 + 24]
+        rows.append((i, " ".join(w for w in base if rng.random() > 0.08)))
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    want, _ = brute_classes(rows, 1, 85)
+    monkeypatch.setattr(N, "CHUNK", 16)
+    for told in (1, 3):
+        monkeypatch.setattr(N, "LEAST_CELLS", told)
+        assert sorted((r["doc_id"], r["n_shingles"], r["component_id"]) for r in N.classes(df, 1, 85).collect()) == sorted(want)
+
+
 def test_numbers_of_links(spark, corpus):
     rng = random.Random(12)
     words = [f"v{i}" for i in range(90)]
